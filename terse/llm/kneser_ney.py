@@ -78,25 +78,34 @@ def _targets(heads: np.ndarray) -> np.ndarray:
 
 
 def pack(keys: np.ndarray, counts: np.ndarray) -> tuple[bytes, bytes, bytes]:
-    """Sorted keys as differences in as few bytes as the largest needs, and counts above one apart."""
+    """Sorted keys as differences in as few bytes as the largest needs, counts as single bytes, and those that need more apart."""
     gaps = np.diff(keys, prepend=keys[:1])
     width = max(1, (int(gaps.max()).bit_length() + 7) // 8) if len(gaps) else 1
     raw = gaps.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width]
-    many = np.flatnonzero(counts > 1)
-    return bytes([width]) + keys[:1].astype("<u8").tobytes() + raw.tobytes(), many.astype("<u4").tobytes(), counts[many].astype("<u4").tobytes()
+    small = np.minimum(counts, 255).astype(np.uint8)
+    return bytes([width]) + keys[:1].astype("<u8").tobytes() + raw.tobytes(), small.tobytes(), counts[small == 255].astype("<u4").tobytes()
 
 
-def unpack(keys: bytes, places: bytes, counts: bytes) -> tuple[np.ndarray, np.ndarray]:
+def unpack(keys: bytes, small: bytes, large: bytes) -> tuple[np.ndarray, np.ndarray]:
     width = keys[0]
     raw = np.frombuffer(keys, np.uint8, offset=9).reshape(-1, width)
     wide = np.zeros((len(raw), 8), np.uint8)
     wide[:, :width] = raw
     out = np.frombuffer(keys, "<u8", 1, 1)[0] + np.cumsum(wide.reshape(-1).view("<u8"), dtype=_U)
-    n = np.ones(len(out), np.int64)
-    n[np.frombuffer(places, "<u4")] = np.frombuffer(counts, "<u4")
+    n = np.frombuffer(small, np.uint8).astype(np.int64)
+    n[n == 255] = np.frombuffer(large, "<u4")
     return out, n
 
 
+def _counted(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of arrays, which are given up for it, and how often each occurs."""
+    keys = np.concatenate(parts)
+    parts.clear()
+    keys.sort()
+    heads = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+    return keys[heads], np.diff(np.append(heads, len(keys)))
+
+
 def _sum_sorted(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     order = np.argsort(keys, kind="stable")
     keys, counts = keys[order], counts[order]
@@ -262,8 +271,7 @@ def _count_task(bits: int):
 
         def send():
             for order, parts in held.items():
-                keys, counts = np.unique(np.concatenate(parts), return_counts=True)
-                parts.clear()
+                keys, counts = _counted(parts)
                 yield _blobs(keys, counts if order != 2 else np.ones_like(counts), order, bits)
 
         return _flushed(batches, take, send)
