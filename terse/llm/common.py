@@ -69,7 +69,7 @@ def components(edges: DataFrame, folder: str, name: str, max_rounds: int = 60) -
     mark = None
     for k in range(max_rounds):
         both = seen.unionByName(seen.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
+        low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low2 = large.groupBy("u").agg(F.min("v").alias("m"))
         small_star = (

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from terse.llm import chat_format, kneser_ney, line_dedup, quality_rules, source_mix
+from terse.llm import chat_format, kneser_ney, line_dedup, quality_rules, shingle_join, source_mix
 
 QUERIES = {
     "op1_source_mix": source_mix.op1_query,
     "op3_chat_format": chat_format.op3_query,
     "op7_kneser_ney": kneser_ney.op7_query,
+    "op8_shingle_join": shingle_join.op8_query,
     "op9_line_dedup": line_dedup.op9_query,
     "op10_quality_rules": quality_rules.op10_query,
 }
