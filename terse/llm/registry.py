@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
-from terse.llm import chat_format, kneser_ney, line_dedup, quality_rules, shingle_join, source_mix
+from terse.llm import chat_format, decontaminate, kneser_ney, line_dedup, nearest_toxic, quality_rules, shingle_join, source_mix, subword_quality
 
 QUERIES = {
     "op1_source_mix": source_mix.op1_query,
     "op3_chat_format": chat_format.op3_query,
+    "op4_nearest_toxic": nearest_toxic.op4_query,
+    "op5_subword_quality": subword_quality.op5_query,
+    "op6_decontaminate": decontaminate.op6_query,
     "op7_kneser_ney": kneser_ney.op7_query,
     "op8_shingle_join": shingle_join.op8_query,
     "op9_line_dedup": line_dedup.op9_query,

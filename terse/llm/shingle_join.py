@@ -44,7 +44,7 @@ class JoinRule:
     percent: int = 80
     frequent: int = 64
     divisions: int = 32
-    block: int = 20_000_000
+    block: int = 4_000_000
 
 
 def _sets(batch: pa.RecordBatch, width: int) -> Iterator[tuple[pa.Array, np.ndarray, np.ndarray]]:
