@@ -1,7 +1,7 @@
 """Quality classifier by supervised subword embeddings.
 
-Every word and every run of 3 to 5 bytes inside a word (with a blank as its boundary) is hashed to a row of an embedding table.  A document is the
-average of its rows; a softmax over two classes reads it.  Table and softmax are learnt together by stochastic gradient descent in numpy, on a
+Every word and every run of 3 to 5 bytes inside a word (with a blank as its boundary) is hashed to a row of an embedding table; one more row stands
+for a word that repeats the one before it.  A document is the average of its rows; a softmax over two classes reads it.  Table and softmax are learnt together by stochastic gradient descent in numpy, on a
 sample of labelled documents whose size is a parameter.
 
 As the softmax of two classes is linear in the average, each row adds one number to the log-odds; workers get these numbers (a table of
@@ -37,15 +37,19 @@ class SubwordPlan:
     shortest: int = 3
     longest: int = 5
     epochs: int = 4
-    rate: float = 4.0
+    rate: float = 2.0
     seed: int = 5
 
 
 def subword_rows(raw: np.ndarray, offsets: np.ndarray, plan: SubwordPlan) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """(document, row) arrays: words first, then byte runs of each length."""
+    """(document, row) arrays: words, the row behind the table for each word like the one before it, then byte runs of each length."""
     n_docs = len(offsets) - 1
     starts, _, firsts = word_spans(raw, offsets)
-    yield np.repeat(np.arange(n_docs), np.diff(firsts)), (word_hashes(raw, starts, False) % np.uint64(plan.rows)).astype(np.int32)
+    of_word = np.repeat(np.arange(n_docs), np.diff(firsts))
+    yield of_word, (word_hashes(raw, starts, False) % np.uint64(plan.rows)).astype(np.int32)
+    folded = word_hashes(raw, starts, True)
+    again = np.flatnonzero((folded[1:] == folded[:-1]) & (of_word[1:] == of_word[:-1]))
+    yield of_word[again], np.full(len(again), plan.rows, np.int32)
     # one blank before, between and behind documents, so that no run crosses from one to the next
     owner = np.repeat(np.arange(n_docs, dtype=np.int32), np.diff(offsets))
     padded = np.full(len(raw) + n_docs + 1, 0x20, np.uint8)
@@ -75,7 +79,7 @@ def learn(texts: pa.Array, good: np.ndarray, plan: SubwordPlan) -> tuple[np.ndar
     share = float(good.mean()) if n else 0.5
     if not n or share in (0.0, 1.0):
         share = min(max(share, 1e-3), 1 - 1e-3)
-        return np.zeros(plan.rows, np.float32), float(np.log(share / (1 - share)))
+        return np.zeros(plan.rows + 1, np.float32), float(np.log(share / (1 - share)))
     bags = []
     for d in range(n):
         raw, offsets = utf8_buffer(texts.slice(d, 1))
@@ -83,7 +87,7 @@ def learn(texts: pa.Array, good: np.ndarray, plan: SubwordPlan) -> tuple[np.ndar
         rows, counts = np.unique(found, return_counts=True)
         bags.append((rows, (counts / max(1, len(found))).astype(np.float32)))
     rng = np.random.default_rng(plan.seed)
-    table = rng.uniform(-1 / plan.dim, 1 / plan.dim, (plan.rows, plan.dim)).astype(np.float32)
+    table = rng.uniform(-1 / plan.dim, 1 / plan.dim, (plan.rows + 1, plan.dim)).astype(np.float32)
     soft = np.zeros((plan.dim, 2), np.float32)
     bias = np.log(np.array([1 - share, share], np.float32))
     steps, done = plan.epochs * n, 0
