@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from terse.llm import chat_format, decontaminate, kneser_ney, line_dedup, nearest_toxic, quality_rules, shingle_join, source_mix, subword_quality
+from terse.llm import chat_format, decontaminate, kneser_ney, line_dedup, nearest_toxic, quality_rules, shingle_join, source_mix, subword_quality, warc
 
 QUERIES = {
     "op1_source_mix": source_mix.op1_query,
+    "op2_warc": warc.op2_query,
     "op3_chat_format": chat_format.op3_query,
     "op4_nearest_toxic": nearest_toxic.op4_query,
     "op5_subword_quality": subword_quality.op5_query,
@@ -18,6 +19,7 @@ QUERIES = {
 
 ORACLE_SQL = {
     "op1_source_mix": source_mix.OP1_SQL,
+    "op2_warc": warc.OP2_SQL,
     "op3_chat_format": chat_format.OP3_SQL,
     "op9_line_dedup": line_dedup.OP9_SQL,
 }
