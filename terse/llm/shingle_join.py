@@ -8,8 +8,8 @@ a shared rare token is enough, and rare tokens are indexed singly.  Where a pref
 ``divisions`` tokens; frequent tokens are dealt into that many divisions by hash, and pairs of tokens of one division are indexed: of
 ``divisions + 1`` shared frequent tokens two lie in one division.  Sets too short for that are indexed by single frequent tokens too.
 
-From index to links.  Under rare keys, pairs of classes that pass the size and position bounds are candidates; an upper bound of
-the overlap, from histograms of token hashes, thins them out exactly.  Under frequent keys (groups of near copies) only edges to one member
+From index to links.  Under rare keys, pairs of classes of like sizes are candidates; the number of indexed tokens that a
+pair shares bounds its overlap from above and thins the candidates out exactly.  Under frequent keys (groups of near copies) only edges to one member
 of each key are made, so their number stays in proportion to the index.  Connected candidates form clusters; sets travel once to their
 cluster, and there a breadth-first search with exact overlaps finds the true components.  Clusters too large for one task are cut into blocks and every pair of blocks is searched.
 
@@ -32,7 +32,6 @@ from terse.llm.common import bounded, components, shared_folder, written
 from terse.llm.text_kernel import hashed_words, mix64, sets_per_document, shingle_runs
 
 _U = np.uint64
-HISTOGRAM = 128
 
 
 @dataclass(frozen=True)
@@ -155,11 +154,12 @@ def _index_task(rule: JoinRule, frequent):
             for _, v, heads in _sets(batch, rule.width):
                 prints, sizes = _fingerprint(v, heads), np.diff(heads)
                 owner, key, place, often = _keys(v, heads, frequent.value, rule)
+                rare = np.bincount(owner[~often], minlength=len(sizes)).astype(np.int32)
                 for a in range(0, len(owner), 500_000):
                     o = slice(a, a + 500_000)
                     yield pa.RecordBatch.from_arrays(
-                        [_signed(key[o]), _signed(prints[owner[o]]), pa.array(sizes[owner[o]].astype(np.int32)), pa.array(place[o].astype(np.int32)), pa.array(often[o])],
-                        names=["key", "class", "size", "place", "often"],
+                        [_signed(key[o]), _signed(prints[owner[o]]), pa.array(sizes[owner[o]].astype(np.int32)), pa.array(place[o].astype(np.int32)), pa.array(rare[owner[o]]), pa.array(often[o])],
+                        names=["key", "class", "size", "place", "rare", "often"],
                     )
 
     return run
@@ -174,34 +174,6 @@ def _class_task(rule: JoinRule):
     return run
 
 
-def _histogram_task(width: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for _, v, heads in _sets(batch, width):
-                sizes = np.diff(heads)
-                slot = np.repeat(np.arange(len(sizes)) * HISTOGRAM, sizes) + (v >> _U(57)).astype(np.int64)
-                counts = np.bincount(slot, minlength=len(sizes) * HISTOGRAM).astype("<u4").reshape(len(sizes), HISTOGRAM)
-                yield pa.RecordBatch.from_arrays([_signed(_fingerprint(v, heads)), pa.array([c.tobytes() for c in counts], pa.binary())], names=["class", "h"])
-
-    return run
-
-
-def _bound_task(percent: int):
-    """Keeps pairs whose histograms leave room for enough shared tokens."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), "<u4").reshape(-1, HISTOGRAM) for c in ("ha", "hb"))
-            most = np.minimum(x, y).sum(1, dtype=np.int64)
-            both = x.sum(1, dtype=np.int64) + y.sum(1, dtype=np.int64)
-            keep = 100 * most >= percent * (both - most)
-            yield batch.select(["a", "b"]).filter(pa.array(keep))
-
-    return run
-
-
 def _set_task(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -260,29 +232,22 @@ def _search_task(percent: int):
     return run
 
 
-def candidate_edges(index: DataFrame, docs: DataFrame, representative: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
+def candidate_edges(index: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
     """Edges (a, b) between classes such that linked classes are connected by them."""
     p, q = rule.percent, 100 + rule.percent
-    rare = index.where("not often").select("key", "class", "size", "place")
+    rare = index.where("not often").select("key", "class", "size", "place", "rare")
     met = Window.partitionBy("key")
     some = rare.withColumns({"c0": F.min("class").over(met), "c1": F.max("class").over(met)}).where("c0 <> c1").drop("c0", "c1")
     some = written(some.dropDuplicates(["key", "class"]), folder, "rare")
     x, y = some.alias("x"), some.alias("y")
-    room = F.least(F.col("x.size") - F.col("x.place"), F.col("y.size") - F.col("y.place"))
-    pairs = (
-        x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.class") < F.col("y.class")) & (room * q >= p * (F.col("x.size") + F.col("y.size"))))
-        .select(F.col("x.class").alias("a"), F.col("y.class").alias("b"))
-        .distinct()
-    )
-    pairs = written(pairs, folder, "pairs")
-    ends = written(pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct(), folder, "ends")
-    texts = docs.join(bounded(written(representative.join(bounded(ends), "class").select("doc_id"), folder, "end_docs")), "doc_id")
-    prints = written(texts.mapInArrow(_histogram_task(rule.width), "class bigint, h binary").dropDuplicates(["class"]), folder, "histograms")
-    close = (
-        pairs.join(prints.select(F.col("class").alias("a"), F.col("h").alias("ha")), "a")
-        .join(prints.select(F.col("class").alias("b"), F.col("h").alias("hb")), "b")
-        .mapInArrow(_bound_task(rule.percent), "a bigint, b bigint")
+    alike = 100 * F.least("x.size", "y.size") >= p * F.greatest("x.size", "y.size")
+    met = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.class") < F.col("y.class")) & alike)
+    counted = met.groupBy(F.col("x.class").alias("a"), F.col("y.class").alias("b")).agg(
+        F.count("*").alias("n"), F.first("x.size").alias("sa"), F.first("y.size").alias("sb"), F.first(F.col("x.size") - F.col("x.rare")).alias("ra"), F.first(F.col("y.size") - F.col("y.rare")).alias("rb")
     )
+    # of the set whose indexed rare tokens end first, all that are shared have been counted; the rest may be shared at most
+    most = F.col("n") + F.greatest("ra", "rb")
+    close = counted.where(most * q >= p * (F.col("sa") + F.col("sb"))).select("a", "b")
     often = index.where("often").select("key", "class", "place")
     # the hub of a key is the member with the fewest tokens before it: the least edited copy
     hubs = often.groupBy("key").agg(F.min(F.struct("place", "class"))["class"].alias("hub"), F.max("class").alias("c1"), F.min("class").alias("c0")).where("c0 <> c1")
@@ -297,11 +262,11 @@ def near_duplicates(docs: DataFrame, rule: JoinRule = JoinRule()) -> DataFrame:
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null")
     table = written(docs.mapInArrow(_class_task(rule), "doc_id bigint, n_shingles bigint, class bigint"), folder, "classes")
     frequent = spark.sparkContext.broadcast(frequent_tokens(docs, rule))
-    index = docs.mapInArrow(_index_task(rule, frequent), "key bigint, class bigint, size int, place int, often boolean")
+    index = docs.mapInArrow(_index_task(rule, frequent), "key bigint, class bigint, size int, place int, rare int, often boolean")
     index = written(index, folder, "index")
     representative = table.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.max("n_shingles").alias("n"))
     representative = written(representative, folder, "representatives")
-    edges = written(candidate_edges(index, docs, representative.select("class", "doc_id"), rule, folder), folder, "candidates")
+    edges = written(candidate_edges(index, rule, folder), folder, "candidates")
     clusters = components(edges, folder, "clusters")
     clusters = clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct())
     member = representative.join(clusters.withColumnRenamed("node", "class"), "class").select("doc_id", "class", "root", "n")
