@@ -15,6 +15,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -38,7 +39,7 @@ class NeighbourPlan:
     clean: int = 4000
     calibration: int = 4000
     k: int = 15
-    block: int = 64
+    block: int = 256
     support: int = 4
     chi2: float = 12.0
 
@@ -201,38 +202,61 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
     known = known.withColumn("role", role)
     parts = [known.where(F.col("role") == r).orderBy("h", "doc_id").limit(n) for r, n in (("calibration", plan.calibration), ("toxic", plan.toxic), ("clean", plan.clean))]
     chosen = written(parts[0].unionByName(parts[1]).unionByName(parts[2]).select("doc_id", "y", "role"), shared_folder(docs.sparkSession), "labelled")
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text").toArrow()
-    rows = rows.sort_by([("y", "descending"), ("doc_id", "ascending"), ("text", "ascending")]).combine_chunks()
-    calibrates = np.array([r == "calibration" for r in rows.column("role").to_pylist()], bool)
-    examples, checks = rows.filter(pa.array(~calibrates)), rows.filter(pa.array(calibrates))
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text", F.lit(0).alias("all"))
+    # the bounded sample is worked on by one task each time, so that the driver holds the finished model only
+    rows = written(texts, shared_folder(docs.sparkSession), "sample").repartition(1)
+    vocabulary = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_vocabulary(t, plan).tobytes()), "m binary")) or b"", _U)
+    total, n_docs = _document_frequencies(docs, vocabulary)
+    idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
+    found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, vocabulary, idf))), "m binary"))
+    return pickle.loads(found) if found else NeighbourModel(plan, vocabulary, idf, np.zeros(0, int), np.zeros(0), None, (np.zeros(0), np.zeros(0)), 0.0)
+
+
+def _boxed(data: bytes) -> pa.Table:
+    return pa.table({"m": pa.array([data], pa.binary())})
+
+
+def _one(frame: DataFrame) -> bytes | None:
+    row = frame.first()
+    return bytes(row["m"]) if row else None
+
+
+def _parts(table: pa.Table) -> tuple[pa.Table, pa.Table]:
+    """(examples, calibration rows), examples with toxic ones first."""
+    table = table.sort_by([("y", "descending"), ("doc_id", "ascending"), ("text", "ascending")])
+    calibrates = np.array([r == "calibration" for r in table.column("role").to_pylist()], bool)
+    return table.filter(pa.array(~calibrates)), table.filter(pa.array(calibrates))
+
+
+def _vocabulary(table: pa.Table, plan: NeighbourPlan) -> np.ndarray:
+    """Sorted hashes of the words that tell toxic examples from others."""
+    examples, _ = _parts(table)
     toxic = examples.column("y").to_numpy().astype(np.float64)
-    share = float(rows.column("y").to_numpy().mean()) if len(rows) else 0.0
-    empty = NeighbourModel(plan, np.zeros(0, _U), np.zeros(0), np.zeros(0, int), toxic, None, (np.zeros(0), np.zeros(0)), share)
-    if not len(examples):
-        return empty
-    text = examples.column("text").combine_chunks()
-    found = [(o + a, t, c) for a, owner, h, _, _ in _terms(text) for o, t, c in [_counted(owner, h)]]
-    doc, word, count = (np.concatenate([f[i] for f in found]) for i in range(3))
+    if not len(toxic):
+        return np.zeros(0, _U)
+    found = [(o + a, t) for a, owner, h, _, _ in _terms(examples.column("text").combine_chunks()) for o, t, _ in [_counted(owner, h)]]
+    doc, word = (np.concatenate([f[i] for f in found]) for i in range(2))
     vocabulary, term = np.unique(word, return_inverse=True)
-    df = np.bincount(term)
-    with_toxic = np.bincount(term, toxic[doc])
+    df, with_toxic = np.bincount(term, minlength=len(vocabulary)), np.bincount(term, toxic[doc], len(vocabulary))
     n, n1 = len(toxic), toxic.sum()
     expected = df * n1 / n
     spread = np.maximum(expected * (1 - n1 / n) * (1 - df / n), 1e-9)
-    keep = (df >= plan.support) & (np.square(with_toxic - expected) / spread >= plan.chi2) & (with_toxic > expected)
-    chosen_terms = np.flatnonzero(keep)
-    renumber = np.full(len(vocabulary), -1)
-    renumber[chosen_terms] = np.arange(len(chosen_terms))
-    vocabulary = vocabulary[chosen_terms]
-    total, n_docs = _document_frequencies(docs, vocabulary)
-    idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
-    hit = renumber[term] >= 0
-    doc, term, count = doc[hit], renumber[term[hit]], count[hit]
-    weight = (1 + np.log(count)) * idf[term] if len(term) else np.zeros(0)
+    return vocabulary[(df >= plan.support) & (np.square(with_toxic - expected) / spread >= plan.chi2) & (with_toxic > expected)]
+
+
+def _built(table: pa.Table, plan: NeighbourPlan, vocabulary: np.ndarray, idf: np.ndarray) -> NeighbourModel:
+    """Index of the examples, and the calibration of votes."""
+    examples, checks = _parts(table)
+    share = float(table.column("y").to_numpy().mean())
+    toxic, n = examples.column("y").to_numpy().astype(np.float64), len(examples)
+    model = NeighbourModel(plan, vocabulary, idf, examples.column("doc_id").to_numpy(), toxic, None, (np.zeros(0), np.zeros(0)), share)
+    if not n:
+        return model
+    found = [(o + a, t, c) for a, owner, h, _, _ in _terms(examples.column("text").combine_chunks()) for o, t, c in [_in_vocabulary(vocabulary, owner, h)]]
+    doc, term, count = (np.concatenate([f[i] for f in found]) for i in range(3))
+    weight = (1 + np.log(np.maximum(count, 1))) * idf[term] if len(term) else np.zeros(0)
     norm = np.sqrt(np.bincount(doc, np.square(weight), n)) if len(doc) else np.ones(n)
-    weight = weight / np.maximum(norm[doc], 1e-12)
-    index = BlockMaxIndex(n, doc, term, weight, len(vocabulary), plan.block)
-    model = NeighbourModel(plan, vocabulary, idf, examples.column("doc_id").to_numpy(), toxic, index, (np.zeros(0), np.zeros(0)), share)
+    model.index = BlockMaxIndex(n, doc, term, weight / np.maximum(norm[doc], 1e-12), len(vocabulary), plan.block)
     truth = checks.column("y").to_numpy().astype(np.float64)
     votes = np.full(len(truth), np.nan)
     if len(truth):
