@@ -240,7 +240,7 @@ def _(s, d):
 
 @query("agg_pivot", "SELECT l_linestatus, count(*) FILTER (l_returnflag = 'A') AS A, count(*) FILTER (l_returnflag = 'N') AS N, count(*) FILTER (l_returnflag = 'R') AS R FROM lineitem GROUP BY l_linestatus")
 def _(s, d):
-    return read(s, d, "lineitem", "l_returnflag", "l_linestatus").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count("*")).na.fill(0)
+    return read(s, d, "lineitem", "l_returnflag", "l_linestatus").groupBy("l_linestatus").pivot("l_returnflag", ["A", "N", "R"]).agg(F.count(F.lit(1))).na.fill(0)
 
 
 @query("agg_unpivot", "SELECT n_nationkey, what, v FROM (SELECT n_nationkey, CAST(n_regionkey AS BIGINT) AS region, CAST(length(n_name) AS BIGINT) AS letters FROM nation) UNPIVOT (v FOR what IN (region, letters))")
@@ -541,8 +541,8 @@ def _(s, d):
 def _(s, d):
     """Documents that hold no benchmark text as it stands: candidates share a passage's opening words, then the whole is compared."""
     docs, items = read(s, d, "documents", "doc_id", "text"), read(s, d, "benchmark", "item_id", "text").withColumnRenamed("text", "passage")
-    words = lambda c: F.split(F.col(c), " ")
-    heads = items.select("passage", F.array_join(F.slice(words("passage"), 2, 4), " ").alias("k"))
-    grams = docs.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(words("text")) - 3, F.lit(1))), lambda i: F.array_join(F.slice(words("text"), i, 4), " ")))).alias("k"))
+    heads = items.select("passage", F.array_join(F.slice(F.split("passage", " "), 2, 4), " ").alias("k"))
+    runs = docs.select("doc_id", F.split("text", " ").alias("w")).withColumn("n", F.greatest(F.size("w") - 3, F.lit(1)))
+    grams = runs.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.col("n")), lambda i: F.array_join(F.slice("w", i, 4), " ")))).alias("k"))
     hit = grams.join(F.broadcast(heads), "k").join(docs, "doc_id").where(F.col("text").contains(F.col("passage"))).select("doc_id").distinct()
     return docs.select("doc_id").join(hit, "doc_id", "left_anti")

@@ -9,11 +9,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from terse.operators.codecs import NormTernary
-from terse.operators.objectives import L1, ConvNet, Logistic, Perceptron, ResidualNet, Softmax
+from terse.operators.objectives import L1, ConvNet, Logistic, Perceptron, ResidualNet, Ridge, Softmax
 from terse.plans import methods as M
 from terse.plans.engine import QuadraticSource, RowSource, Sampler, SparkSource, dense, fit, quadratic, regularised_optimum, ridge_problem, trace_frame
 from terse.sources.tables import read
 
+M_RIDGE = Ridge(0.1)
 OUTCOME = "workload string, setting string, method string, value double"
 
 
@@ -21,7 +22,7 @@ def embedding_ridge(spark: SparkSession, sf_dir: str, workers: int = 10, target:
     """Embeddings times 8 as features; target planted with noise, or the centred label; dealt by id or by label."""
     w = np.random.default_rng(7).normal(0, 1, 64)
     x = F.transform("embedding", lambda e: e.cast("double") * 8)
-    noise = (F.pmod(F.xxhash64("vec_id"), F.lit(2001)) - 1000) / 1000 * 0.17
+    noise = (F.pmod(F.xxhash64("row_id"), F.lit(2001)) - 1000) / 1000 * 0.17
     planted = F.aggregate(F.zip_with("x", F.array(*[F.lit(float(v)) for v in w]), lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b) + noise
     who = F.col("label") if how == "label" else F.pmod("vec_id", F.lit(workers))
     rows = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), who.cast("long").alias("worker_id"), x.alias("x"), "label")
@@ -166,11 +167,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     best = source.optimum()
     return trace_frame(spark, [fit(source, m, M.Schedule(0.05), 200, optimum=best, every=10, measure_loss=True) for m in (M.plain(), M.gradient_difference(16), M.two_way_residual(16))])
 
-
-from terse.operators.objectives import Ridge  # noqa: E402
-
-M_RIDGE = Ridge(0.1)
-
 QUERIES = {
     "run_w1_all": regression, "run_w3_softmax": softmax, "run_w4_text": text, "run_w5_conv": conv_net, "run_w5_perceptron": perceptron, "run_w6_residual": residual_net, "run_w9_lasso": proximal,
     "run_w10_grid": sensitivity, "run_w12_diminishing": diminishing, "run_w13_speedup": speedup, "run_w14_label_skew": heterogeneous, "run_w15_noise": noise, "run_flagship": flagship,
