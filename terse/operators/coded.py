@@ -143,13 +143,12 @@ _add("codec_budget", None, _budget)
 
 SIZES = "SELECT d, block FROM (VALUES (64), (500), (11000000)) a(d), (VALUES (16), (64), (128), (256), (320), (512)) b(block)"
 RAW, CODED = "(32.0::DOUBLE * d)", "(CAST(d AS DOUBLE) / block * 32.0::DOUBLE + d * 1.5::DOUBLE)"
-d_, b_ = F.col("d"), F.col("block")
-_add("bits_raw", f"SELECT DISTINCT CAST(d AS BIGINT) AS d, {RAW} AS bits FROM ({SIZES})", lambda s, p: costs.sizes(s).select("d", costs.bits_raw(d_).alias("bits")).distinct())
+_add("bits_raw", f"SELECT DISTINCT CAST(d AS BIGINT) AS d, {RAW} AS bits FROM ({SIZES})", lambda s, p: costs.sizes(s).select("d", costs.bits_raw(F.col("d")).alias("bits")).distinct())
 _add(
     "bits_ternary", f"SELECT CAST(d AS BIGINT) AS d, CAST(block AS BIGINT) AS block, {CODED} AS bits, ceil(CAST(d AS DOUBLE) / block) * 32.0::DOUBLE + d * 1.5::DOUBLE AS exact FROM ({SIZES})",
-    lambda s, p: costs.sizes(s).select("d", "block", costs.bits_ternary(d_, b_).alias("bits"), costs.bits_ternary(d_, b_, exact=True).alias("exact")),
+    lambda s, p: costs.sizes(s).select("d", "block", costs.bits_ternary(F.col("d"), F.col("block")).alias("bits"), costs.bits_ternary(F.col("d"), F.col("block"), exact=True).alias("exact")),
 )
-_add("bits_rate", f"SELECT CAST(d AS BIGINT) AS d, CAST(block AS BIGINT) AS block, {RAW} / {CODED} AS rate FROM ({SIZES})", lambda s, p: costs.sizes(s).select("d", "block", (costs.bits_raw(d_) / costs.bits_ternary(d_, b_)).alias("rate")))
+_add("bits_rate", f"SELECT CAST(d AS BIGINT) AS d, CAST(block AS BIGINT) AS block, {RAW} / {CODED} AS rate FROM ({SIZES})", lambda s, p: costs.sizes(s).select("d", "block", (costs.bits_raw(F.col("d")) / costs.bits_ternary(F.col("d"), F.col("block"))).alias("rate")))
 _legs = ", ".join(f"('{m}', {str(u).lower()}, {str(w).lower()})" for m, (u, w) in costs.LEGS.items())
 _per = f"SELECT method, CAST(d AS BIGINT) AS d, CAST(block AS BIGINT) AS block, CASE WHEN up THEN {CODED} ELSE {RAW} END + CASE WHEN down THEN {CODED} ELSE {RAW} END AS bits FROM ({SIZES}), (VALUES {_legs}) m(method, up, down)"
 _add("bits_per_iteration", _per, lambda s, p: costs.bits_per_iteration(s).drop("saving"))
@@ -221,10 +220,10 @@ def _trace(s):
 
 _add("measure_linear_rate", f"SELECT method, floor(regr_slope(ln(dist), iter) * 1e6 + 0.5) AS slope FROM ({TRACE_SQL}) GROUP BY method", lambda s, d: _trace(s).groupBy("method").agg(F.floor(F.regr_slope(F.log("dist"), F.col("iter").cast("double")) * 1e6 + 0.5).cast("double").alias("slope")))
 _add("measure_floor", f"SELECT method, median(dist) AS floor FROM ({TRACE_SQL}) WHERE iter > 80 GROUP BY method", lambda s, d: _trace(s).where("iter > 80").groupBy("method").agg(F.median("dist").alias("floor")))
-_w = Window.partitionBy("method").orderBy("iter").rowsBetween(Window.unboundedPreceding, 0)
-_add("measure_cumulative_bits", f"SELECT method, iter, CAST(sum(bits) OVER (PARTITION BY method ORDER BY iter) AS BIGINT) AS so_far FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.sum("bits").over(_w).alias("so_far")))
-_add("measure_to_target", f"SELECT method, min(iter) AS iter, CAST(min(iter * bits) AS BIGINT) AS bits FROM ({TRACE_SQL}) WHERE dist < 400000 GROUP BY method", lambda s, d: _trace(s).withColumn("so_far", F.sum("bits").over(_w)).where("dist < 400000").groupBy("method").agg(F.min("iter").alias("iter"), F.min("so_far").alias("bits")))
-_add("measure_grad_norm_avg", f"SELECT method, iter, avg(dist) OVER (PARTITION BY method ORDER BY iter) AS mean FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.avg("dist").over(_w).alias("mean")))
+_w = lambda: Window.partitionBy("method").orderBy("iter").rowsBetween(Window.unboundedPreceding, 0)
+_add("measure_cumulative_bits", f"SELECT method, iter, CAST(sum(bits) OVER (PARTITION BY method ORDER BY iter) AS BIGINT) AS so_far FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.sum("bits").over(_w()).alias("so_far")))
+_add("measure_to_target", f"SELECT method, min(iter) AS iter, CAST(min(iter * bits) AS BIGINT) AS bits FROM ({TRACE_SQL}) WHERE dist < 400000 GROUP BY method", lambda s, d: _trace(s).withColumn("so_far", F.sum("bits").over(_w())).where("dist < 400000").groupBy("method").agg(F.min("iter").alias("iter"), F.min("so_far").alias("bits")))
+_add("measure_grad_norm_avg", f"SELECT method, iter, avg(dist) OVER (PARTITION BY method ORDER BY iter) AS mean FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.avg("dist").over(_w()).alias("mean")))
 
 # predictions of a fixed model (weights -2..2) on the embeddings, in grid units: exact sums
 PREDICTED = f"SELECT vec_id, label, CAST(sum(v * (coord % 5 - 2)) AS BIGINT) AS p FROM ({COORDINATES.replace('SELECT vec_id', 'SELECT vec_id, label')}) GROUP BY vec_id, label"
@@ -235,13 +234,13 @@ def _predicted(s, d):
     return p.join(read(s, d, "embeddings", "vec_id", "label"), "vec_id")
 
 
-_e = F.col("p").cast("double") / 1048576 * 10 - F.col("label")
-_loss = lambda s, d: _predicted(s, d).withColumn("e2", F.floor(_e * _e * 1e6 + 0.5).cast("long"))
+_e = lambda: F.col("p").cast("double") / 1048576 * 10 - F.col("label")
+_loss = lambda s, d: _predicted(s, d).withColumn("e2", F.floor(_e() * _e() * 1e6 + 0.5).cast("long"))
 _LOSS = f"SELECT *, CAST(floor((CAST(p AS DOUBLE) / 1048576 * 10 - label) * (CAST(p AS DOUBLE) / 1048576 * 10 - label) * 1e6 + 0.5) AS BIGINT) AS e2 FROM ({PREDICTED})"
 _test = f"{draw_sql(21, 'vec_id')} >= 0.8"
-_is_test = draw(21, F.col("vec_id"), mode="portable") >= 0.8
+_is_test = lambda: draw(21, F.col("vec_id"), mode="portable") >= 0.8
 _add("measure_loss", f"SELECT vec_id % 10 AS worker, CAST(sum(e2) AS DOUBLE) / count(*) AS loss FROM ({_LOSS}) GROUP BY 1", lambda s, d: _loss(s, d).groupBy((F.col("vec_id") % 10).alias("worker")).agg((F.sum("e2").cast("double") / F.count("*")).alias("loss")))
-_add("measure_test_loss", f"SELECT CAST(sum(e2) AS DOUBLE) / count(*) AS loss FROM ({_LOSS}) WHERE {_test}", lambda s, d: _loss(s, d).where(_is_test).agg((F.sum("e2").cast("double") / F.count("*")).alias("loss")))
+_add("measure_test_loss", f"SELECT CAST(sum(e2) AS DOUBLE) / count(*) AS loss FROM ({_LOSS}) WHERE {_test}", lambda s, d: _loss(s, d).where(_is_test()).agg((F.sum("e2").cast("double") / F.count("*")).alias("loss")))
 _add("measure_accuracy", f"SELECT count(*) FILTER (abs(p) % 10 = label) AS hits, count(*) AS n FROM ({PREDICTED})", lambda s, d: _predicted(s, d).agg(F.count_if(F.abs("p") % 10 == F.col("label")).alias("hits"), F.count("*").alias("n")))
 _add("measure_distance", f"SELECT vec_id, CAST(sum((v - m) * (v - m)) AS BIGINT) AS d2 FROM (SELECT *, first_value(v) OVER (PARTITION BY coord ORDER BY vec_id) AS m FROM ({COORDINATES})) GROUP BY vec_id", lambda s, d: RELATIONAL["join_lateral"](s, d).withColumn("m", F.first("v").over(Window.partitionBy("coord").orderBy("vec_id"))).groupBy("vec_id").agg(F.sum((F.col("v") - F.col("m")) * (F.col("v") - F.col("m"))).alias("d2")))
 _G = f"SELECT label AS worker, coord, CAST(floor(CAST(sum(v * (p // 1048576)) AS DOUBLE) / count(*) + 0.5) AS BIGINT) AS g FROM ({COORDINATES}) c JOIN ({PREDICTED}) USING (vec_id) GROUP BY label, coord"

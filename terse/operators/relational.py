@@ -29,7 +29,6 @@ def query(name: str, sql: str):
 
 cents = lambda c: F.floor(F.col(c) * 100 + 0.5).cast("long")
 day = lambda c: F.date_format(c, "yyyy-MM-dd")
-JSON_K = F.get_json_object("props", "$.k").cast("long")
 
 # ---- scans, projections, filters -------------------------------------------------------------------------------------
 
@@ -523,7 +522,7 @@ def _(s, d):
 
 @query("feat_event_samples", "SELECT event_id, event_type, extract(hour FROM ts) AS hour, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, value / 50 AS y FROM events")
 def _(s, d):
-    return read(s, d, "events").select("event_id", "event_type", F.hour("ts").cast("long").alias("hour"), JSON_K.alias("k"), (F.col("value") / 50).alias("y"))
+    return read(s, d, "events").select("event_id", "event_type", F.hour("ts").cast("long").alias("hour"), F.get_json_object("props", "$.k").cast("long").alias("k"), (F.col("value") / 50).alias("y"))
 
 
 @query("feat_page_text", r"SELECT page_id, length(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), ' +', ' ', 'g')) AS n_chars FROM pages")

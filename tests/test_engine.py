@@ -165,7 +165,14 @@ def test_synthetic_regression_at_default_settings():
     assert runs["two_way_residual"].trace[-1]["dist"] < 1e-2 * start
     assert abs(np.log10(runs["two_way_residual"].trace[-1]["dist"] / runs["plain"].trace[-1]["dist"])) < 1
     assert runs["two_sided_compensated"].trace[-1]["dist"] > runs["two_sided_largest_k"].trace[-1]["dist"]
-    assert runs["two_sided_compensated"].trace[-1]["dist"] > start  # the compensated method with a norm codec diverges at this step
+
+
+@pytest.mark.xfail(reason="reported to diverge at this step; on this matrix it turns back from 4.2 and settles near 8, of 14.7 at the start", strict=False)
+def test_norm_coded_two_sided_method_diverges_at_the_larger_step():
+    source = quadratic(ridge_problem())
+    best = source.optimum()
+    run = fit(source, M.two_sided_compensated(256), M.Schedule(0.05), 700, optimum=best, every=100)
+    assert run.trace[-1]["dist"] > np.linalg.norm(best)
 
 
 def test_proximal_run_reaches_the_regularised_optimum(small):
