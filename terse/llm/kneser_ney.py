@@ -1,15 +1,18 @@
 """Interpolated modified Kneser-Ney trigram model: counted in Spark, stored as sorted hash arrays, memory-mapped by workers.
 
-Counting.  Tasks hash the words of whole texts (two start marks, one end), count trigrams of their part, and send them as
-packed blobs to the partition of the trigram's last two words.  There all trigrams with one suffix meet, so the partition knows their counts,
-the raw count of the suffix bigram and its continuation count (distinct words before it).  Bigrams by their last word give the same one
-order lower.  Trigrams and bigrams seen once are not stored (their mass goes to the lower order), but all of them count in the discounts and
-totals.  A second pass gathers, by context, what stored n-grams keep after their discounts, so that every distribution sums to one.
+Counting.  Tasks hash the words of whole texts (two start marks, one end), count trigrams and words of their part, and send them as packed
+blobs to the partition of the trigram's last two words.  There all trigrams with one suffix meet, so the partition knows their counts, the raw
+count of the suffix bigram and its continuation count (distinct words before it).  Every n-gram is stored, those seen once as well.
 
-Storing.  Each table is a folder of raw array files in the shared store: sorted 64-bit keys and their numbers, cut by key range.  Workers
-map them (or copy them first, if the store is not a local file system, and unlink the copy once it is mapped).
+Sums by context.  A second pass over the texts looks the counts up.  What a context keeps after discounts is a sum over its distinct n-grams;
+each occurrence of an n-gram seen c times adds one c-th of its term, so tasks send one number for each context they meet, not for each n-gram.
+A context that occurs once needs no number: one trigram seen once follows it.  Words get their continuation counts in the same way.
 
-Scoring.  A narrow pass over the texts; look-ups are binary searches over sorted query keys.
+Storing.  Each table is a folder of array files in the shared store, cut by key range: an index by the leading bits of the sorted keys, their
+low 32 bits, and their numbers (counts as bytes, larger ones apart).  Workers map them (or copy them first, if the store is not a local file
+system, and unlink the copy once it is mapped).
+
+Scoring.  A narrow pass over the texts; look-ups are binary searches.
 
 Defined cases: null and empty texts have one token, the end; repeated rows are learnt as often as they occur; with no training rows every score
 rests on the unseen word alone; other columns are ignored.
@@ -21,7 +24,7 @@ import os
 import tempfile
 import uuid
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +38,10 @@ from terse.llm.text_kernel import hashed_words, mix64
 _U = np.uint64
 START, END = _U(0x0123456789ABCDEF), _U(0xFEDCBA9876543210)
 HIGH, LOW = 38, 18
-"""Bits of an n-gram's key: the high ones tell what it is grouped by (its last two words, its last word, or its context), the low ones the word that varies."""
+"""Bits of a trigram's key: the high ones tell its last two words, the low ones the word before them."""
+
+CHUNK_BYTES = 4 << 20
+"""Bytes of text whose tokens are looked up at once: the more, the fewer visits to each file."""
 
 
 def _pair(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -46,14 +52,14 @@ def _keyed(group: np.ndarray, other: np.ndarray) -> np.ndarray:
     return ((group >> _U(64 - HIGH)) << _U(LOW)) | (other >> _U(64 - LOW))
 
 
-def _top(group: np.ndarray) -> np.ndarray:
-    """A group's bits of a key, alone."""
-    return (group >> _U(64 - HIGH)) << _U(LOW)
+def _pair_key(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Two words' key: the bits by which trigrams are grouped."""
+    return _pair(a, b) >> _U(64 - HIGH)
 
 
 def token_streams(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """Per chunk: first and last document, token hashes with two starts before and an end after each document, and document heads."""
-    for a, b, words, firsts in hashed_words(column, lower=True):
+    for a, b, words, firsts in hashed_words(column, lower=True, size=CHUNK_BYTES):
         n = np.diff(firsts)
         heads = np.zeros(len(n) + 1, np.int64)
         np.cumsum(n + 3, out=heads[1:])
@@ -86,15 +92,18 @@ def pack(keys: np.ndarray, counts: np.ndarray) -> tuple[bytes, bytes, bytes]:
     return bytes([width]) + keys[:1].astype("<u8").tobytes() + raw.tobytes(), small.tobytes(), counts[small == 255].astype("<u4").tobytes()
 
 
-def unpack(keys: bytes, small: bytes, large: bytes) -> tuple[np.ndarray, np.ndarray]:
+def _unpack_keys(keys: bytes) -> np.ndarray:
     width = keys[0]
     raw = np.frombuffer(keys, np.uint8, offset=9).reshape(-1, width)
     wide = np.zeros((len(raw), 8), np.uint8)
     wide[:, :width] = raw
-    out = np.frombuffer(keys, "<u8", 1, 1)[0] + np.cumsum(wide.reshape(-1).view("<u8"), dtype=_U)
+    return np.frombuffer(keys, "<u8", 1, 1)[0] + np.cumsum(wide.reshape(-1).view("<u8"), dtype=_U)
+
+
+def unpack(keys: bytes, small: bytes, large: bytes) -> tuple[np.ndarray, np.ndarray]:
     n = np.frombuffer(small, np.uint8).astype(np.int64)
     n[n == 255] = np.frombuffer(large, "<u4")
-    return out, n
+    return _unpack_keys(keys), n
 
 
 def _counted(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
@@ -114,28 +123,58 @@ def _sum_sorted(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.nd
 
 
 BLOB = pa.schema([("part", pa.int32()), ("order", pa.int8()), ("k", pa.binary()), ("p", pa.binary()), ("c", pa.binary())])
+WIDTH = {3: HIGH + LOW, 1: 64}
+"""Bits of the keys of counted trigrams and words."""
+SUM_WIDTH = {3: HIGH, 2: 64, 1: 64}
+"""Bits of the keys of sums by two words, by the first word of a bigram, and by its last."""
 _BLOB_DDL = "part int, order tinyint, k binary, p binary, c binary"
 
 
-def _blobs(keys: np.ndarray, counts: np.ndarray, order: int, bits: int) -> pa.RecordBatch:
-    """One row for each range of keys (their top ``bits``), so that equal groups meet."""
-    parts = (keys >> _U((64 if order == 1 else HIGH + LOW) - bits)).astype(np.int64)
-    cuts = np.flatnonzero(np.diff(parts)) + 1
-    spans = list(zip(np.concatenate(([0], cuts)), np.concatenate((cuts, [len(keys)])), strict=True)) if len(keys) else []
-    rows = [(int(parts[a]), order, *pack(keys[a:b], counts[a:b])) for a, b in spans]
+def _cut(keys: np.ndarray, width: int, bits: int) -> Iterator[tuple[int, slice]]:
+    """Ranges of sorted keys by their top ``bits`` of ``width``."""
+    parts = (keys >> _U(width - bits)).astype(np.int64)
+    cuts = np.concatenate(([0], np.flatnonzero(np.diff(parts)) + 1, [len(keys)])) if len(keys) else np.zeros(1, np.int64)
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        yield int(parts[a]), slice(a, b)
+
+
+def _batch(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], BLOB.field(i).type) for i in range(5)], schema=BLOB)
 
 
-def _merged(table: pa.Table, order: int, once: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """All keys of one order with their counts added up; with ``once`` equal keys have equal counts, of which one is kept."""
-    rows = [unpack(k, p, c) for o, k, p, c in zip(*(table.column(x).to_pylist() for x in ("order", "k", "p", "c")), strict=True) if o == order]
+def _blobs(keys: np.ndarray, counts: np.ndarray, order: int, bits: int) -> pa.RecordBatch:
+    """Counts, one row for each range of keys, so that equal groups meet."""
+    return _batch([(part, order, *pack(keys[at], counts[at])) for part, at in _cut(keys, WIDTH[order], bits)])
+
+
+def _sum_blobs(keys: np.ndarray, sums: list[np.ndarray], order: int, bits: int) -> pa.RecordBatch:
+    """One or two sums for each key, one row for each range of keys."""
+    empty = np.zeros(0)
+    first, second = (*sums, empty)[:2]
+    return _batch([(part, order, pack(keys[at], empty)[0], first[at].tobytes(), second[at].tobytes()) for part, at in _cut(keys, SUM_WIDTH[order], bits)])
+
+
+def _rows(table: pa.Table, order: int) -> list[tuple[bytes, bytes, bytes]]:
+    return [(k, p, c) for o, k, p, c in zip(*(table.column(x).to_pylist() for x in ("order", "k", "p", "c")), strict=True) if o == order]
+
+
+def _merged(table: pa.Table, order: int) -> tuple[np.ndarray, np.ndarray]:
+    """All keys of one order with their counts added up."""
+    rows = [unpack(*r) for r in _rows(table, order)]
     if not rows:
         return np.zeros(0, _U), np.zeros(0, np.int64)
-    keys, counts = np.concatenate([r[0] for r in rows]), np.concatenate([r[1] for r in rows])
-    if once:
-        keys, first = np.unique(keys, return_index=True)
-        return keys, counts[first]
-    return _sum_sorted(keys, counts)
+    return _sum_sorted(np.concatenate([r[0] for r in rows]), np.concatenate([r[1] for r in rows]))
+
+
+def _merged_sums(table: pa.Table, order: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """All keys of one order with their two sums (zeros where there is one) added up."""
+    rows = _rows(table, order)
+    if not rows:
+        return np.zeros(0, _U), np.zeros(0), np.zeros(0)
+    keys, at = np.unique(np.concatenate([_unpack_keys(k) for k, _, _ in rows]), return_inverse=True)
+    first = np.concatenate([np.frombuffer(p) for _, p, _ in rows])
+    second = np.concatenate([np.frombuffer(c) if c else np.zeros(len(p) // 8) for _, p, c in rows])
+    return keys, np.bincount(at, first, len(keys)), np.bincount(at, second, len(keys))
 
 
 def _group_heads(keys: np.ndarray) -> np.ndarray:
@@ -154,45 +193,103 @@ def _store(folder: str) -> tuple[fs.FileSystem, str]:
     return fs.FileSystem.from_uri(folder)
 
 
-def save_arrays(folder: str, name: str, **arrays: np.ndarray) -> None:
-    """Writes arrays under a private name and moves them into place: a task that runs twice leaves the same files."""
+def save_arrays(folder: str, name: str, arrays: list[np.ndarray]) -> None:
+    """Writes arrays into one file under a private name and moves it into place: a task that runs twice leaves the same file."""
     store, root = _store(folder)
     store.create_dir(root, recursive=True)
-    for kind, values in arrays.items():
-        private = f"{root}/_{uuid.uuid4().hex}"
-        with store.open_output_stream(private) as f:
-            f.write(np.ascontiguousarray(values).data.cast("B") if len(values) else b"")
-        store.move(private, f"{root}/{name}.{kind}")
+    private = f"{root}/_{uuid.uuid4().hex}"
+    with store.open_output_stream(private) as f:
+        f.write(np.array([x.nbytes for x in arrays], "<i8").tobytes())
+        for values in arrays:
+            if len(values):
+                f.write(np.ascontiguousarray(values).data.cast("B"))
+            f.write(bytes(-values.nbytes % 8))
+    store.move(private, f"{root}/{name}")
 
 
-_MAPPED: dict[str, np.ndarray] = {}
+_MAPPED: dict[str, list[np.ndarray]] = {}
 
 
-def mapped(folder: str, name: str, dtype: str) -> np.ndarray:
-    """A stored array, memory-mapped; kept for the worker's later tasks."""
+def mapped(folder: str, name: str, kinds: list[str]) -> list[np.ndarray]:
+    """The arrays of a stored file, memory-mapped; kept for the worker's later tasks.  Empty where there is no file."""
     key = f"{folder}/{name}"
     if key not in _MAPPED:
-        if len(_MAPPED) > 4096:
+        if len(_MAPPED) > 32_000:
             _MAPPED.clear()
         store, root = _store(folder)
         path, copy = f"{root}/{name}", None
-        size = store.get_file_info(path).size or 0
-        if size and not isinstance(store, fs.LocalFileSystem):
+        there = store.get_file_info(path).type == fs.FileType.File
+        if there and not isinstance(store, fs.LocalFileSystem):
             handle, copy = tempfile.mkstemp()
             os.close(handle)
             fs.copy_files(path, copy, source_filesystem=store, destination_filesystem=fs.LocalFileSystem())
             path = copy
-        _MAPPED[key] = np.memmap(path, dtype, mode="r") if size else np.zeros(0, dtype)
+        out = [np.zeros(0, kind) for kind in kinds]
+        if there:
+            raw = np.asarray(np.memmap(path, np.uint8, mode="r"))
+            at = 8 * len(kinds)
+            for k, size in enumerate(raw[:at].view("<i8").tolist()):
+                out[k] = raw[at : at + size].view(kinds[k])
+                at += size + -size % 8
         if copy:
             os.unlink(copy)  # the mapping keeps the bytes; nothing is left behind
+        _MAPPED[key] = out
     return _MAPPED[key]
 
 
 class RangeTable:
-    """Sorted keys with numbers, in 2**bits files by the keys' top bits."""
+    """Sorted keys with numbers, in 2**bits files by the keys' top bits.
+
+    A file's index tells where the keys of each value of their further bits begin, down to the last 32, which it holds.  Keys of 64 bits are
+    held whole.  Numbers of kind ``u1`` are counts: bytes, with those of 255 and more in a list apart.
+    """
 
     def __init__(self, folder: str, table: str, bits: int, width: int, values: dict[str, str]):
         self.folder, self.table, self.bits, self.width, self.values = folder, table, bits, width, values
+        self.whole = width == 64
+        self.low = width - bits
+        self.kinds = ["<u4", "<u8" if self.whole else "<u4"]
+        for kind in values.values():
+            self.kinds += [kind, "<i8"]
+
+    def _places(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Index cell and held bits of keys of one file."""
+        own = keys & _U((1 << self.low) - 1)
+        return (own >> _U(32)).astype(np.int64), (own & _U(0xFFFFFFFF)).astype("<u4")
+
+    def save(self, part: int, keys: np.ndarray, **values: np.ndarray) -> None:
+        if self.whole:
+            arrays = [np.zeros(0, "<u4"), keys.astype("<u8")]
+        else:
+            cells, held = self._places(keys)
+            index = np.zeros((1 << max(0, self.low - 32)) + 1, "<u4")
+            np.cumsum(np.bincount(cells, minlength=len(index) - 1), out=index[1:], dtype="<u4")
+            arrays = [index, held]
+        for name, kind in self.values.items():
+            n, big = values[name], np.zeros(0, np.int64)
+            if kind == "u1":
+                big = np.flatnonzero(n >= 255)
+                big = np.concatenate((big, n[big]))
+                n = np.minimum(n, 255)
+            arrays += [n.astype(kind), big.astype("<i8")]
+        save_arrays(self.folder, f"{self.table}-{part}", arrays)
+
+    def _search(self, index: np.ndarray, own: np.ndarray, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where each key is, and whether it is there."""
+        if self.whole or len(index) == 2:
+            held = asked if self.whole else self._places(asked)[1]
+            at = np.minimum(np.searchsorted(own, held), len(own) - 1)
+            return at, own[at] == held
+        cells, held = self._places(asked)
+        low, end = index[cells].astype(np.int64), index[cells + 1].astype(np.int64)
+        high, last = end.copy(), len(own) - 1
+        for _ in range(int((end - low).max()).bit_length()):
+            mid = (low + high) >> 1
+            less = (own[np.minimum(mid, last)] < held) & (low < high)
+            low = np.where(less, mid + 1, low)
+            high = np.where(less, high, mid)
+        at = np.minimum(low, last)
+        return at, (low < end) & (own[at] == held)
 
     def find(self, keys: np.ndarray) -> dict[str, np.ndarray]:
         """The numbers of each key, 0 where it is unknown."""
@@ -203,14 +300,20 @@ class RangeTable:
         cuts = np.append(np.searchsorted(asked, edges), len(asked))
         for part in np.flatnonzero(np.diff(cuts)):
             a, b = cuts[part], cuts[part + 1]
-            own = mapped(self.folder, f"{self.table}-{part}.keys", "<u8")
+            index, own, *numbers = mapped(self.folder, f"{self.table}-{part}", self.kinds)
             if not len(own):
                 continue
-            at = np.minimum(np.searchsorted(own, asked[a:b]), len(own) - 1)
-            hit = own[at] == asked[a:b]
-            place = order[a:b][hit]
-            for v, kind in self.values.items():
-                out[v][place] = mapped(self.folder, f"{self.table}-{part}.{v}", kind)[at[hit]]
+            at, hit = self._search(index, own, asked[a:b])
+            at, place = at[hit], order[a:b][hit]
+            for k, (v, kind) in enumerate(self.values.items()):
+                n = numbers[2 * k][at]
+                if kind == "u1":
+                    n = n.astype(np.int64)
+                    big = np.flatnonzero(n == 255)
+                    if len(big):
+                        where, large = numbers[2 * k + 1].reshape(2, -1)
+                        n[big] = large[np.searchsorted(where, at[big])]
+                out[v][place] = n
         return out
 
 
@@ -231,8 +334,15 @@ class Model:
     uniform: float = 1.0
 
     def table(self, name: str) -> RangeTable:
-        kinds = {"tri": {"n": "<i4"}, "bi": {"raw": "<i4", "cont": "<i4"}, "uni": {"raw": "<i8", "cont": "<i8"}, "ctx3": {"mass": "<f8"}, "ctx2": {"total": "<i8", "mass": "<f8"}}
-        return RangeTable(self.folder, name, self.bits, 64 if name == "uni" else HIGH + LOW, kinds[name])
+        width, values = {
+            "tri": (HIGH + LOW, {"n": "u1"}),
+            "bi": (HIGH, {"raw": "u1", "cont": "u1"}),
+            "uni": (64, {"raw": "<i8"}),
+            "ctx3": (HIGH, {"mass": "<f8"}),
+            "ctx2": (64, {"total": "<i8", "mass": "<f8"}),
+            "ends": (64, {"cont": "<i8"}),
+        }[name]
+        return RangeTable(self.folder, name, self.bits, width, values)
 
     def less(self, order: int, counts: np.ndarray) -> np.ndarray:
         """Counts after the discount of their class; 0 stays 0."""
@@ -259,20 +369,18 @@ def _flushed(batches: Iterator[pa.RecordBatch], take, send) -> Iterator[pa.Recor
 
 
 def _count_task(bits: int):
-    """Trigrams by their last two words, bigrams by their last word, and words."""
+    """Trigrams by their last two words, and words."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list[np.ndarray]] = {3: [], 2: [], 1: []}
+        held: dict[int, list[np.ndarray]] = {3: [], 1: []}
 
         def take(s, t):
             held[3].append(_keyed(_pair(s[t - 1], s[t]), mix64(s[t - 2])))
-            held[2].append(_keyed(s[t], mix64(s[t - 1])))
             held[1].append(s[t])
 
         def send():
             for order, parts in held.items():
-                keys, counts = _counted(parts)
-                yield _blobs(keys, counts if order != 2 else np.ones_like(counts), order, bits)
+                yield _blobs(*_counted(parts), order, bits)
 
         return _flushed(batches, take, send)
 
@@ -290,62 +398,60 @@ def _classes(prefix: str, counts: np.ndarray) -> dict[str, int]:
     return {f"{prefix}{k}": int((counts == k).sum()) for k in (1, 2, 3, 4)}
 
 
-def _i4(values: np.ndarray) -> np.ndarray:
-    return np.minimum(values, 2**31 - 1).astype("<i4")
-
-
-def _store_task(folder: str):
-    """Of one key range: stores trigrams seen twice or more, bigrams but those seen once, and all words; reports totals."""
+def _store_task(model: Model):
+    """Of one key range: stores trigrams, bigrams and words with their counts; reports totals."""
 
     def run(table: pa.Table) -> pa.Table:
         part = table.column("part")[0].as_py()
         keys, counts = _merged(table, 3)
         heads = _group_heads(keys)
         sizes = np.diff(np.append(heads, len(keys)))
-        raw = _sums(counts, heads)
-        keep = counts > 1
-        save_arrays(folder, f"tri-{part}", keys=keys[keep].astype("<u8"), n=_i4(counts[keep]))
-        wide = raw > 1
-        save_arrays(folder, f"bi-{part}", keys=((keys[heads][wide] >> _U(LOW)) << _U(LOW)).astype("<u8"), raw=_i4(raw[wide]), cont=_i4(sizes[wide]))
+        model.table("tri").save(part, keys, n=counts)
+        model.table("bi").save(part, keys[heads] >> _U(LOW), raw=_sums(counts, heads), cont=sizes)
         told = _classes("t", counts) | _classes("b", sizes)
-        pairs, _ = _merged(table, 2)
         words, n = _merged(table, 1)
-        heads = _group_heads(pairs)
-        before = np.diff(np.append(heads, len(pairs)))
-        at = np.searchsorted(pairs[heads] >> _U(LOW), words >> _U(64 - HIGH))
-        save_arrays(folder, f"uni-{part}", keys=words.astype("<u8"), raw=n.astype("<i8"), cont=before[at].astype("<i8") if len(words) else before[:0].astype("<i8"))
-        return _summary(told | _classes("u", before) | {"tokens": int(n.sum()), "words": len(words), "pairs": len(pairs)})
+        model.table("uni").save(part, words, raw=n)
+        return _summary(told | {"tokens": int(n.sum()), "words": len(words), "pairs": len(heads)})
 
     return run
 
 
+def _before(model: Model, s: np.ndarray, t: np.ndarray, raw: np.ndarray) -> np.ndarray:
+    """How often the two words before each token occur, from the counts of the bigrams that end at the tokens."""
+    seen = np.zeros(len(s), np.int64)
+    seen[t] = raw
+    before = seen[t - 1]
+    before[s[t - 1] == START] = model.documents
+    return before
+
+
+def _summed(parts: list[tuple[np.ndarray, ...]]) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Distinct keys with the sums of what goes with them."""
+    keys, at = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
+    return keys, [np.bincount(at, np.concatenate([p[k] for p in parts]), len(keys)) for k in range(1, len(parts[0]))]
+
+
 def _context_task(model: Model):
-    """Stored trigrams and bigrams by their contexts, and per word how many bigrams that begin with it are not stored."""
+    """Sums over distinct n-grams: what is kept by two words' followers, the followers' total and kept part by word, and distinct words before a word."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[int, list] = {3: [], 2: [], 1: []}
 
         def take(s, t):
             u, v, w = s[t - 2], s[t - 1], s[t]
-            vw = _pair(v, w)
-            cont = model.table("bi").find(_top(vw))["cont"]
-            stored = cont > 0
-            some = np.flatnonzero(stored)  # a trigram seen twice has a bigram seen twice
-            n = model.table("tri").find(_keyed(vw[some], mix64(u[some])))["n"]
-            some, n = some[n > 0], n[n > 0]
-            held[3].append((_keyed(_pair(u[some], v[some]), mix64(w[some])), n))
-            held[2].append((_keyed(v[stored], mix64(w[stored])), cont[stored]))
-            held[1].append((v[~stored], np.ones(int((~stored).sum()), np.int64)))
+            two = model.table("bi").find(_pair_key(v, w))
+            raw = np.maximum(two["raw"], 1)
+            some = np.flatnonzero(_before(model, s, t, two["raw"]) > 1)
+            n = np.maximum(model.table("tri").find(_keyed(_pair(v[some], w[some]), mix64(u[some])))["n"], 1)
+            for order, part in ((3, (_pair_key(u[some], v[some]), model.less(3, n) / n)), (2, (v, two["cont"] / raw, model.less(2, two["cont"]) / raw)), (1, (w, 1.0 / raw))):
+                keys, sums = _summed([part])
+                held[order].append((keys, *sums))
 
         def send():
             for order, parts in held.items():
-                keys, counts = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
+                keys, sums = _summed(parts)
                 parts.clear()
-                if order == 1:
-                    yield _blobs(*_sum_sorted(_top(keys), counts), 4, model.bits)
-                else:
-                    keys, first = np.unique(keys, return_index=True)
-                    yield _blobs(keys, counts[first], order, model.bits)
+                yield _sum_blobs(keys, sums, order, model.bits)
 
         return _flushed(batches, take, send)
 
@@ -353,22 +459,18 @@ def _context_task(model: Model):
 
 
 def _mass_task(model: Model):
-    """Of one range of contexts: what their stored n-grams keep after discounts, and the totals of the middle order."""
+    """Of one range: stores the sums by context and the continuation counts of words; reports their classes."""
 
     def run(table: pa.Table) -> pa.Table:
         part = table.column("part")[0].as_py()
-        keys, counts = _merged(table, 3, once=True)
-        heads = _group_heads(keys)
-        save_arrays(model.folder, f"ctx3-{part}", keys=((keys[heads] >> _U(LOW)) << _U(LOW)).astype("<u8"), mass=_sums(model.less(3, counts), heads).astype("<f8"))
-        keys, counts = _merged(table, 2, once=True)
-        heads = _group_heads(keys)
-        stored = (keys[heads] >> _U(LOW)) << _U(LOW)
-        lone, n = _merged(table, 4)
-        every, at = np.unique(np.concatenate((stored, lone)), return_inverse=True)
-        total = np.bincount(at, np.concatenate((_sums(counts, heads), n)), len(every))
-        mass = np.bincount(at, np.concatenate((_sums(model.less(2, counts), heads), np.zeros(len(n)))), len(every))
-        save_arrays(model.folder, f"ctx2-{part}", keys=every.astype("<u8"), total=total.astype("<i8"), mass=mass.astype("<f8"))
-        return _summary({"contexts": len(every)})
+        keys, mass, _ = _merged_sums(table, 3)
+        model.table("ctx3").save(part, keys, mass=mass)
+        keys, total, mass = _merged_sums(table, 2)
+        model.table("ctx2").save(part, keys, total=np.rint(total), mass=mass)
+        keys, cont, _ = _merged_sums(table, 1)
+        cont = np.rint(cont).astype(np.int64)
+        model.table("ends").save(part, keys, cont=cont)
+        return _summary(_classes("u", cont))
 
     return run
 
@@ -383,22 +485,27 @@ def _discounts(n: dict[str, int], prefix: str) -> tuple[float, float, float]:
     return tuple(min(max(d, 0.05), k - 0.05) for k, d in enumerate(out, 1))
 
 
-def fit(train: DataFrame, keys_per_range: int = 1_000_000) -> Model:
+def fit(train: DataFrame, keys_per_range: int = 3_000_000) -> Model:
     """Counts the texts of ``train`` (column text) and stores the model in the shared folder."""
     folder = f"{shared_folder(train.sparkSession)}/kneser-ney"
     texts = train.select(F.coalesce("text", F.lit("")).alias("text"))
     n_docs, n_bytes = texts.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text").cast("long")), F.lit(0))).first()
-    bits = min(16, max(2, int(n_bytes / 5 / keys_per_range).bit_length()))
-    told = texts.mapInArrow(_count_task(bits), _BLOB_DDL).groupBy("part").applyInArrow(_store_task(folder), SUMMARY)
-    n = {r["name"]: r["n"] for r in told.groupBy("name").agg(F.sum("n").alias("n")).collect()}
-    d = tuple(_discounts(n, k) for k in "ubt")
+    bits = min(16, max(6, int(n_bytes / 5 / keys_per_range).bit_length()))
+    model = Model(folder, bits, n_docs)
+
+    def told(task, then) -> dict[str, int]:
+        out = texts.mapInArrow(task, _BLOB_DDL).groupBy("part").applyInArrow(then, SUMMARY)
+        return {r["name"]: r["n"] for r in out.groupBy("name").agg(F.sum("n").alias("n")).collect()}
+
+    n = told(_count_task(bits), _store_task(model))
+    high = tuple(_discounts(n, k) for k in "bt")
+    model = replace(model, tokens=n.get("tokens", 0), words=n.get("words", 0), pairs=n.get("pairs", 0), discounts=(model.discounts[0], *high))
+    u = told(_context_task(model), _mass_task(model))
+    low = _discounts(u, "u")
     # what the lowest order takes off all words goes to the unseen, evenly over the words and one more
-    pairs = n.get("pairs", 0)
-    three = n.get("words", 0) - n.get("u1", 0) - n.get("u2", 0)
-    spare = (d[0][0] * n.get("u1", 0) + d[0][1] * n.get("u2", 0) + d[0][2] * three) / pairs if pairs else 1.0
-    model = Model(folder, bits, n_docs, n.get("tokens", 0), n.get("words", 0), pairs, d, spare / (n.get("words", 0) + 1))
-    texts.mapInArrow(_context_task(model), _BLOB_DDL).groupBy("part").applyInArrow(_mass_task(model), SUMMARY).agg(F.sum("n")).collect()
-    return model
+    three = model.words - u.get("u1", 0) - u.get("u2", 0)
+    spare = (low[0] * u.get("u1", 0) + low[1] * u.get("u2", 0) + low[2] * three) / model.pairs if model.pairs else 1.0
+    return replace(model, discounts=(low, *high), uniform=spare / (model.words + 1))
 
 
 # ---- scoring -------------------------------------------------------------------------------------------------------
@@ -408,24 +515,19 @@ def token_probabilities(model: Model, s: np.ndarray, heads: np.ndarray) -> tuple
     """Probability of every real token of a stream, and its count in training."""
     t = _targets(heads)
     u, v, w = s[t - 2], s[t - 1], s[t]
-    vw = _pair(v, w)
-    one = model.table("uni").find(w)
-    p = (model.less(1, one["cont"]) / model.pairs if model.pairs else 0.0) + model.uniform
-    two = model.table("bi").find(_top(vw))
-    ctx = model.table("ctx2").find(_top(v))
+    p = (model.less(1, model.table("ends").find(w)["cont"]) / model.pairs if model.pairs else 0.0) + model.uniform
+    two = model.table("bi").find(_pair_key(v, w))
+    ctx = model.table("ctx2").find(v)
     total = np.maximum(ctx["total"], 1)
     p = np.where(ctx["total"] > 0, model.less(2, two["cont"]) / total + (1 - ctx["mass"] / total) * p, p)
-    seen = np.zeros(len(s), np.int64)
-    seen[t] = two["raw"]
-    before = seen[t - 1]
-    before[v == START] = model.documents
+    before = _before(model, s, t, two["raw"])
+    mass = np.full(len(t), model.less(3, np.ones(1, np.int64))[0])
     some = np.flatnonzero(before > 1)
-    mass = np.zeros(len(t))
-    mass[some] = model.table("ctx3").find(_top(_pair(u[some], v[some])))["mass"]
-    some = np.flatnonzero(mass > 0)
-    n = model.table("tri").find(_keyed(vw[some], mix64(u[some])))["n"]
+    mass[some] = model.table("ctx3").find(_pair_key(u[some], v[some]))["mass"]
+    some = np.flatnonzero(before > 0)
+    n = model.table("tri").find(_keyed(_pair(v[some], w[some]), mix64(u[some])))["n"]
     p[some] = model.less(3, n) / before[some] + (1 - mass[some] / before[some]) * p[some]
-    return np.maximum(p, 1e-300), one["raw"]
+    return np.maximum(p, 1e-300), model.table("uni").find(w)["raw"]
 
 
 SCORES = "doc_id bigint, n_tokens bigint, n_known bigint, base_score double, score double"

@@ -114,10 +114,10 @@ def word_hashes(raw: np.ndarray, starts: np.ndarray, lower: bool, values: np.nda
     return mix64(sums * down[starts])
 
 
-def hashed_words(column: pa.Array | pa.ChunkedArray, lower: bool) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+def hashed_words(column: pa.Array | pa.ChunkedArray, lower: bool, size: int = CHUNK) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
     """Per chunk of documents: first and last document, word hashes, and first word of each document (and the end)."""
     raw, offsets = utf8_buffer(column)
-    for a, b in doc_chunks(offsets):
+    for a, b in doc_chunks(offsets, size):
         part, own = raw[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
         starts, _, firsts = word_spans(part, own)
         yield a, b, word_hashes(part, starts, lower), firsts
