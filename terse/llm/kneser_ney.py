@@ -83,25 +83,39 @@ def _targets(heads: np.ndarray) -> np.ndarray:
 # ---- packed blobs: sorted distinct keys with counts -------------------------------------------------------------
 
 
-def pack(keys: np.ndarray, counts: np.ndarray) -> tuple[bytes, bytes, bytes]:
-    """Sorted keys as differences in as few bytes as the largest needs, counts as single bytes, and those that need more apart."""
+def _squeezed(values: np.ndarray) -> bytes:
+    """The array's bytes, entropy-coded, after their number."""
+    raw = np.ascontiguousarray(values).tobytes()
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def _expanded(blob: bytes, kind: str) -> np.ndarray:
+    size = int.from_bytes(blob[:8], "little")
+    return np.frombuffer(pa.decompress(blob[8:], size, codec="zstd", asbytes=True) if size else b"", kind)
+
+
+def _pack_keys(keys: np.ndarray) -> bytes:
+    """Sorted keys as differences in as few bytes as the largest needs, byte by byte: the leading ones are mostly small."""
     gaps = np.diff(keys, prepend=keys[:1])
     width = max(1, (int(gaps.max()).bit_length() + 7) // 8) if len(gaps) else 1
-    raw = gaps.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width]
-    small = np.minimum(counts, 255).astype(np.uint8)
-    return bytes([width]) + keys[:1].astype("<u8").tobytes() + raw.tobytes(), small.tobytes(), counts[small == 255].astype("<u4").tobytes()
+    return bytes([width]) + keys[:1].astype("<u8").tobytes() + _squeezed(gaps.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].T)
+
+
+def _unpack_keys(blob: bytes) -> np.ndarray:
+    planes = _expanded(blob[9:], "u1").reshape(blob[0], -1)
+    wide = np.zeros((planes.shape[1], 8), np.uint8)
+    wide[:, : blob[0]] = planes.T
+    return np.frombuffer(blob, "<u8", 1, 1)[0] + np.cumsum(wide.reshape(-1).view("<u8"), dtype=_U)
 
 
-def _unpack_keys(keys: bytes) -> np.ndarray:
-    width = keys[0]
-    raw = np.frombuffer(keys, np.uint8, offset=9).reshape(-1, width)
-    wide = np.zeros((len(raw), 8), np.uint8)
-    wide[:, :width] = raw
-    return np.frombuffer(keys, "<u8", 1, 1)[0] + np.cumsum(wide.reshape(-1).view("<u8"), dtype=_U)
+def pack(keys: np.ndarray, counts: np.ndarray) -> tuple[bytes, bytes, bytes]:
+    """Sorted keys, counts as single bytes, and those that need more apart."""
+    small = np.minimum(counts, 255).astype(np.uint8)
+    return _pack_keys(keys), _squeezed(small), counts[small == 255].astype("<u4").tobytes()
 
 
 def unpack(keys: bytes, small: bytes, large: bytes) -> tuple[np.ndarray, np.ndarray]:
-    n = np.frombuffer(small, np.uint8).astype(np.int64)
+    n = _expanded(small, "u1").astype(np.int64)
     n[n == 255] = np.frombuffer(large, "<u4")
     return _unpack_keys(keys), n
 
@@ -151,7 +165,7 @@ def _sum_blobs(keys: np.ndarray, sums: list[np.ndarray], order: int, bits: int)
     """One or two sums for each key, one row for each range of keys."""
     empty = np.zeros(0)
     first, second = (*sums, empty)[:2]
-    return _batch([(part, order, pack(keys[at], empty)[0], first[at].tobytes(), second[at].tobytes()) for part, at in _cut(keys, SUM_WIDTH[order], bits)])
+    return _batch([(part, order, _pack_keys(keys[at]), _squeezed(first[at]), _squeezed(second[at])) for part, at in _cut(keys, SUM_WIDTH[order], bits)])
 
 
 def _rows(table: pa.Table, order: int) -> list[tuple[bytes, bytes, bytes]]:
@@ -172,8 +186,8 @@ def _merged_sums(table: pa.Table, order: int) -> tuple[np.ndarray, np.ndarray, n
     if not rows:
         return np.zeros(0, _U), np.zeros(0), np.zeros(0)
     keys, at = np.unique(np.concatenate([_unpack_keys(k) for k, _, _ in rows]), return_inverse=True)
-    first = np.concatenate([np.frombuffer(p) for _, p, _ in rows])
-    second = np.concatenate([np.frombuffer(c) if c else np.zeros(len(p) // 8) for _, p, c in rows])
+    first, second = (np.concatenate([_expanded(r[k], "<f8") for r in rows]) for k in (1, 2))
+    second = second if len(second) else np.zeros(len(first))
     return keys, np.bincount(at, first, len(keys)), np.bincount(at, second, len(keys))
 
 
