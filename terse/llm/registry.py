@@ -21,5 +21,6 @@ ORACLE_SQL = {
     "op1_source_mix": source_mix.OP1_SQL,
     "op2_warc": warc.OP2_SQL,
     "op3_chat_format": chat_format.OP3_SQL,
+    "op8_shingle_join": shingle_join.OP8_SQL,
     "op9_line_dedup": line_dedup.OP9_SQL,
 }

@@ -305,3 +305,30 @@ OP8_RULE = JoinRule(width=3, percent=90)
 
 def op8_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"), OP8_RULE)
+
+
+OP8_SQL = r"""
+WITH RECURSIVE worded AS (
+  SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents
+), sets AS (
+  SELECT doc_id, list_sort(CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 3 THEN [array_to_string(ws, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(ws) - 1), lambda i: ws[i] || ' ' || ws[i + 1] || ' ' || ws[i + 2])) END) AS shingles FROM worded
+), classes AS (
+  SELECT shingles, len(shingles) AS n, min(doc_id) AS class_id FROM sets WHERE len(shingles) > 0 GROUP BY shingles
+), items AS (
+  SELECT class_id, n, unnest(shingles) AS g FROM classes
+), pairs AS (
+  SELECT a.class_id AS a, b.class_id AS b, a.n AS n_a, b.n AS n_b, count(*) AS common FROM items a JOIN items b ON a.g = b.g AND a.class_id < b.class_id AND 100 * least(a.n, b.n) >= 90 * greatest(a.n, b.n)
+  GROUP BY ALL
+), links AS (
+  SELECT a, b FROM pairs WHERE 100 * common >= 90 * (n_a + n_b - common)
+), both_ways AS (
+  SELECT a, b FROM links UNION ALL SELECT b, a FROM links
+), reached AS (
+  SELECT class_id AS a, class_id AS b FROM classes UNION SELECT r.a, w.b FROM reached r JOIN both_ways w ON w.a = r.b
+), roots AS (
+  SELECT a AS class_id, min(b) AS root FROM reached GROUP BY a
+)
+SELECT s.doc_id, CAST(len(s.shingles) AS BIGINT) AS n_shingles, coalesce(r.root, s.doc_id) AS component_id
+FROM sets s LEFT JOIN classes c ON s.shingles = c.shingles LEFT JOIN roots r ON r.class_id = c.class_id
+"""
