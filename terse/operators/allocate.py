@@ -5,10 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from terse.sources.tables import shared_folder, written
+
 
 def numbered(df: DataFrame, *order: str, name: str = "_n") -> DataFrame:
-    """Rows numbered from 0 in a global order, without bringing them to one task: a range exchange, then counts of the partitions before."""
-    ranged = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_part", F.spark_partition_id())
+    """Rows numbered from 0 in a global order, without bringing them to one task: a range exchange, then counts of the partitions before.
+
+    The ranges are written down before they are counted: their bounds come from a sample, and a second run of the exchange could draw others.
+    """
+    ranged = written(df.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()), shared_folder(df.sparkSession), "ranges")
     counts = ranged.groupBy("_part").agg(F.count("*").alias("_size"))
     starts = counts.select("_part", (F.sum("_size").over(Window.orderBy("_part")) - F.col("_size")).alias("_start"))
     inside = Window.partitionBy("_part").orderBy(*order)

@@ -261,6 +261,18 @@ def _(s, d):
     return read(s, d, "lineitem", "l_returnflag", "l_quantity").groupBy("l_returnflag").agg(F.percentile("l_quantity", 0.25).alias("q1"), F.median("l_quantity").alias("q2"))
 
 
+def _sketch(s, d):
+    """Sketches whose size does not depend on the rows: distinct orders, quantiles of the price, frequent parts, a histogram of quantities."""
+    li = read(s, d, "lineitem", "l_returnflag", "l_orderkey", "l_partkey", "l_extendedprice", "l_quantity")
+    return li.groupBy("l_returnflag").agg(
+        F.approx_count_distinct("l_orderkey", 0.02).alias("orders"), F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 1000).alias("prices"),
+        F.expr("approx_top_k(l_partkey, 5, 10000)").alias("parts"), F.histogram_numeric("l_quantity", F.lit(10)).alias("quantities"),
+    )
+
+
+QUERIES["agg_sketch"] = _sketch
+
+
 @query("agg_collect", "SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY n_regionkey")
 def _(s, d):
     return read(s, d, "nation").groupBy("n_regionkey").agg(F.array_join(F.sort_array(F.collect_list("n_name")), ",").alias("names"))

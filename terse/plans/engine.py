@@ -96,6 +96,16 @@ class QuadraticSource:
         return max(e[-1] for e in ends) + self.l2, min(e[0] for e in ends) + self.l2
 
 
+def bytes_of(samples: DataFrame) -> int:
+    """Size of the samples as matrices, counted where they are."""
+    return samples.agg(F.coalesce(F.sum(F.size("x") + 3), F.lit(0)) * 8).first()[0]
+
+
+def source_of(samples: DataFrame, objective: Objective, limit: int = STATE_LIMIT) -> RowSource | SparkSource:
+    """Samples below the limit are held as rows; larger tables stay where they are, with a job per iteration."""
+    return RowSource.from_samples(samples, objective, limit) if bytes_of(samples) <= limit else SparkSource(samples, objective)
+
+
 class RowSource:
     """Rows held in memory, by worker: for tables below the driver's limit, and inside tests."""
 
@@ -107,9 +117,9 @@ class RowSource:
 
     @classmethod
     def from_samples(cls, samples: DataFrame, objective: Objective, limit: int = STATE_LIMIT) -> RowSource:
-        found = samples.select("row_id", "worker_id", "x", "y").toArrow().sort_by([("worker_id", "ascending"), ("row_id", "ascending")])
-        if found.nbytes > limit:
+        if bytes_of(samples) > limit:
             raise MemoryError("too many rows for the driver; use SparkSource")
+        found = samples.select("row_id", "worker_id", "x", "y").toArrow().sort_by([("worker_id", "ascending"), ("row_id", "ascending")])
         x, y, who = dense(found.column("x")), found.column("y").to_numpy(), found.column("worker_id").to_numpy()
         return cls([x[who == w] for w in np.unique(who)], [y[who == w] for w in np.unique(who)], objective)
 
@@ -140,7 +150,8 @@ class RowSource:
 class SparkSource:
     """A job per iteration over cached samples (row_id, worker_id, x, y); ``gradients_of`` serves several models in one pass.
 
-    A batch is the rows whose draw for this iteration falls below batch / rows of the worker, so a task that runs again takes the same rows.
+    A batch is the rows whose draw for this iteration falls below batch / rows, so a task that runs again takes the same rows: of the worker's own rows, or,
+    with scope 'global', of all rows, where every worker draws for itself.
     """
 
     def __init__(self, samples: DataFrame, objective: Objective):
@@ -158,7 +169,11 @@ class SparkSource:
         if len(models) * self.n * self.d * 8 > STATE_LIMIT:
             raise MemoryError("state beyond the driver's limit; use the sharded plan")
         rows = self.samples
-        if sampler.batch is not None:
+        if sampler.scope == "global":
+            share = 1.0 if sampler.batch is None else min(1.0, sampler.batch / self.counts.sum())
+            takers = F.filter(F.array(*[F.lit(w) for w in self.workers]).cast("array<bigint>"), lambda w: draw(seed, F.lit(k), F.col("row_id"), w) < share)
+            rows = rows.select(F.explode(takers).alias("worker_id"), "x", "y")
+        elif sampler.batch is not None:
             share = F.element_at(F.create_map(*[F.lit(v) for w, c in zip(self.workers, self.counts, strict=True) for v in (w, min(1.0, sampler.batch / c))]), F.col("worker_id"))
             rows = rows.where(draw(seed, F.lit(k), F.col("row_id")) < share)
         shared = rows.sparkSession.sparkContext.broadcast(models)
@@ -285,6 +300,24 @@ def regularised_optimum(source: QuadraticSource, prox, iterations: int = 20_000)
     return x
 
 
+def optimum_by_products(source, iterations: int | None = None, tolerance: float = 1e-10) -> np.ndarray:
+    """Least-squares optimum by conjugate gradients, for models whose matrix of sums would not fit: a pass over the source an iteration, state of size d."""
+    pull = lambda v: source.gradients(v, Sampler(), 0, 0).mean(0)
+    at_zero = pull(np.zeros(source.d))
+    x, r = np.zeros(source.d), -at_zero
+    p, size = r.copy(), float(r @ r)
+    goal = tolerance * size**0.5
+    for _ in range(iterations or 2 * source.d):
+        if size**0.5 <= goal:
+            break
+        bent = pull(p) - at_zero
+        along = size / float(p @ bent)
+        x, r = x + along * p, r - along * bent
+        size, before = float(r @ r), size
+        p = r + size / before * p
+    return x
+
+
 def save(fit_: Fit, spark: SparkSession, path: str) -> None:
     """A run's state as one row, to go on from later."""
     s = fit_.state

@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQueryListener
 
 from terse.sources.tables import SCHEMAS, read, shared_folder
 
@@ -29,6 +30,26 @@ def drained(stream: DataFrame, mode: str) -> DataFrame:
     return stream.sparkSession.table(name)
 
 
+class Progress(StreamingQueryListener):
+    """Rows and seconds of every micro-batch, as the driver is told of them."""
+
+    def __init__(self):
+        self.batches: list[tuple[str, int, int, float]] = []
+
+    def onQueryStarted(self, event) -> None:
+        pass
+
+    def onQueryProgress(self, event) -> None:
+        p = event.progress
+        self.batches.append((p.name, p.batchId, p.numInputRows, p.durationMs.get("triggerExecution", 0) / 1000))
+
+    def onQueryIdle(self, event) -> None:
+        pass
+
+    def onQueryTerminated(self, event) -> None:
+        pass
+
+
 def query(name, sql):
     def keep(build):
         QUERIES[name] = build
@@ -67,6 +88,23 @@ def _(s, d):
     return drained(events(s, d).select("user_id", "event_type").dropDuplicates(["user_id", "event_type"]), "append")
 
 
+@query("stream_dedupe_watermark", "SELECT DISTINCT user_id, event_type, props FROM events")
+def _(s, d):
+    """Keys are forgotten once the watermark has passed them, so the state stays bounded on an endless stream."""
+    return drained(events(s, d).withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["user_id", "event_type", "props"]).select("user_id", "event_type", "props"), "append")
+
+
+@query(
+    "stream_interval_join",
+    "SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR WHERE c.event_type = 'click' AND p.event_type = 'purchase'",
+)
+def _(s, d):
+    """Clicks with the purchases of the same user within an hour: both sides are streams, and watermarks bound what is kept of either."""
+    side = lambda kind: events(s, d).where(F.col("event_type") == kind).select(F.col("event_id").alias(f"{kind}_id"), F.col("user_id").alias(f"{kind}_user"), F.col("ts").alias(f"{kind}_ts")).withWatermark(f"{kind}_ts", "2 hours")
+    near = F.expr("click_user = purchase_user and purchase_ts >= click_ts and purchase_ts <= click_ts + interval 1 hour")
+    return drained(side("click").join(side("purchase"), near).select("click_id", "purchase_id"), "append")
+
+
 @query("stream_static_join", "SELECT event_type, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY event_type")
 def _(s, d):
     joined = events(s, d).join(read(s, d, "customer", "c_custkey"), F.col("user_id") == F.col("c_custkey"))

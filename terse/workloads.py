@@ -8,10 +8,12 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from terse.functions.vectors import dot
+from terse.operators.allocate import assign
 from terse.operators.codecs import NormTernary
 from terse.operators.objectives import L1, ConvNet, Logistic, Perceptron, ResidualNet, Ridge, Softmax
 from terse.plans import methods as M
-from terse.plans.engine import QuadraticSource, RowSource, Sampler, SparkSource, dense, fit, quadratic, regularised_optimum, ridge_problem, trace_frame
+from terse.plans.engine import QuadraticSource, Sampler, SparkSource, fit, quadratic, regularised_optimum, ridge_problem, source_of, trace_frame
 from terse.sources.tables import read
 
 M_RIDGE = Ridge(0.1)
@@ -48,6 +50,37 @@ def regression(spark, sf_dir) -> DataFrame:
     return trace_frame(spark, _curves(table, 16) + _curves(synthetic, 256, iterations=300, every=50, prefix="synthetic/"))
 
 
+def _levels(df: DataFrame, column: str, most: int = 100) -> list[str]:
+    """Values of a column of few values, all but the last (which the others tell); more than ``most`` are refused."""
+    found = sorted(r[0] for r in df.select(column).where(F.col(column).isNotNull()).distinct().limit(most + 1).collect())
+    if len(found) > most:
+        raise ValueError(f"{column} has more than {most} values")
+    return found[:-1]
+
+
+def lineitem_features(spark: SparkSession, sf_dir: str, workers: int = 10) -> DataFrame:
+    """Order lines with their order, customer and part as samples: eight standardised numbers, one-hot columns, and a planted target with noise."""
+    orders = read(spark, sf_dir, "orders", "o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice", "o_orderpriority")
+    customer = read(spark, sf_dir, "customer", "c_custkey", "c_acctbal", "c_mktsegment")
+    part = read(spark, sf_dir, "part", "p_partkey", "p_brand", "p_size", "p_retailprice")
+    lines = read(spark, sf_dir, "lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus")
+    numbers = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "o_totalprice", "c_acctbal", "p_size", "p_retailprice"]
+    hot = [(lines, "l_returnflag"), (lines, "l_linestatus"), (orders, "o_orderstatus"), (orders, "o_orderpriority"), (customer, "c_mktsegment"), (part, "p_brand")]
+    joined = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(customer, F.col("o_custkey") == F.col("c_custkey")).join(part, F.col("l_partkey") == F.col("p_partkey"))
+    of = joined.agg(*[f(c).alias(f"{kind}_{c}") for c in numbers for kind, f in (("m", F.avg), ("s", F.stddev_pop))])
+    scaled = [F.coalesce((F.col(c) - F.col(f"m_{c}")) / F.nullif(F.col(f"s_{c}"), F.lit(0.0)), F.lit(0.0)) for c in numbers]
+    bits = [F.coalesce((F.col(c) == v).cast("double"), F.lit(0.0)) for df, c in hot for v in _levels(df, c)]
+    planted = np.random.default_rng(11).normal(0, 1, len(scaled) + len(bits))
+    rows = joined.crossJoin(F.broadcast(of)).select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("row_id"), F.pmod(F.xxhash64("l_orderkey"), F.lit(workers)).alias("worker_id"), F.array(*scaled, *bits).alias("x"))
+    noise = (F.pmod(F.xxhash64("row_id"), F.lit(2001)) - 1000) / 1000 * 0.17
+    return rows.withColumn("y", dot(F.col("x"), F.array(*[F.lit(float(v)) for v in planted])) + noise)
+
+
+def lineitem_regression(spark, sf_dir) -> DataFrame:
+    """Seven methods on order lines: one pass over the join, whatever the number of iterations."""
+    return trace_frame(spark, _curves(QuadraticSource.from_samples(lineitem_features(spark, sf_dir), 0.1), 16, iterations=1000, every=50))
+
+
 def proximal(spark, sf_dir) -> DataFrame:
     """The general form with a sparsity penalty against the exact optimum."""
     source = QuadraticSource.from_samples(embedding_ridge(spark, sf_dir), 0.1)
@@ -82,13 +115,10 @@ def heterogeneous(spark, sf_dir) -> DataFrame:
 
 
 def speedup(spark, sf_dir) -> DataFrame:
-    """Final distance under global mini-batches for growing numbers of workers."""
-    held = RowSource.from_samples(embedding_ridge(spark, sf_dir), M_RIDGE)
-    every = np.concatenate(held.x), np.concatenate(held.y)
-    best = quadratic(RowSource([every[0]], [every[1]], M_RIDGE)).optimum()
-    rows = []
+    """Squared distance at which runs with global mini-batches settle, for growing numbers of workers."""
+    best, rows = QuadraticSource.from_samples(embedding_ridge(spark, sf_dir, workers=1), 0.1).optimum(), []
     for n in (1, 2, 5, 10, 20):
-        source = RowSource([every[0]] * n, [every[1]] * n, M_RIDGE)
+        source = source_of(embedding_ridge(spark, sf_dir, workers=n), M_RIDGE)
         f = fit(source, M.two_way_residual(16), M.Schedule(0.05), 300, optimum=best, sampler=Sampler(8, "global"))
         rows.append(("speedup", f"n={n}", "two_way_residual", float(np.mean(f.column("dist")[-100:] ** 2))))
     return spark.createDataFrame(rows, OUTCOME)
@@ -96,8 +126,8 @@ def speedup(spark, sf_dir) -> DataFrame:
 
 def noise(spark, sf_dir) -> DataFrame:
     """Squared distance at which mini-batch runs settle, by batch size and step."""
-    source = RowSource.from_samples(embedding_ridge(spark, sf_dir), M_RIDGE)
-    best, rows = quadratic(source).optimum(), []
+    best, rows = QuadraticSource.from_samples(embedding_ridge(spark, sf_dir), 0.1).optimum(), []
+    source = source_of(embedding_ridge(spark, sf_dir), M_RIDGE)
     for batch in (2, 8, 32):
         for step in (0.05, 0.025):
             f = fit(source, M.two_way_residual(16), M.Schedule(step), 500, optimum=best, sampler=Sampler(batch))
@@ -105,21 +135,15 @@ def noise(spark, sf_dir) -> DataFrame:
     return spark.createDataFrame(rows, OUTCOME)
 
 
-def _images(spark, sf_dir):
-    rows = read(spark, sf_dir, "embeddings").toArrow().sort_by("vec_id")
-    x, y = dense(rows.column("embedding")) * 8, rows.column("label").to_numpy().astype(int)
-    train = np.arange(len(y)) % 5 != 0
-    return x[train], y[train], x[~train], y[~train]
-
-
 def _nets(spark, sf_dir, objective, schedule, iterations, every) -> DataFrame:
-    x, y, tx, ty = _images(spark, sf_dir)
-    parts = np.array_split(np.arange(len(y)), 10)
-    source = RowSource([x[p] for p in parts], [y[p] for p in parts], objective)
+    """Six methods on embeddings, a fifth of them held out, dealt in even runs to ten workers."""
+    rows = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), F.transform("embedding", lambda e: e.cast("double") * 8).alias("x"), F.col("label").cast("long").alias("y"))
+    train = source_of(assign(rows.where("row_id % 5 <> 0"), 10, "even", name="worker_id"), objective)
+    test = source_of(rows.where("row_id % 5 = 0").withColumn("worker_id", F.lit(0)), objective)
     start = objective.start(64, 1)
     fits = []
     for m in (M.plain(), M.quantized_gradient(codec=NormTernary(inf, 256)), M.gradient_difference(256), M.two_sided_compensated(256), M.two_sided_largest_k(), M.two_way_residual(256)):
-        fits.append(fit(source, m, schedule, iterations, x0=start, sampler=Sampler(256), every=every, measure_loss=True, test=lambda w: objective.value(w, tx, ty)))
+        fits.append(fit(train, m, schedule, iterations, x0=start, sampler=Sampler(256), every=every, measure_loss=True, test=test.loss))
     return trace_frame(spark, fits)
 
 
@@ -168,6 +192,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return trace_frame(spark, [fit(source, m, M.Schedule(0.05), 200, optimum=best, every=10, measure_loss=True) for m in (M.plain(), M.gradient_difference(16), M.two_way_residual(16))])
 
 QUERIES = {
-    "run_w1_all": regression, "run_w3_softmax": softmax, "run_w4_text": text, "run_w5_conv": conv_net, "run_w5_perceptron": perceptron, "run_w6_residual": residual_net, "run_w9_lasso": proximal,
+    "run_w1_all": regression, "run_w2_lineitem": lineitem_regression, "run_w3_softmax": softmax, "run_w4_text": text, "run_w5_conv": conv_net, "run_w5_perceptron": perceptron, "run_w6_residual": residual_net, "run_w9_lasso": proximal,
     "run_w10_grid": sensitivity, "run_w12_diminishing": diminishing, "run_w13_speedup": speedup, "run_w14_label_skew": heterogeneous, "run_w15_noise": noise, "run_flagship": flagship,
 }

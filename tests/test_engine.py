@@ -12,8 +12,8 @@ from terse.operators import objectives as O
 from terse.operators import wire
 from terse.plans import methods as M
 from terse.plans import theory
-from terse.plans.engine import QuadraticSource, Sampler, SparkSource, fit, quadratic, regularised_optimum, resume, ridge_problem, save, validate
-from terse.workloads import embedding_ridge
+from terse.plans.engine import QuadraticSource, RowSource, Sampler, SparkSource, fit, optimum_by_products, quadratic, regularised_optimum, resume, ridge_problem, save, source_of, validate
+from terse.workloads import embedding_ridge, lineitem_features
 
 UNBIASED = [C.RandomSparsify(0.3), C.NormTernary(inf, 4), C.NormTernary(2, None), C.NormTernary(1, 8), C.NormTernary(3.0, None), C.MultiLevel(4), C.BudgetSparsify(4.0), C.Blocked(C.NormTernary(inf, None), (3, 5))]
 
@@ -230,3 +230,33 @@ def test_contraction_holds_in_the_proven_region(small):
     ends = [fit(small, M.two_way_residual(8, r["anchor_rate"], r["apply_rate"], 0.0), M.Schedule(r["step"]), 300, optimum=small.optimum(), seed=s).trace for s in range(5)]
     fell = np.mean([t[-1]["dist"] ** 2 / t[0]["dist"] ** 2 for t in ends])
     assert fell < rate**150
+
+
+def test_products_reach_the_closed_form():
+    source = quadratic(ridge_problem(rows=200, features=30, workers=4))
+    assert np.allclose(optimum_by_products(source), source.optimum(), atol=1e-7)
+
+
+def test_tables_beyond_the_limit_stay_in_spark(spark, sf_dir):
+    samples = embedding_ridge(spark, sf_dir, workers=3)
+    small, large = source_of(samples, O.Ridge(0.1)), source_of(samples, O.Ridge(0.1), limit=1000)
+    assert isinstance(small, RowSource) and isinstance(large, SparkSource)
+    x = np.linspace(-1, 1, small.d)
+    assert np.allclose(small.gradients(x, Sampler(), 1, 0), large.gradients(x, Sampler(), 1, 0))
+    with pytest.raises(MemoryError):
+        RowSource.from_samples(samples, O.Ridge(0.1), limit=1000)
+    every = np.tile(large.gradients(x, Sampler(), 1, 0).T @ large.counts / large.counts.sum(), (3, 1))
+    assert np.allclose(large.gradients(x, Sampler(scope="global"), 1, 0), every)
+    drawn = large.gradients(x, Sampler(20, "global"), 1, 0)
+    assert np.array_equal(drawn, large.gradients(x, Sampler(20, "global"), 1, 0)) and not np.allclose(drawn[0], drawn[1])
+    large.samples.unpersist()
+
+
+def test_order_lines_as_samples(spark, sf_dir):
+    """Standardised columns, one row for every line, and the order of methods that the regression on random data shows."""
+    rows = lineitem_features(spark, sf_dir)
+    assert rows.count() == spark.read.parquet(f"{sf_dir}/lineitem.parquet").count()
+    source = QuadraticSource.from_samples(rows, 0.1)
+    best = source.optimum()
+    last = {m.name: fit(source, m, M.Schedule(0.05), 600, optimum=best, every=600).trace[-1]["dist"] for m in (M.plain(), M.gradient_difference(16), M.two_way_residual(16), M.quantized_gradient(16))}
+    assert max(last["plain"], last["gradient_difference"], last["two_way_residual"]) < last["quantized_gradient"]

@@ -1,10 +1,12 @@
 from __future__ import annotations
 
+import time
+
 import pytest
 
 from terse import catalogue
 
-SAMPLE = [n for k, n in enumerate(sorted(catalogue.SQL)) if k % 6 == 0] + ["iter3_two_way", "iter3_two_sided", "codec_ternary_inf", "stream_session"]
+SAMPLE = [n for k, n in enumerate(sorted(catalogue.SQL)) if k % 6 == 0] + ["iter3_two_way", "iter3_two_sided", "codec_ternary_inf", "stream_session", "stream_interval_join", "stream_dedupe_watermark", "feat_allocate_even"]
 
 
 @pytest.mark.parametrize("name", sorted(set(SAMPLE)))
@@ -43,3 +45,27 @@ def test_pruning_and_broadcast_show_in_plans(spark, sf_dir):
     plan = catalogue.QUERIES["scan_pruned"](spark, sf_dir)._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull" in plan and "l_extendedprice" not in plan.split("== Physical Plan ==")[1]
     assert "BroadcastHashJoin" in catalogue.QUERIES["join_broadcast"](spark, sf_dir)._jdf.queryExecution().toString()
+
+
+def test_sketches_stay_near_exact_values(spark, duck, sf_dir):
+    exact = {r[0]: r[1:] for r in duck.sql("select l_returnflag, count(distinct l_orderkey), median(l_extendedprice), count(*) from lineitem group by 1").fetchall()}
+    for r in catalogue.QUERIES["agg_sketch"](spark, sf_dir).collect():
+        orders, price, rows = exact[r["l_returnflag"]]
+        assert abs(r["orders"] - orders) <= 0.1 * orders and abs(r["prices"][1] - price) <= 0.05 * price
+        assert sum(b["y"] for b in r["quantities"]) == rows
+
+
+def test_progress_is_told(spark, sf_dir):
+    from terse.streaming.online import Progress
+
+    heard = Progress()
+    spark.streams.addListener(heard)
+    try:
+        catalogue.QUERIES["stream_dedupe"](spark, sf_dir).count()
+        for _ in range(50):
+            if heard.batches:
+                break
+            time.sleep(0.2)
+    finally:
+        spark.streams.removeListener(heard)
+    assert sum(b[2] for b in heard.batches) == spark.read.parquet(f"{sf_dir}/events.parquet").count()
