@@ -256,7 +256,7 @@ def test_order_lines_as_samples(spark, sf_dir):
     """Standardised columns, one row for every line, and the order of methods that the regression on random data shows."""
     rows = lineitem_features(spark, sf_dir)
     assert rows.count() == spark.read.parquet(f"{sf_dir}/lineitem.parquet").count()
-    source = QuadraticSource.from_samples(rows, 0.1)
+    source = QuadraticSource.from_samples(rows, 1.0)
     best = source.optimum()
-    last = {m.name: fit(source, m, M.Schedule(0.05), 600, optimum=best, every=600).trace[-1]["dist"] for m in (M.plain(), M.gradient_difference(16), M.two_way_residual(16), M.quantized_gradient(16))}
-    assert max(last["plain"], last["gradient_difference"], last["two_way_residual"]) < last["quantized_gradient"]
+    last = {m.name: fit(source, m, M.Schedule(0.05), 500, optimum=best, every=500).trace[-1]["dist"] for m in (M.plain(), M.gradient_difference(16), M.two_way_residual(16), M.quantized_gradient(16))}
+    assert max(last["plain"], last["gradient_difference"], last["two_way_residual"]) < 1e-6 < 1e-4 < last["quantized_gradient"]
