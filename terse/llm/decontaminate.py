@@ -7,6 +7,10 @@ passage is met by an equal window wherever it stands.  A window's fingerprint ha
 Search.  Fingerprints within ``radius`` bits agree in one of ``radius + 1`` bit blocks (64 bits cut evenly), so looking up each block finds all of them;
 the Hamming distance is then checked.
 
+Sure windows.  An edit can change all of an item's few windows, so the search also looks up single shingles at every word of a document.  A passage at the
+similarity or above lacks so few of the item's shingles that, of any greater number of them, one is left untouched: so many are indexed, the rarest first.
+Where one is met, the passage may begin at any word near; all of these beginnings are bounded by the shingles they share, and the best are checked.
+
 Check.  The document's words where the whole item would stand are compared with the item: sum of the smaller over sum of the larger
 weights of their five-word shingles (weight: occurrences), exactly.
 
@@ -18,6 +22,7 @@ shingle; items without a word match nothing; repeated items and documents are ea
 
 from __future__ import annotations
 
+import math
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -31,6 +36,7 @@ from terse.llm.common import bounded, shared_folder, written
 from terse.llm.text_kernel import BLANKS, _byte_values, doc_chunks, utf8_buffer, word_hashes, word_spans
 
 _U = np.uint64
+_MIX = _U(0x9E3779B97F4A7C15)
 
 SEPARATORS = BLANKS.copy()
 SEPARATORS[[b for b in range(33, 127) if not chr(b).isalnum()]] = True
@@ -80,6 +86,16 @@ def _shingles(words: np.ndarray, width: int) -> Counter:
     return Counter(tuple(words[i : i + k].tolist()) for i in range(n - k + 1))
 
 
+def shingle_hashes(words: np.ndarray, width: int) -> np.ndarray:
+    """A hash of the ``width`` words from every word on, across document borders."""
+    n = max(len(words) - width + 1, 0)
+    out = np.zeros(n, _U)
+    for i in range(width):
+        out = (out ^ words[i : i + n]) * _MIX
+        out ^= out >> _U(29)
+    return out
+
+
 def weighted_similarity(a: Counter, b: Counter) -> float:
     low = sum(min(n, b[s]) for s, n in a.items())
     high = sum(a.values()) + sum(b.values()) - low
@@ -95,6 +111,7 @@ class ItemIndex:
     words: list[np.ndarray] = field(default_factory=list)
     shingles: list[Counter] = field(default_factory=list)
     tables: dict = field(default_factory=dict)
+    sure: dict = field(default_factory=dict)
 
     @classmethod
     def build(cls, items: pa.Table, rule: LeakRule) -> ItemIndex:
@@ -130,8 +147,65 @@ class ItemIndex:
                 heads = np.searchsorted(part[order], np.arange((1 << (hi - lo)) + 1)).astype(np.int32)
                 blocks.append((lo, hi, order.astype(np.int32), heads))
             self.tables[key] = (prints, item, offset, blocks)
+        self._index_sure()
         return self
 
+    def _index_sure(self) -> None:
+        """Per shingle width: sorted hashes of the indexed shingles, and the item of each."""
+        for width in {min(self.rule.width, len(w)) for w in self.words}:
+            own = {k: shingle_hashes(w, width) for k, w in enumerate(self.words) if min(self.rule.width, len(w)) == width}
+            values, count = np.unique(np.concatenate([np.unique(h) for h in own.values()]), return_counts=True)
+            found = []
+            for k, h in own.items():
+                lacking = len(h) - math.ceil(self.rule.similarity * len(h) - 1e-9)
+                rarest = np.argsort(count[np.searchsorted(values, h)], kind="stable")[: lacking + 1]
+                found += [(int(x), k) for x in np.unique(h[rarest])]
+            found.sort()
+            self.sure[width] = (np.array([x for x, _ in found], _U), np.array([k for _, k in found]))
+
+    def passages(self, words: np.ndarray, firsts: np.ndarray, owner: np.ndarray, best: dict) -> None:
+        """Puts the best passage of each (document, item) at the similarity or above into ``best``."""
+        for width, (stored, item) in self.sure.items():
+            hashes = shingle_hashes(words, width)
+            if not len(hashes):
+                continue
+            met = np.flatnonzero(stored[np.minimum(np.searchsorted(stored, hashes), len(stored) - 1)] == hashes)
+            met = met[owner[met] == owner[met + width - 1]]
+            lo, hi = np.searchsorted(stored, hashes[met]), np.searchsorted(stored, hashes[met], side="right")
+            places: dict[tuple[int, int], list[int]] = {}
+            for p, i, j in zip(met.tolist(), lo.tolist(), hi.tolist(), strict=True):
+                for k in item[i:j].tolist():
+                    places.setdefault((int(owner[p]), k), []).append(p)
+            for (d, k), at in places.items():
+                found = self._best_passage(words, hashes, int(firsts[d]), int(firsts[d + 1]), k, np.array(at), width, best.get((d, k), (0.0, 0, 0))[0])
+                if found:
+                    best[d, k] = found
+
+    def _best_passage(self, words, hashes, first, last, k, at, width, least) -> tuple[float, int, int] | None:
+        """The best passage of item k over the places ``at`` of its shingles in the document from first to last, if better than ``least``."""
+        n, total = len(self.words[k]), len(self.words[k]) - width + 1
+        lo, hi = max(first, int(at[0]) - n), min(last, int(at[-1]) + n + width)
+        own = np.unique(shingle_hashes(self.words[k], width))
+        here = hashes[lo : hi - width + 1]
+        shared = np.concatenate(([0], np.cumsum(own[np.minimum(np.searchsorted(own, here), len(own) - 1)] == here)))
+        reach = np.zeros(hi - lo + 1 + n, np.int64)  # beginnings (from lo - n on) from which a passage covers one of the places
+        np.add.at(reach, at - lo + width, 1)
+        np.add.at(reach, at - lo + n + 1, -1)
+        starts = np.flatnonzero(np.cumsum(reach)) + lo - n
+        a, b = np.maximum(starts, first), np.minimum(starts + n, last)
+        fits = b - a >= width
+        starts, a, b = starts[fits], a[fits], b[fits]
+        common = shared[b - width + 1 - lo] - shared[a - lo]
+        bound = common / (total + b - a - width + 1 - common)
+        out = None
+        for i in np.argsort(-bound, kind="stable"):
+            if bound[i] < self.rule.similarity or bound[i] <= least:
+                break
+            similarity = weighted_similarity(_shingles(words[a[i] : b[i]], self.rule.width), self.shingles[k])
+            if similarity >= self.rule.similarity and similarity > least:
+                least, out = similarity, (similarity, int(a[i]) - first, int(b[i] - a[i]))
+        return out
+
     def near(self, key: tuple[int, int], asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All (asked, stored) pairs of fingerprints within the radius."""
         prints, _, _, blocks = self.tables[key]
@@ -179,6 +253,7 @@ class ItemIndex:
                 similarity = weighted_similarity(_shingles(words[a:b], self.rule.width), self.shingles[k])
                 if similarity >= self.rule.similarity and similarity > best.get((d, k), (0.0, 0, 0))[0]:
                     best[d, k] = (similarity, a - int(firsts[d]), b - a)
+        self.passages(words, firsts, owner, best)
         return best
 
 

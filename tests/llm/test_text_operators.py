@@ -233,6 +233,35 @@ def test_leaks_are_found_wherever_they_stand(spark):
     assert kept.count() == 60 and kept.columns == docs_of(spark, texts).columns
 
 
+def test_edited_passages_are_found_as_by_brute_force():
+    rng = random.Random(8)
+    rule = decontaminate.LeakRule()
+    words = lambda n: [f"w{rng.randrange(5000)}" for _ in range(n)]
+    items = [words(n) for n in (3, 5, 11, 24, 49, 50, 59, 100, 200)]
+    items.append(words(8) * 6)
+    index = decontaminate.ItemIndex.build(pa.table({"item_id": pa.array(range(len(items))), "text": [" ".join(x) for x in items]}), rule)
+    texts = []
+    for d in range(400):
+        passage = list(rng.choice(items))
+        for _ in range(rng.randrange(0, 1 + max(1, len(passage) // 40))):
+            kind, place = rng.choice("rrrid"), rng.randrange(len(passage))
+            passage[place : place + (kind != "i")] = [] if kind == "d" else words(1)
+        texts.append(" ".join(words(rng.randrange(0, 40)) + passage + words(rng.randrange(0, 40))))
+    (_, _, hashes, firsts), = decontaminate.plain_words(pa.array(texts))
+    found = index.matches(hashes, firsts)
+    want = {}
+    for d, text in enumerate(texts):
+        have = text.split()
+        for k, x in enumerate(items):
+            wanted, n = decontaminate._shingles(np.array(x), rule.width), len(x)
+            passages = [have[max(s, 0) : s + n] for s in range(1 - n, len(have))]
+            best = max((decontaminate.weighted_similarity(decontaminate._shingles(np.array(p), rule.width), wanted) for p in passages if set(p) & set(x)), default=0.0)
+            if best >= rule.similarity:
+                want[d, k] = best
+    assert len(want) > 250
+    assert {x: round(v[0], 12) for x, v in found.items()} == {x: round(v, 12) for x, v in want.items()}
+
+
 def test_hamming_search_finds_all_within_radius():
     rng = np.random.default_rng(2)
     rule = decontaminate.LeakRule()
