@@ -81,8 +81,8 @@ _add(
 )
 
 
-def _bias(s, d):
-    base = RELATIONAL["join_lateral"](s, d).where("vec_id < 20").withColumn("blk", F.expr("coord div 16"))
+def _bias(s, d, which="true"):
+    base = RELATIONAL["join_lateral"](s, d).where(which).withColumn("blk", F.expr("coord div 16"))
     scale = F.max(F.abs("v")).over(Window.partitionBy("vec_id", "blk"))
     rep = base.withColumn("scale", scale).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(15))))
     hit = draw(32, F.col("vec_id"), F.col("coord"), F.col("rep"), mode="portable") * F.col("scale") < F.abs("v")
@@ -91,8 +91,9 @@ def _bias(s, d):
 
 _add(
     "codec_bias", f"SELECT vec_id, coord, CAST(sum(CASE WHEN {draw_sql(32, 'vec_id', 'coord', 'rep')} * scale < abs(v) THEN CAST(sign(v) * scale AS BIGINT) ELSE 0 END) AS BIGINT) AS total, min(v) AS v FROM (SELECT *, max(abs(v)) OVER (PARTITION BY vec_id, coord // 16) AS scale FROM ({COORDINATES}) WHERE vec_id < 20), (SELECT unnest(range(0, 16)) AS rep) GROUP BY vec_id, coord",
-    _bias,
+    lambda s, d: _bias(s, d, "vec_id < 20"),
 )
+_add("codec_bias_all", None, _bias)  # codec_bias keeps to the vectors of its SQL
 
 
 def _wire(s, d):

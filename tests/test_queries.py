@@ -2,7 +2,9 @@ from __future__ import annotations
 
 import time
 
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from terse import catalogue
 
@@ -69,3 +71,21 @@ def test_progress_is_told(spark, sf_dir):
     finally:
         spark.streams.removeListener(heard)
     assert sum(b[2] for b in heard.batches) == spark.read.parquet(f"{sf_dir}/events.parquet").count()
+
+
+def test_bias_covers_all_vectors(spark, sf_dir):
+    from terse.functions.draws import draw
+
+    rows = catalogue.QUERIES["codec_bias_all"](spark, sf_dir).toPandas()
+    vectors = {r["vec_id"]: np.floor(np.asarray(r["embedding"], float) * 2**20 + 0.5).astype(int) for r in spark.read.parquet(f"{sf_dir}/embeddings.parquet").collect()}
+    assert len(vectors) > 20 and len(rows) == sum(map(len, vectors.values()))
+    assert set(zip(rows.vec_id, rows.coord, rows.v, strict=True)) == {(i, c, x) for i, e in vectors.items() for c, x in enumerate(e.tolist())}
+    last = max(vectors)
+    keys = spark.range(len(vectors[last])).select(F.lit(last).alias("vec_id"), F.col("id").alias("coord")).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(15))))
+    drawn = keys.withColumn("u", draw(32, F.col("vec_id"), F.col("coord"), F.col("rep"), mode="portable")).toPandas()
+    total = dict.fromkeys(range(len(vectors[last])), 0)
+    for c, u in zip(drawn.coord, drawn.u, strict=True):
+        scale = max(abs(x) for x in vectors[last][c // 16 * 16 : c // 16 * 16 + 16])
+        total[c] += int(np.sign(vectors[last][c]) * scale) if u * scale < abs(vectors[last][c]) else 0
+    mine = rows[rows.vec_id == last]
+    assert dict(zip(mine.coord, mine.total, strict=True)) == total
