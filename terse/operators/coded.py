@@ -264,3 +264,23 @@ def _gram(s, d):
 
 
 _add("measure_gram", f"WITH c AS ({COORDINATES}) SELECT a.coord AS i, b.coord AS j, CAST(sum(a.v * b.v) AS BIGINT) AS g FROM c a JOIN c b ON a.vec_id = b.vec_id AND a.coord <= b.coord WHERE a.coord < 8 AND b.coord < 8 GROUP BY a.coord, b.coord", _gram)
+
+
+def _gram_all(s, d):
+    """All pairs i <= j of coordinates, those that a vector holds: exact sums of its outer product by batch, then over batches."""
+    import numpy as np
+    import pandas as pd
+
+    def run(frames):
+        for f in frames:
+            sizes = f.embedding.map(len).to_numpy()
+            for n in np.unique(sizes[sizes > 0]):
+                x = np.floor(np.stack(f.embedding[sizes == n]).astype(float) * 1048576 + 0.5).astype(np.int64)
+                i, j = np.triu_indices(n)
+                yield pd.DataFrame({"i": i, "j": j, "g": (x.T @ x)[i, j]})
+
+    filled = read(s, d, "embeddings", "embedding").where("embedding is not null")
+    return filled.mapInPandas(run, "i bigint, j bigint, g bigint").groupBy("i", "j").agg(F.sum("g").alias("g"))
+
+
+_add("measure_gram_all", None, _gram_all)  # measure_gram keeps to the coordinates of its SQL

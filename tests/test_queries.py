@@ -89,3 +89,14 @@ def test_bias_covers_all_vectors(spark, sf_dir):
         total[c] += int(np.sign(vectors[last][c]) * scale) if u * scale < abs(vectors[last][c]) else 0
     mine = rows[rows.vec_id == last]
     assert dict(zip(mine.coord, mine.total, strict=True)) == total
+
+
+def test_gram_covers_all_coordinates(spark, sf_dir):
+    rows = catalogue.QUERIES["measure_gram_all"](spark, sf_dir).toPandas()
+    vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet").toPandas().embedding
+    x = np.floor(np.stack(vectors).astype(float) * 2**20 + 0.5).astype(int).astype(object)
+    want = x.T @ x
+    assert len(rows) == want.shape[0] * (want.shape[0] + 1) // 2
+    assert all(want[r.i, r.j] == r.g and r.i <= r.j for r in rows.itertuples())
+    first = catalogue.QUERIES["measure_gram"](spark, sf_dir).toPandas()
+    assert set(first.itertuples(index=False, name=None)) <= set(rows[["i", "j", "g"]].itertuples(index=False, name=None))
