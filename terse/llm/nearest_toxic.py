@@ -8,6 +8,10 @@ adds up block maxima into upper bounds, scores blocks from the highest bound dow
 next bound: the k nearest are exact.  A neighbour's vote weighs 1 / (distance + 0.05), distance one less the cosine.  Votes become
 probabilities by isotonic regression on further labelled documents.  Neighbours and cosines are kept as evidence.
 
+Near copies.  Words that tell nothing of the classes identify a text all the same, so every document is compared with every example over all words of the
+examples as well: all examples with a cosine of ``copy`` or more are found, exactly, from the postings of the words with the fewest of them.  Their votes,
+smoothed by the share of toxic labels, can only raise a score.  Words that no example holds count as if one document held them.
+
 Defined cases: null and empty texts, and texts without a word of the vocabulary, have no neighbours and get the share of toxic labels among such
 texts; ties go to the earlier example; null labels are left out; ids labelled twice count once; without labels every score is 0; other
 columns are ignored.
@@ -33,7 +37,7 @@ _U = np.uint64
 @dataclass(frozen=True)
 class NeighbourPlan:
     """toxic, clean: labelled examples in the index at most; calibration: further labelled documents at most; k: neighbours; block: examples in an index block;
-    support, chi2: a word of the vocabulary is in so many examples and has at least this chi-square."""
+    support, chi2: a word of the vocabulary is in so many examples and has at least this chi-square; copy: cosine over all words of a near copy."""
 
     toxic: int = 2000
     clean: int = 4000
@@ -42,6 +46,7 @@ class NeighbourPlan:
     block: int = 256
     support: int = 4
     chi2: float = 12.0
+    copy: float = 0.8
 
 
 def _terms(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, int]]:
@@ -67,7 +72,13 @@ def _in_vocabulary(vocabulary: np.ndarray, owner: np.ndarray, h: np.ndarray) ->
         return z, z, z
     at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
     hit = vocabulary[at] == h
-    return _counted(owner[hit], at[hit])
+    return _numbered(owner[hit], at[hit], len(vocabulary))
+
+
+def _numbered(owner: np.ndarray, number: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``_counted`` for terms below n."""
+    both, count = np.unique(owner * n + number, return_counts=True)
+    return both // max(n, 1), both % max(n, 1), count
 
 
 class BlockMaxIndex:
@@ -122,6 +133,46 @@ class BlockMaxIndex:
         return best_doc, best
 
 
+class CopyIndex:
+    """All examples with a cosine of ``least`` or more, over unit vectors of all words."""
+
+    def __init__(self, n: int, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, n_terms: int, least: float):
+        order = np.lexsort((doc, term))
+        self.n, self.least = n, least
+        self.doc, self.weight = doc[order].astype(np.int32), weight[order]
+        self.first = np.searchsorted(term[order], np.arange(n_terms + 1))
+        rows = np.lexsort((term, doc))
+        self.row_term, self.row_weight = term[rows].astype(np.int32), weight[rows]
+        self.row = np.searchsorted(doc[rows], np.arange(n + 1))
+
+    def near(self, terms: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Examples (ascending) and cosines; terms ascend, weights may have a norm below 1 (words that no example holds)."""
+        empty = np.zeros(0, np.int64), np.zeros(0)
+        square = np.square(weights)
+        if square.sum() < np.square(self.least) - 1e-9:
+            return empty
+        lo, m = self.first[terms], self.first[terms + 1] - self.first[terms]
+        order = np.argsort(m, kind="stable")
+        rest = np.sqrt(np.maximum(square.sum() - np.cumsum(square[order]), 0.0))
+        # an example unit vector adds at most the norm of the words left out
+        cut = int(np.argmax(rest <= 0.75 * self.least))
+        chosen = order[: cut + 1]
+        k = m[chosen]
+        ends = np.cumsum(k)
+        post = np.arange(ends[-1]) - np.repeat(ends - k, k) + np.repeat(lo[chosen], k)
+        partial = np.bincount(self.doc[post], np.repeat(weights[chosen], k) * self.weight[post], self.n)
+        found = np.flatnonzero(partial >= self.least - rest[cut] - 1e-9)
+        if not len(found):
+            return empty
+        k = self.row[found + 1] - self.row[found]
+        ends = np.cumsum(k)
+        post = np.arange(ends[-1]) - np.repeat(ends - k, k) + np.repeat(self.row[found], k)
+        at = np.minimum(np.searchsorted(terms, self.row_term[post]), len(terms) - 1)
+        cos = np.bincount(np.repeat(np.arange(len(found)), k), np.where(terms[at] == self.row_term[post], weights[at] * self.row_weight[post], 0.0), len(found))
+        keep = cos >= self.least - 1e-9
+        return found[keep], cos[keep]
+
+
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Non-decreasing step fit of y over x by pooling adjacent violators: right ends of the steps and their values (with add-half smoothing)."""
     order = np.argsort(x, kind="stable")
@@ -149,22 +200,55 @@ class NeighbourModel:
     index: BlockMaxIndex | None
     steps: tuple[np.ndarray, np.ndarray]
     alone: float
+    share: float = 0.0
+    words: np.ndarray | None = None
+    words_idf: np.ndarray | None = None
+    rare_idf: float = 0.0
+    copies: CopyIndex | None = None
+
+    def copied(self, owner: np.ndarray, h: np.ndarray, n: int) -> Iterator[tuple[float, np.ndarray, np.ndarray]]:
+        """Per document: smoothed vote of its near copies among the examples (0 without one), these examples and cosines."""
+        none = 0.0, np.zeros(0, int), np.zeros(0)
+        if self.copies is None or not len(h) or not len(self.words):
+            yield from (none for _ in range(n))
+            return
+        at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
+        hit = self.words[at] == h
+        o, t, c = _numbered(owner[hit], at[hit], len(self.words))
+        w = (1 + np.log(np.maximum(c, 1))) * self.words_idf[t]
+        other, _, count = _counted(owner[~hit], h[~hit])
+        square = np.bincount(o, np.square(w), n) + np.bincount(other, np.square((1 + np.log(np.maximum(count, 1))) * self.rare_idf), n)
+        w = w / np.maximum(np.sqrt(square), 1e-12)[o]
+        cuts = np.searchsorted(o, np.arange(n + 1))
+        for d in range(n):
+            part = slice(cuts[d], cuts[d + 1])
+            near, cos = self.copies.near(t[part], w[part]) if cuts[d] < cuts[d + 1] else none[1:]
+            weight = 1 / (1.05 - np.minimum(cos, 1.0))
+            yield (float(((weight * self.toxic[near]).sum() + self.share) / (weight.sum() + 1)), near, cos) if len(near) else none
 
     def votes(self, column: pa.Array) -> Iterator[tuple[int, float, np.ndarray, np.ndarray]]:
         """Per document: place in the column, vote (nan without neighbours), examples and cosines."""
         for a, owner, h, _, n in _terms(column):
-            o, t, c = _in_vocabulary(self.vocabulary, owner, h)
-            w = (1 + np.log(np.maximum(c, 1))) * self.idf[t] if len(t) else np.zeros(0)
-            cuts = np.searchsorted(o, np.arange(n + 1))
-            for d in range(n):
-                part = slice(cuts[d], cuts[d + 1])
-                if self.index is None or cuts[d] == cuts[d + 1]:
-                    yield a + d, np.nan, np.zeros(0, int), np.zeros(0)
-                    continue
-                q = w[part] / np.sqrt(np.square(w[part]).sum())
-                near, cos = self.index.nearest(t[part], q, self.plan.k)
-                weight = 1 / (1.05 - np.minimum(cos, 1.0))
-                yield a + d, float((weight * self.toxic[near]).sum() / weight.sum()) if len(near) else np.nan, near, cos
+            yield from self._votes(a, owner, h, n)
+
+    def votes_and_copies(self, column: pa.Array) -> Iterator[tuple[tuple, tuple]]:
+        """Per document: what ``votes`` and ``copied`` tell."""
+        for a, owner, h, _, n in _terms(column):
+            yield from zip(self._votes(a, owner, h, n), self.copied(owner, h, n), strict=True)
+
+    def _votes(self, a: int, owner: np.ndarray, h: np.ndarray, n: int) -> Iterator[tuple[int, float, np.ndarray, np.ndarray]]:
+        o, t, c = _in_vocabulary(self.vocabulary, owner, h)
+        w = (1 + np.log(np.maximum(c, 1))) * self.idf[t] if len(t) else np.zeros(0)
+        cuts = np.searchsorted(o, np.arange(n + 1))
+        for d in range(n):
+            part = slice(cuts[d], cuts[d + 1])
+            if self.index is None or cuts[d] == cuts[d + 1]:
+                yield a + d, np.nan, np.zeros(0, int), np.zeros(0)
+                continue
+            q = w[part] / np.sqrt(np.square(w[part]).sum())
+            near, cos = self.index.nearest(t[part], q, self.plan.k)
+            weight = 1 / (1.05 - np.minimum(cos, 1.0))
+            yield a + d, float((weight * self.toxic[near]).sum() / weight.sum()) if len(near) else np.nan, near, cos
 
     def probability(self, vote: np.ndarray) -> np.ndarray:
         ends, values = self.steps
@@ -205,10 +289,13 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text", F.lit(0).alias("all"))
     # the bounded sample is worked on by one task each time, so that the driver holds the finished model only
     rows = written(texts, shared_folder(docs.sparkSession), "sample").repartition(1)
+    words = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_all_words(t).tobytes()), "m binary")) or b"", _U)
     vocabulary = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_vocabulary(t, plan).tobytes()), "m binary")) or b"", _U)
-    total, n_docs = _document_frequencies(docs, vocabulary)
-    idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
-    found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, vocabulary, idf))), "m binary"))
+    total, n_docs = _document_frequencies(docs, words)
+    words_idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
+    idf = words_idf[np.searchsorted(words, vocabulary)] if len(vocabulary) else np.zeros(0)
+    rare = float(np.log((1 + n_docs) / 2))
+    found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, vocabulary, idf, words, words_idf, rare))), "m binary"))
     return pickle.loads(found) if found else NeighbourModel(plan, vocabulary, idf, np.zeros(0, int), np.zeros(0), None, (np.zeros(0), np.zeros(0)), 0.0)
 
 
@@ -228,6 +315,21 @@ def _parts(table: pa.Table) -> tuple[pa.Table, pa.Table]:
     return table.filter(pa.array(~calibrates)), table.filter(pa.array(calibrates))
 
 
+def _all_words(table: pa.Table) -> np.ndarray:
+    """Sorted hashes of all words of the examples."""
+    found = [np.unique(h) for _, _, h, _, _ in _terms(_parts(table)[0].column("text").combine_chunks())]
+    return np.unique(np.concatenate(found)) if found else np.zeros(0, _U)
+
+
+def _weighted(table: pa.Table, vocabulary: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Document, word and weight of the texts' unit vectors over a vocabulary."""
+    found = [(o + a, t, c) for a, owner, h, _, _ in _terms(table.column("text").combine_chunks()) for o, t, c in [_in_vocabulary(vocabulary, owner, h)]]
+    doc, term, count = (np.concatenate([f[i] for f in found]) for i in range(3))
+    weight = (1 + np.log(np.maximum(count, 1))) * idf[term] if len(term) else np.zeros(0)
+    norm = np.sqrt(np.bincount(doc, np.square(weight), len(table))) if len(doc) else np.ones(len(table))
+    return doc, term, weight / np.maximum(norm[doc], 1e-12)
+
+
 def _vocabulary(table: pa.Table, plan: NeighbourPlan) -> np.ndarray:
     """Sorted hashes of the words that tell toxic examples from others."""
     examples, _ = _parts(table)
@@ -244,7 +346,9 @@ def _vocabulary(table: pa.Table, plan: NeighbourPlan) -> np.ndarray:
     return vocabulary[(df >= plan.support) & (np.square(with_toxic - expected) / spread >= plan.chi2) & (with_toxic > expected)]
 
 
-def _built(table: pa.Table, plan: NeighbourPlan, vocabulary: np.ndarray, idf: np.ndarray) -> NeighbourModel:
+def _built(
+    table: pa.Table, plan: NeighbourPlan, vocabulary: np.ndarray, idf: np.ndarray, words: np.ndarray, words_idf: np.ndarray, rare_idf: float
+) -> NeighbourModel:
     """Index of the examples, and the calibration of votes."""
     examples, checks = _parts(table)
     share = float(table.column("y").to_numpy().mean())
@@ -252,11 +356,9 @@ def _built(table: pa.Table, plan: NeighbourPlan, vocabulary: np.ndarray, idf: np
     model = NeighbourModel(plan, vocabulary, idf, examples.column("doc_id").to_numpy(), toxic, None, (np.zeros(0), np.zeros(0)), share)
     if not n:
         return model
-    found = [(o + a, t, c) for a, owner, h, _, _ in _terms(examples.column("text").combine_chunks()) for o, t, c in [_in_vocabulary(vocabulary, owner, h)]]
-    doc, term, count = (np.concatenate([f[i] for f in found]) for i in range(3))
-    weight = (1 + np.log(np.maximum(count, 1))) * idf[term] if len(term) else np.zeros(0)
-    norm = np.sqrt(np.bincount(doc, np.square(weight), n)) if len(doc) else np.ones(n)
-    model.index = BlockMaxIndex(n, doc, term, weight / np.maximum(norm[doc], 1e-12), len(vocabulary), plan.block)
+    model.index = BlockMaxIndex(n, *_weighted(examples, vocabulary, idf), len(vocabulary), plan.block)
+    model.share, model.words, model.words_idf, model.rare_idf = share, words, words_idf, rare_idf
+    model.copies = CopyIndex(n, *_weighted(examples, words, words_idf), len(words), plan.copy)
     truth = checks.column("y").to_numpy().astype(np.float64)
     votes = np.full(len(truth), np.nan)
     if len(truth):
@@ -275,13 +377,16 @@ def score(docs: DataFrame, model: NeighbourModel) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            votes, near, cosines = np.zeros(batch.num_rows), [], []
-            for place, vote, docs_near, cos in m.votes(batch.column("text")):
-                votes[place] = vote
+            votes, copied, near, cosines = np.zeros(batch.num_rows), np.zeros(batch.num_rows), [], []
+            for (place, vote, docs_near, cos), (copy, docs_copied, cos_copied) in m.votes_and_copies(batch.column("text")):
+                votes[place], copied[place] = vote, copy
+                if not len(docs_near):  # then near copies are the evidence
+                    top = np.argsort(-cos_copied, kind="stable")[: m.plan.k]
+                    docs_near, cos = docs_copied[top], cos_copied[top]
                 near.append(m.ids[docs_near].tolist() if len(docs_near) else [])
                 cosines.append(cos.tolist())
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(m.probability(votes)), pa.array(near, pa.list_(pa.int64())), pa.array(cosines, pa.list_(pa.float64()))],
+                [batch.column("doc_id"), pa.array(np.maximum(m.probability(votes), copied)), pa.array(near, pa.list_(pa.int64())), pa.array(cosines, pa.list_(pa.float64()))],
                 names=["doc_id", "score", "neighbours", "cosines"],
             )
 

@@ -203,6 +203,40 @@ def test_nearest_equals_brute_force():
         assert len(got) == len(want)
 
 
+def test_copies_over_all_words_equal_brute_force():
+    rng = np.random.default_rng(3)
+    dense = np.where(rng.random((200, 60)) < 0.2, rng.random((200, 60)), 0)
+    dense[100:] = dense[:100] + np.where(rng.random((100, 60)) < 0.05, rng.random((100, 60)), 0)
+    dense /= np.maximum(np.linalg.norm(dense, axis=1, keepdims=True), 1e-9)
+    doc, term = np.nonzero(dense)
+    index = nearest_toxic.CopyIndex(200, doc, term, dense[doc, term], 60, 0.8)
+    several = 0
+    for q in dense * rng.uniform(0.7, 1.0, (200, 1)):
+        terms = np.flatnonzero(q)
+        got, cos = index.near(terms, q[terms])
+        want = np.flatnonzero(dense @ q >= 0.8)
+        assert got.tolist() == want.tolist() and np.allclose(cos, (dense @ q)[want])
+        several += len(want) > 1
+    assert several > 20
+
+
+def test_copies_of_toxic_examples_score_high_whatever_their_words(spark):
+    rng = random.Random(6)
+    text = lambda words: " ".join(rng.choice(words) for _ in range(40))
+    plain, own = [f"p{i}" for i in range(300)], lambda k: [f"own{k}x{i}" for i in range(60)]  # no two toxic texts share a word
+    texts = [text(own(d)) if d % 10 == 0 else text(plain) for d in range(300)]
+    labels = spark.createDataFrame([(d, int(d % 10 == 0)) for d in range(300)], "doc_id bigint, toxic int")
+    docs = docs_of(spark, texts)
+    model = nearest_toxic.fit(docs, labels, F.lit(True))
+    toxic = [int(i) for i, y in zip(model.ids, model.toxic, strict=True) if y]
+    assert len(toxic) > 5 and not len(model.vocabulary)
+    copies = [texts[i].rsplit(" ", 2)[0] + f" new{i} word{i}" for i in toxic] + [text(plain) for _ in range(20)]
+    score = {r["doc_id"]: r["score"] for r in nearest_toxic.score(docs_of(spark, copies), model).collect()}
+    assert min(score[i] for i in range(len(toxic))) >= 0.5
+    assert max(score[i] for i in range(len(toxic), len(copies))) < 0.5
+    assert nearest_toxic.drop_toxic(docs_of(spark, copies), model).count() == 20
+
+
 def test_classifiers_take_odd_texts(spark, odd):
     labels = spark.createDataFrame([(3, 1, 0), (5, 0, 1), (7, None, None), (6, 1, 0), (3, 1, 0)], "doc_id bigint, quality int, toxic int")
     for rows in (subword_quality.score(odd, subword_quality.fit(odd, labels, F.lit(True))), nearest_toxic.score(odd, nearest_toxic.fit(odd, labels, F.lit(True)))):
