@@ -20,8 +20,10 @@ columns are ignored.
 from __future__ import annotations
 
 import pickle
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -145,6 +147,15 @@ class CopyIndex:
         self.row_term, self.row_weight = term[rows].astype(np.int32), weight[rows]
         self.row = np.searchsorted(doc[rows], np.arange(n + 1))
 
+    def packed(self) -> bytes:
+        """The postings by example, with weights of single precision: what the driver passes on."""
+        return zlib.compress(pickle.dumps((self.n, len(self.first) - 1, self.least, np.diff(self.row), self.row_term, self.row_weight.astype(np.float32))), 1)
+
+    @classmethod
+    def unpacked(cls, data: bytes) -> CopyIndex:
+        n, n_terms, least, sizes, term, weight = pickle.loads(zlib.decompress(data))
+        return cls(n, np.repeat(np.arange(n), sizes), term, weight.astype(np.float64), n_terms, least)
+
     def near(self, terms: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Examples (ascending) and cosines; terms ascend, weights may have a norm below 1 (words that no example holds)."""
         empty = np.zeros(0, np.int64), np.zeros(0)
@@ -204,7 +215,11 @@ class NeighbourModel:
     words: np.ndarray | None = None
     words_idf: np.ndarray | None = None
     rare_idf: float = 0.0
-    copies: CopyIndex | None = None
+    packed: bytes | None = None
+
+    @cached_property
+    def copies(self) -> CopyIndex | None:
+        return CopyIndex.unpacked(self.packed) if self.packed else None
 
     def copied(self, owner: np.ndarray, h: np.ndarray, n: int) -> Iterator[tuple[float, np.ndarray, np.ndarray]]:
         """Per document: smoothed vote of its near copies among the examples (0 without one), these examples and cosines."""
@@ -358,7 +373,7 @@ def _built(
         return model
     model.index = BlockMaxIndex(n, *_weighted(examples, vocabulary, idf), len(vocabulary), plan.block)
     model.share, model.words, model.words_idf, model.rare_idf = share, words, words_idf, rare_idf
-    model.copies = CopyIndex(n, *_weighted(examples, words, words_idf), len(words), plan.copy)
+    model.packed = CopyIndex(n, *_weighted(examples, words, words_idf), len(words), plan.copy).packed()
     truth = checks.column("y").to_numpy().astype(np.float64)
     votes = np.full(len(truth), np.nan)
     if len(truth):
