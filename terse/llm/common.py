@@ -47,6 +47,20 @@ def bounded(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if small(df, rows) else df
 
 
+def without(docs: DataFrame, gone: DataFrame, *keys: Column) -> DataFrame:
+    """The rows of docs whose keys are not among the (narrow, distinct) rows of gone, nulls being equal; columns as in docs.
+
+    Keys are compared under names that no column of docs has.
+    """
+    gone = written(gone.toDF(*(f"__gone_{i}" for i in range(len(keys)))), shared_folder(docs.sparkSession), "gone")
+    keyed = docs.withColumns({f"__key_{i}": key for i, key in enumerate(keys)})
+    same = None
+    for i in range(len(keys)):
+        equal = F.col(f"__key_{i}").eqNullSafe(F.col(f"__gone_{i}"))
+        same = equal if same is None else same & equal
+    return keyed.join(bounded(gone), same, "left_anti").select(*docs.columns)
+
+
 def words(text: Column) -> Column:
     """Words of a text as an array; null has none."""
     return F.filter(F.split(F.coalesce(text, F.lit("")), BLANK_CLASS), lambda w: w != "")

@@ -1,36 +1,36 @@
 """Toxicity by the nearest labelled examples: exact TF-IDF cosine over a block-max inverted index, distance-weighted votes.
 
-Examples are a sample of labelled documents, bounded per class by parameters.  The vocabulary is what tells the classes apart among
-them (chi-square); document frequencies of its words are counted over all documents.  Weights are (1 + ln tf) * ln((1 + N) / (1 + df)).
-
-The index lists, for each word, the examples that hold it, in blocks of consecutive examples with the largest weight of each block.  A query
-adds up block maxima into upper bounds, scores blocks from the highest bound down, and stops when the k-th best cosine is not below the
-next bound: the k nearest are exact.  A neighbour's vote weighs 1 / (distance + 0.05), distance one less the cosine.  Votes become
-probabilities by isotonic regression on further labelled documents.  Neighbours and cosines are kept as evidence.
-
-Near copies.  Words that tell nothing of the classes identify a text all the same, so every document is compared with every example over all words of the
-examples as well: all examples with a cosine of ``copy`` or more are found, exactly, from the postings of the words with the fewest of them.  Their votes,
-smoothed by the share of toxic labels, can only raise a score.  Words that no example holds count as if one document held them.
-
-Defined cases: null and empty texts, and texts without a word of the vocabulary, have no neighbours and get the share of toxic labels among such
-texts; ties go to the earlier example; null labels are left out; ids labelled twice count once; without labels every score is 0; other
-columns are ignored.
+Examples are a sample of labelled documents, bounded per class by parameters.  Every word counts: (1 + ln tf) * ln((1 + N) / (1 + df)), document
+frequencies taken over all documents, times the word's relevance frequency log2(2 + a / max(1, c)) where a toxic and c clean examples hold it
+(``relevance=False`` leaves that factor out).  No word is dropped: one that tells nothing of the classes keeps a factor of 1 or so.  A word that no example
+holds weighs as if one document held it, and counts in the norm only.
+
+Index.  Examples are dealt into blocks of like ones.  The postings of a word are kept with block maxima; words that very many examples hold are kept as
+columns, their block maxima too.  A batch of documents adds up the postings of its rarer words, bounds every (document, block) pair by that and
+the block maxima of the others, scores each document's best blocks, and then exactly those pairs whose bound reaches the document's k-th
+best cosine: the k nearest are exact.
+
+A neighbour's vote weighs 1 / (distance + 0.05), distance one less the cosine.  Votes become probabilities by isotonic regression on
+further labelled documents, linear between its steps.  Near copies (cosine ``copy`` or more) among the neighbours can raise a score by their own votes,
+smoothed by the share of toxic labels.  Neighbours and cosines are kept as evidence.
+
+Defined cases: null and empty texts, and texts that share no word with an example, have no neighbours and get the share of toxic labels among such
+texts; ties go to the earlier example of the index; null labels are left out; ids labelled twice count once; without labels every score is 0; other
+columns are ignored; rows that repeat are scored alike.
 """
 
 from __future__ import annotations
 
 import pickle
-import zlib
 from collections.abc import Iterator
-from dataclasses import dataclass
-from functools import cached_property
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from terse.llm.common import bounded, held_out, shared_folder, written
+from terse.llm.common import held_out, shared_folder, without, written
 from terse.llm.decontaminate import plain_words
 
 _U = np.uint64
@@ -38,24 +38,23 @@ _U = np.uint64
 
 @dataclass(frozen=True)
 class NeighbourPlan:
-    """toxic, clean: labelled examples in the index at most; calibration: further labelled documents at most; k: neighbours; block: examples in an index block;
-    support, chi2: a word of the vocabulary is in so many examples and has at least this chi-square; copy: cosine over all words of a near copy."""
+    """toxic, clean: labelled examples in the index at most; calibration: further labelled documents at most; k: neighbours; block: examples in an index
+    block; columns: words kept as columns at most; relevance: whether words weigh by their relevance frequency; copy: cosine of a near copy."""
 
     toxic: int = 2000
     clean: int = 4000
     calibration: int = 4000
     k: int = 15
-    block: int = 256
-    support: int = 4
-    chi2: float = 12.0
+    block: int = 64
+    columns: int = 512
+    relevance: bool = True
     copy: float = 0.8
 
 
-def _terms(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, int]]:
-    """Per chunk: first document, and for every distinct word of every document its document (from 0), hash and count; then documents."""
+def _terms(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """Per chunk: first document, documents, and for every distinct word of each its document (from 0), hash and count, by document and hash."""
     for a, b, h, firsts in plain_words(column):
-        owner = np.repeat(np.arange(b - a), np.diff(firsts))
-        yield a, owner, h, firsts, b - a
+        yield a, b - a, *_counted(np.repeat(np.arange(b - a), np.diff(firsts)), h)
 
 
 def _counted(owner: np.ndarray, term: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -68,231 +67,219 @@ def _counted(owner: np.ndarray, term: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return o[heads], t[heads], np.diff(np.append(heads, len(o)))
 
 
-def _in_vocabulary(vocabulary: np.ndarray, owner: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    if not len(vocabulary) or not len(h):
-        z = np.zeros(0, np.int64)
-        return z, z, z
-    at = np.minimum(np.searchsorted(vocabulary, h), len(vocabulary) - 1)
-    hit = vocabulary[at] == h
-    return _numbered(owner[hit], at[hit], len(vocabulary))
+def _looked_up(words: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of hashes among sorted words, and which of them are there."""
+    if not len(words):
+        return np.zeros(len(h), np.int64), np.zeros(len(h), bool)
+    at = np.minimum(np.searchsorted(words, h), len(words) - 1)
+    return at, words[at] == h
+
+
+def like_ones_together(x: np.ndarray, block: int) -> np.ndarray:
+    """An order of rows in which blocks hold like ones: halves along the leading direction, again and again."""
+    out = []
 
+    def halve(rows: np.ndarray) -> None:
+        if len(rows) <= block:
+            out.append(rows)
+            return
+        part = x[rows] - x[rows].mean(0)
+        direction = part[np.argmax(np.square(part).sum(1))]
+        for _ in range(5):
+            direction = part.T @ (part @ direction)
+            direction = direction / max(np.sqrt(np.square(direction).sum()), 1e-12)
+        order = rows[np.argsort(part @ direction, kind="stable")]
+        middle = -(-len(rows) // 2 // block) * block
+        halve(order[:middle])
+        halve(order[middle:])
 
-def _numbered(owner: np.ndarray, number: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """``_counted`` for terms below n."""
-    both, count = np.unique(owner * n + number, return_counts=True)
-    return both // max(n, 1), both % max(n, 1), count
+    halve(np.arange(len(x)))
+    return np.concatenate(out)
 
 
 class BlockMaxIndex:
-    """Examples by word, in blocks with their largest weights."""
-
-    def __init__(self, n: int, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, n_terms: int, block: int):
-        order = np.lexsort((doc, term))
-        self.doc, self.weight = doc[order], weight[order]
-        term = term[order]
-        part = self.doc // block
-        heads = np.flatnonzero(np.concatenate(([True], (term[1:] != term[:-1]) | (part[1:] != part[:-1])))) if len(term) else np.zeros(0, np.int64)
-        self.block, self.n_blocks, self.n = block, -(-n // block), n
-        self.head = np.append(heads, len(term))  # a run: the postings of one word in one block
-        self.run_block = part[heads]
-        self.run_most = np.maximum.reduceat(self.weight, heads) if len(heads) else self.weight[:0]
-        self.first_run = np.searchsorted(term[heads], np.arange(n_terms + 1))
-        # runs by block as well, to score one block for the words of a query
-        self.run_term = term[heads]
-
-    def nearest(self, terms: np.ndarray, weights: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """The k examples with the largest cosines above 0 (ties: earlier first), and these."""
-        lo, n = self.first_run[terms], self.first_run[terms + 1] - self.first_run[terms]
-        total = int(n.sum())
-        if not total:
-            return np.zeros(0, np.int64), np.zeros(0)
-        ends = np.cumsum(n)
-        runs = np.arange(total) - np.repeat(ends - n, n) + np.repeat(lo, n)
-        q = np.repeat(weights, n)
-        blocks = self.run_block[runs]
-        bound = np.bincount(blocks, q * self.run_most[runs], self.n_blocks)
-        order = np.argsort(-bound, kind="stable")
-        order = order[bound[order] > 0]
-        by_block = np.argsort(blocks, kind="stable")
-        cuts = np.searchsorted(blocks[by_block], np.arange(self.n_blocks + 1))
-        best_doc, best = np.zeros(0, np.int64), np.zeros(0)
-        at, step = 0, 4
-        while at < len(order):
-            if len(best) == k and bound[order[at]] < best[-1] - 1e-12:
-                break
-            chosen = order[at : at + step]
-            mine = np.concatenate([by_block[cuts[b] : cuts[b + 1]] for b in chosen])
-            a, m = self.head[runs[mine]], self.head[runs[mine] + 1] - self.head[runs[mine]]
-            stop = np.cumsum(m)
-            post = np.arange(stop[-1]) - np.repeat(stop - m, m) + np.repeat(a, m)
-            docs, back = np.unique(self.doc[post], return_inverse=True)
-            cos = np.bincount(back, np.repeat(q[mine], m) * self.weight[post])
-            docs, cos = np.concatenate((best_doc, docs)), np.concatenate((best, cos))
-            top = np.lexsort((docs, -cos))[:k]
-            best_doc, best = docs[top], cos[top]
-            at += step
-            step *= 2
-        return best_doc, best
-
-
-class CopyIndex:
-    """All examples with a cosine of ``least`` or more, over unit vectors of all words."""
-
-    def __init__(self, n: int, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, n_terms: int, least: float):
-        order = np.lexsort((doc, term))
-        self.n, self.least = n, least
-        self.doc, self.weight = doc[order].astype(np.int32), weight[order]
-        self.first = np.searchsorted(term[order], np.arange(n_terms + 1))
-        rows = np.lexsort((term, doc))
-        self.row_term, self.row_weight = term[rows].astype(np.int32), weight[rows]
-        self.row = np.searchsorted(doc[rows], np.arange(n + 1))
-
-    def packed(self) -> bytes:
-        """The postings by example, with weights of single precision: what the driver passes on."""
-        return zlib.compress(pickle.dumps((self.n, len(self.first) - 1, self.least, np.diff(self.row), self.row_term, self.row_weight.astype(np.float32))), 1)
-
-    @classmethod
-    def unpacked(cls, data: bytes) -> CopyIndex:
-        n, n_terms, least, sizes, term, weight = pickle.loads(zlib.decompress(data))
-        return cls(n, np.repeat(np.arange(n), sizes), term, weight.astype(np.float64), n_terms, least)
-
-    def near(self, terms: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Examples (ascending) and cosines; terms ascend, weights may have a norm below 1 (words that no example holds)."""
-        empty = np.zeros(0, np.int64), np.zeros(0)
-        square = np.square(weights)
-        if square.sum() < np.square(self.least) - 1e-9:
-            return empty
-        lo, m = self.first[terms], self.first[terms + 1] - self.first[terms]
-        order = np.argsort(m, kind="stable")
-        rest = np.sqrt(np.maximum(square.sum() - np.cumsum(square[order]), 0.0))
-        # an example unit vector adds at most the norm of the words left out
-        cut = int(np.argmax(rest <= 0.75 * self.least))
-        chosen = order[: cut + 1]
-        k = m[chosen]
-        ends = np.cumsum(k)
-        post = np.arange(ends[-1]) - np.repeat(ends - k, k) + np.repeat(lo[chosen], k)
-        partial = np.bincount(self.doc[post], np.repeat(weights[chosen], k) * self.weight[post], self.n)
-        found = np.flatnonzero(partial >= self.least - rest[cut] - 1e-9)
-        if not len(found):
-            return empty
-        k = self.row[found + 1] - self.row[found]
-        ends = np.cumsum(k)
-        post = np.arange(ends[-1]) - np.repeat(ends - k, k) + np.repeat(self.row[found], k)
-        at = np.minimum(np.searchsorted(terms, self.row_term[post]), len(terms) - 1)
-        cos = np.bincount(np.repeat(np.arange(len(found)), k), np.where(terms[at] == self.row_term[post], weights[at] * self.row_weight[post], 0.0), len(found))
-        keep = cos >= self.least - 1e-9
-        return found[keep], cos[keep]
+    """Unit vectors of n examples over n_terms words, in blocks with the largest weight of every word; ``order`` tells which example stands where."""
+
+    def __init__(self, n: int, doc: np.ndarray, term: np.ndarray, weight: np.ndarray, n_terms: int, block: int, columns: int = 512):
+        self.n, self.block, self.n_blocks = n, block, -(-n // block)
+        held = np.bincount(term, minlength=n_terms)
+        often = np.sort(np.argsort(-held, kind="stable")[:columns])
+        self.column = np.full(n_terms, -1, np.int32)
+        self.column[often] = np.arange(len(often))
+        self.width = self.n_blocks * block
+        dense = np.zeros((self.width, len(often)))
+        c = self.column[term]
+        dense[doc[c >= 0], c[c >= 0]] = weight[c >= 0]
+        self.order = like_ones_together(dense[:n], block)
+        place = np.empty(n, np.int64)
+        place[self.order] = np.arange(n)
+        dense[:n] = dense[:n][self.order]
+        self.dense = dense.reshape(self.n_blocks, block, len(often))
+        self.most = self.dense.max(1)
+        rare = c < 0
+        by = np.lexsort((place[doc[rare]], term[rare]))
+        self.doc, self.weight = place[doc[rare]][by], weight[rare][by]
+        self.first = np.searchsorted(term[rare][by], np.arange(n_terms + 1))
+        self.pairs = self.scored = 0
+
+    def nearest(self, owner: np.ndarray, term: np.ndarray, weight: np.ndarray, n: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For n vectors given by (vector, word, weight), by vector: their k examples with the largest cosines above 0 (ties: the place in the index), best first."""
+        if not len(owner) or not self.n:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        work = np.cumsum(np.bincount(owner, self.first[term + 1] - self.first[term], n))
+        found, at = [], 0
+        while at < n:  # so many vectors at a time that their postings and cosines take some tens of megabytes
+            end = max(at + 1, min(int(np.searchsorted(work, (work[at - 1] if at else 0) + 2_000_000, side="right")), at + max(1, 500_000 // self.width)))
+            part = slice(*np.searchsorted(owner, (at, end)))
+            q, d, c = self._nearest(owner[part] - at, term[part], weight[part], end - at, k)
+            found.append((q + at, d, c))
+            at = end
+        return tuple(np.concatenate([f[i] for f in found]) for i in range(3))
+
+    def _nearest(self, owner, term, weight, m, k):
+        lo, spans = self.first[term], self.first[term + 1] - self.first[term]
+        ends = np.cumsum(spans)
+        post = np.arange(ends[-1]) + np.repeat(lo - ends + spans, spans)
+        cells = np.repeat(owner * self.width, spans) + self.doc[post]
+        partial = np.bincount(cells, np.repeat(weight, spans) * self.weight[post], m * self.width).reshape(m, self.n_blocks, self.block)
+        c = self.column[term]
+        q = np.zeros((m, self.dense.shape[2]))
+        q[owner[c >= 0], c[c >= 0]] = weight[c >= 0]
+        bound = partial.max(2) + q @ self.most.T
+        cosine = np.zeros(partial.shape)
+        seeds = min(self.n_blocks, -(-k // self.block) + 1)
+        todo = np.zeros(bound.shape, bool)
+        np.put_along_axis(todo, np.argpartition(-bound, seeds - 1, axis=1)[:, :seeds], True, axis=1)
+        todo &= bound > 0
+        self._score(todo, partial, q, cosine)
+        flat = cosine.reshape(m, -1)
+        least = np.partition(flat, self.width - k, axis=1)[:, self.width - k] if self.width > k else np.zeros(m)
+        rest = (bound > 0) & ~todo & (bound >= least[:, None] - 1e-9)
+        self._score(rest, partial, q, cosine)
+        self.pairs += bound.size
+        self.scored += int(todo.sum() + rest.sum())
+        if self.width > k:
+            least = np.partition(flat, self.width - k, axis=1)[:, self.width - k]
+        rows, docs = np.nonzero((flat > 0) & (flat >= least[:, None]))
+        value = flat[rows, docs]
+        by = np.lexsort((docs, -value, rows))
+        rows, docs, value = rows[by], docs[by], value[by]
+        rank = np.arange(len(rows)) - np.searchsorted(rows, np.arange(m))[rows]
+        keep = rank < k
+        return rows[keep], self.order[docs[keep]], value[keep]
+
+    def _score(self, todo: np.ndarray, partial: np.ndarray, q: np.ndarray, cosine: np.ndarray) -> None:
+        """Exact cosines of the chosen (vector, block) pairs, block by block for all vectors at once."""
+        for b in np.flatnonzero(todo.any(0)):
+            rows = np.flatnonzero(todo[:, b])
+            cosine[rows, b] = partial[rows, b] + q[rows] @ self.dense[b].T
 
 
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Non-decreasing step fit of y over x by pooling adjacent violators: right ends of the steps and their values (with add-half smoothing)."""
+    """Non-decreasing fit of y over x by pooling adjacent violators: middles of the steps and their values (with add-half smoothing)."""
     order = np.argsort(x, kind="stable")
     x, y = x[order], y[order]
-    steps: list[list[float]] = []
+    steps: list[list[float]] = []  # sum of y, how many, sum of x, largest x
     for xi, yi in zip(x, y, strict=True):
-        if steps and steps[-1][2] == xi:
-            steps[-1][0] += yi
-            steps[-1][1] += 1
+        if steps and steps[-1][3] == xi:
+            steps[-1] = [steps[-1][0] + yi, steps[-1][1] + 1, steps[-1][2] + xi, xi]
         else:
-            steps.append([yi, 1.0, xi])
+            steps.append([yi, 1.0, xi, xi])
         while len(steps) > 1 and steps[-2][0] * steps[-1][1] >= steps[-1][0] * steps[-2][1]:
             last = steps.pop()
-            steps[-1] = [steps[-1][0] + last[0], steps[-1][1] + last[1], last[2]]
-    return np.array([s[2] for s in steps]), np.array([(s[0] + 0.5 * (s[0] / s[1])) / (s[1] + 0.5) for s in steps])
+            steps[-1] = [steps[-1][0] + last[0], steps[-1][1] + last[1], steps[-1][2] + last[2], last[3]]
+    return np.array([s[2] / s[1] for s in steps]), np.array([(s[0] + 0.5 * (s[0] / s[1])) / (s[1] + 0.5) for s in steps])
 
 
 @dataclass
 class NeighbourModel:
+    """words: sorted hashes of the examples' words; factor: what each weighs besides its count; steps: calibration; alone: score without neighbours."""
+
     plan: NeighbourPlan
-    vocabulary: np.ndarray
-    idf: np.ndarray
-    ids: np.ndarray
-    toxic: np.ndarray
-    index: BlockMaxIndex | None
-    steps: tuple[np.ndarray, np.ndarray]
-    alone: float
+    words: np.ndarray
+    factor: np.ndarray
+    unseen: float = 0.0
+    ids: np.ndarray = field(default_factory=lambda: np.zeros(0, int))
+    toxic: np.ndarray = field(default_factory=lambda: np.zeros(0))
+    postings: tuple = ()
+    steps: tuple[np.ndarray, np.ndarray] = (np.array([0.0, 1.0]), np.array([0.05, 0.95]))
+    alone: float = 0.0
     share: float = 0.0
-    words: np.ndarray | None = None
-    words_idf: np.ndarray | None = None
-    rare_idf: float = 0.0
-    packed: bytes | None = None
-
-    @cached_property
-    def copies(self) -> CopyIndex | None:
-        return CopyIndex.unpacked(self.packed) if self.packed else None
-
-    def copied(self, owner: np.ndarray, h: np.ndarray, n: int) -> Iterator[tuple[float, np.ndarray, np.ndarray]]:
-        """Per document: smoothed vote of its near copies among the examples (0 without one), these examples and cosines."""
-        none = 0.0, np.zeros(0, int), np.zeros(0)
-        if self.copies is None or not len(h) or not len(self.words):
-            yield from (none for _ in range(n))
-            return
-        at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
-        hit = self.words[at] == h
-        o, t, c = _numbered(owner[hit], at[hit], len(self.words))
-        w = (1 + np.log(np.maximum(c, 1))) * self.words_idf[t]
-        other, _, count = _counted(owner[~hit], h[~hit])
-        square = np.bincount(o, np.square(w), n) + np.bincount(other, np.square((1 + np.log(np.maximum(count, 1))) * self.rare_idf), n)
-        w = w / np.maximum(np.sqrt(square), 1e-12)[o]
-        cuts = np.searchsorted(o, np.arange(n + 1))
-        for d in range(n):
-            part = slice(cuts[d], cuts[d + 1])
-            near, cos = self.copies.near(t[part], w[part]) if cuts[d] < cuts[d + 1] else none[1:]
-            weight = 1 / (1.05 - np.minimum(cos, 1.0))
-            yield (float(((weight * self.toxic[near]).sum() + self.share) / (weight.sum() + 1)), near, cos) if len(near) else none
-
-    def votes(self, column: pa.Array) -> Iterator[tuple[int, float, np.ndarray, np.ndarray]]:
-        """Per document: place in the column, vote (nan without neighbours), examples and cosines."""
-        for a, owner, h, _, n in _terms(column):
-            yield from self._votes(a, owner, h, n)
-
-    def votes_and_copies(self, column: pa.Array) -> Iterator[tuple[tuple, tuple]]:
-        """Per document: what ``votes`` and ``copied`` tell."""
-        for a, owner, h, _, n in _terms(column):
-            yield from zip(self._votes(a, owner, h, n), self.copied(owner, h, n), strict=True)
-
-    def _votes(self, a: int, owner: np.ndarray, h: np.ndarray, n: int) -> Iterator[tuple[int, float, np.ndarray, np.ndarray]]:
-        o, t, c = _in_vocabulary(self.vocabulary, owner, h)
-        w = (1 + np.log(np.maximum(c, 1))) * self.idf[t] if len(t) else np.zeros(0)
-        cuts = np.searchsorted(o, np.arange(n + 1))
-        for d in range(n):
-            part = slice(cuts[d], cuts[d + 1])
-            if self.index is None or cuts[d] == cuts[d + 1]:
-                yield a + d, np.nan, np.zeros(0, int), np.zeros(0)
-                continue
-            q = w[part] / np.sqrt(np.square(w[part]).sum())
-            near, cos = self.index.nearest(t[part], q, self.plan.k)
-            weight = 1 / (1.05 - np.minimum(cos, 1.0))
-            yield a + d, float((weight * self.toxic[near]).sum() / weight.sum()) if len(near) else np.nan, near, cos
-
-    def probability(self, vote: np.ndarray) -> np.ndarray:
-        ends, values = self.steps
-        at = np.minimum(np.searchsorted(ends, np.nan_to_num(vote)), max(len(ends) - 1, 0))
-        return np.where(np.isnan(vote), self.alone, values[at] if len(ends) else 0.0)
-
-
-def _document_frequencies(docs: DataFrame, vocabulary: np.ndarray) -> tuple[np.ndarray, int]:
-    """Over all documents: how many hold each word of the vocabulary, and how many there are."""
-    shared = docs.sparkSession.sparkContext.broadcast(vocabulary)
+    _index: BlockMaxIndex | None = None
+
+    @property
+    def index(self) -> BlockMaxIndex | None:
+        if self._index is None and len(self.ids):
+            sizes, term, weight = self.postings
+            doc = np.repeat(np.arange(len(sizes)), sizes)
+            self._index = BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
+        return self._index
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"_index": None}
+
+    def vectors(self, owner: np.ndarray, h: np.ndarray, count: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Unit vectors of documents, over all their words: what remains over the words of the examples."""
+        at, hit = _looked_up(self.words, h)
+        weight = 1 + np.log(np.maximum(count, 1))
+        weight[hit] *= self.factor[at[hit]]
+        weight[~hit] *= self.unseen
+        norm = np.sqrt(np.bincount(owner, np.square(weight), n))
+        return owner[hit], at[hit], weight[hit] / np.maximum(norm[owner[hit]], 1e-12)
+
+    def neighbours(self, owner: np.ndarray, h: np.ndarray, count: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(document, example, cosine) of the nearest examples, best first."""
+        if self.index is None:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        return self.index.nearest(*self.vectors(owner, h, count, n), n, self.plan.k)
+
+    def votes(self, q: np.ndarray, near: np.ndarray, cosine: np.ndarray, n: int) -> np.ndarray:
+        """Share of toxic votes by distance; nan without neighbours."""
+        weight = 1 / (1.05 - np.minimum(cosine, 1.0))
+        total = np.bincount(q, weight, n)
+        return np.where(total > 0, np.bincount(q, weight * self.toxic[near], n) / np.maximum(total, 1e-12), np.nan)
+
+    def scores(self, q: np.ndarray, near: np.ndarray, cosine: np.ndarray, n: int) -> np.ndarray:
+        """Calibrated probabilities."""
+        vote = self.votes(q, near, cosine, n)
+        likely = np.where(np.isnan(vote), self.alone, np.interp(np.nan_to_num(vote), *self.steps))
+        copy = cosine >= self.plan.copy
+        weight = 1 / (1.05 - np.minimum(cosine[copy], 1.0))
+        copied = (np.bincount(q[copy], weight * self.toxic[near[copy]], n) + self.share) / (np.bincount(q[copy], weight, n) + 1)
+        return np.where(np.bincount(q[copy], minlength=n) > 0, np.maximum(likely, copied), likely)
+
+
+def _document_frequencies(docs: DataFrame, words: np.ndarray) -> tuple[np.ndarray, int]:
+    """Over all documents: how many hold each of the words, and how many documents there are."""
+    shared = docs.sparkSession.sparkContext.broadcast(words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = shared.value
-        total, n = np.zeros(len(words) + 1, np.int64), 0
+        known = shared.value
+        total = np.zeros(len(known) + 1, np.int64)
         for batch in batches:
-            for _, owner, h, _, docs_here in _terms(batch.column("text")):
-                _, t, _ = _in_vocabulary(words, owner, h)
-                total[:-1] += np.bincount(t, minlength=len(words))
-                n += docs_here
-        total[-1] = n
+            for _, n, _, h, _ in _terms(batch.column("text")):
+                at, hit = _looked_up(known, h)
+                total[:-1] += np.bincount(at[hit], minlength=len(known))
+                total[-1] += n
         some = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["term", "n"])
 
     rows = docs.select("text").mapInArrow(run, "term bigint, n bigint").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
-    out = np.zeros(len(vocabulary) + 1, np.int64)
+    out = np.zeros(len(words) + 1, np.int64)
     out[rows.column("term").to_numpy()] = rows.column("n").to_numpy()
     return out[:-1], int(out[-1])
 
 
+def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Labelled texts as distinct words with counts."""
+    for batch in batches:
+        for a, n, owner, h, count in _terms(batch.column("text")):
+            cuts = np.searchsorted(owner, np.arange(n + 1))
+            words = [h[i:j].tobytes() for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+            counts = [count[i:j].astype("<u4").tobytes() for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(a, n) for c in ("doc_id", "y", "role")), pa.array(words, pa.binary()), pa.array(counts, pa.binary())], names=["doc_id", "y", "role", "words", "counts"])
+
+
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan = NeighbourPlan()) -> NeighbourModel:
     """Index and calibration from a bounded sample of labelled documents that ``usable`` admits (chosen by hash of their id)."""
     known = labels.where(F.col("toxic").isNotNull() & usable).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("y")).withColumn("h", F.xxhash64("doc_id"))
@@ -300,18 +287,17 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
     role = F.when(F.pmod(F.col("h"), F.lit(3)) == 0, "calibration").when(F.col("y") == 1, "toxic").otherwise("clean")
     known = known.withColumn("role", role)
     parts = [known.where(F.col("role") == r).orderBy("h", "doc_id").limit(n) for r, n in (("calibration", plan.calibration), ("toxic", plan.toxic), ("clean", plan.clean))]
-    chosen = written(parts[0].unionByName(parts[1]).unionByName(parts[2]).select("doc_id", "y", "role"), shared_folder(docs.sparkSession), "labelled")
-    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text", F.lit(0).alias("all"))
-    # the bounded sample is worked on by one task each time, so that the driver holds the finished model only
-    rows = written(texts, shared_folder(docs.sparkSession), "sample").repartition(1)
-    words = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_all_words(t).tobytes()), "m binary")) or b"", _U)
-    vocabulary = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_vocabulary(t, plan).tobytes()), "m binary")) or b"", _U)
+    folder = shared_folder(docs.sparkSession)
+    chosen = written(parts[0].unionByName(parts[1]).unionByName(parts[2]).select("doc_id", "y", "role"), folder, "labelled")
+    texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text")
+    bags = texts.mapInArrow(_bags, texts.select("doc_id", "y", "role").schema.simpleString()[7:-1].replace(":", " ") + ", words binary, counts binary")
+    # one task puts the bags of the bounded sample together, so that the driver holds the finished model only
+    rows = written(bags, folder, "bags").withColumn("all", F.lit(0)).repartition(1)
+    words = np.frombuffer(_one(rows.groupBy("all").applyInArrow(lambda t: _boxed(_example_words(t).tobytes()), "m binary")) or b"", _U)
     total, n_docs = _document_frequencies(docs, words)
-    words_idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
-    idf = words_idf[np.searchsorted(words, vocabulary)] if len(vocabulary) else np.zeros(0)
-    rare = float(np.log((1 + n_docs) / 2))
-    found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, vocabulary, idf, words, words_idf, rare))), "m binary"))
-    return pickle.loads(found) if found else NeighbourModel(plan, vocabulary, idf, np.zeros(0, int), np.zeros(0), None, (np.zeros(0), np.zeros(0)), 0.0)
+    idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
+    found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, words, idf, float(np.log((1 + n_docs) / 2))))), "m binary"))
+    return pickle.loads(found) if found else NeighbourModel(plan, words, idf)
 
 
 def _boxed(data: bytes) -> pa.Table:
@@ -325,63 +311,48 @@ def _one(frame: DataFrame) -> bytes | None:
 
 def _parts(table: pa.Table) -> tuple[pa.Table, pa.Table]:
     """(examples, calibration rows), examples with toxic ones first."""
-    table = table.sort_by([("y", "descending"), ("doc_id", "ascending"), ("text", "ascending")])
+    table = table.sort_by([("y", "descending"), ("doc_id", "ascending"), ("words", "ascending"), ("counts", "ascending")])
     calibrates = np.array([r == "calibration" for r in table.column("role").to_pylist()], bool)
     return table.filter(pa.array(~calibrates)), table.filter(pa.array(calibrates))
 
 
-def _all_words(table: pa.Table) -> np.ndarray:
+def _unpacked(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Document, word and count of bags."""
+    words, counts = ([np.frombuffer(x.as_py(), kind) for x in table.column(name)] for name, kind in (("words", _U), ("counts", "<u4")))
+    owner = np.repeat(np.arange(len(words)), [len(w) for w in words])
+    return owner, np.concatenate([*words, np.zeros(0, _U)]), np.concatenate([*counts, np.zeros(0, "<u4")])
+
+
+def _example_words(table: pa.Table) -> np.ndarray:
     """Sorted hashes of all words of the examples."""
-    found = [np.unique(h) for _, _, h, _, _ in _terms(_parts(table)[0].column("text").combine_chunks())]
-    return np.unique(np.concatenate(found)) if found else np.zeros(0, _U)
-
-
-def _weighted(table: pa.Table, vocabulary: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Document, word and weight of the texts' unit vectors over a vocabulary."""
-    found = [(o + a, t, c) for a, owner, h, _, _ in _terms(table.column("text").combine_chunks()) for o, t, c in [_in_vocabulary(vocabulary, owner, h)]]
-    doc, term, count = (np.concatenate([f[i] for f in found]) for i in range(3))
-    weight = (1 + np.log(np.maximum(count, 1))) * idf[term] if len(term) else np.zeros(0)
-    norm = np.sqrt(np.bincount(doc, np.square(weight), len(table))) if len(doc) else np.ones(len(table))
-    return doc, term, weight / np.maximum(norm[doc], 1e-12)
-
-
-def _vocabulary(table: pa.Table, plan: NeighbourPlan) -> np.ndarray:
-    """Sorted hashes of the words that tell toxic examples from others."""
-    examples, _ = _parts(table)
-    toxic = examples.column("y").to_numpy().astype(np.float64)
-    if not len(toxic):
-        return np.zeros(0, _U)
-    found = [(o + a, t) for a, owner, h, _, _ in _terms(examples.column("text").combine_chunks()) for o, t, _ in [_counted(owner, h)]]
-    doc, word = (np.concatenate([f[i] for f in found]) for i in range(2))
-    vocabulary, term = np.unique(word, return_inverse=True)
-    df, with_toxic = np.bincount(term, minlength=len(vocabulary)), np.bincount(term, toxic[doc], len(vocabulary))
-    n, n1 = len(toxic), toxic.sum()
-    expected = df * n1 / n
-    spread = np.maximum(expected * (1 - n1 / n) * (1 - df / n), 1e-9)
-    return vocabulary[(df >= plan.support) & (np.square(with_toxic - expected) / spread >= plan.chi2) & (with_toxic > expected)]
-
-
-def _built(
-    table: pa.Table, plan: NeighbourPlan, vocabulary: np.ndarray, idf: np.ndarray, words: np.ndarray, words_idf: np.ndarray, rare_idf: float
-) -> NeighbourModel:
+    return np.unique(_unpacked(_parts(table)[0])[1])
+
+
+def relevance(y: np.ndarray, doc: np.ndarray, term: np.ndarray, n_terms: int) -> np.ndarray:
+    """log2(2 + a / max(1, c)) for words that a toxic and c clean examples hold."""
+    a, c = np.bincount(term, y[doc], n_terms), np.bincount(term, 1 - y[doc], n_terms)
+    return np.log2(2 + a / np.maximum(c, 1))
+
+
+def _built(table: pa.Table, plan: NeighbourPlan, words: np.ndarray, idf: np.ndarray, unseen: float) -> NeighbourModel:
     """Index of the examples, and the calibration of votes."""
     examples, checks = _parts(table)
-    share = float(table.column("y").to_numpy().mean())
-    toxic, n = examples.column("y").to_numpy().astype(np.float64), len(examples)
-    model = NeighbourModel(plan, vocabulary, idf, examples.column("doc_id").to_numpy(), toxic, None, (np.zeros(0), np.zeros(0)), share)
-    if not n:
+    model = NeighbourModel(plan, words, idf, unseen, share=float(table.column("y").to_numpy().mean()))
+    if not len(examples):
         return model
-    model.index = BlockMaxIndex(n, *_weighted(examples, vocabulary, idf), len(vocabulary), plan.block)
-    model.share, model.words, model.words_idf, model.rare_idf = share, words, words_idf, rare_idf
-    model.packed = CopyIndex(n, *_weighted(examples, words, words_idf), len(words), plan.copy).packed()
+    toxic, n = examples.column("y").to_numpy().astype(np.float64), len(examples)
+    owner, h, count = _unpacked(examples)
+    if plan.relevance:
+        model.factor = idf * relevance(toxic, owner, np.searchsorted(words, h), len(words))
+    doc, term, weight = model.vectors(owner, h, count, n)
+    model.ids, model.toxic = examples.column("doc_id").to_numpy(), toxic
+    model.postings = np.bincount(doc, minlength=n), term.astype(np.int32), weight.astype(np.float32)
     truth = checks.column("y").to_numpy().astype(np.float64)
-    votes = np.full(len(truth), np.nan)
-    if len(truth):
-        for place, vote, _, _ in model.votes(checks.column("text").combine_chunks()):
-            votes[place] = vote
+    votes = model.votes(*model.neighbours(*_unpacked(checks), len(truth)), len(truth)) if len(truth) else np.zeros(0)
     heard = ~np.isnan(votes)
-    model.steps = isotonic(votes[heard], truth[heard]) if heard.any() else (np.array([0.0, 1.0]), np.array([0.05, 0.95]))
-    model.alone = float((truth[~heard].sum() + share) / ((~heard).sum() + 1))
+    if heard.any():
+        model.steps = isotonic(votes[heard], truth[heard])
+    model.alone = float((truth[~heard].sum() + model.share) / ((~heard).sum() + 1))
     return model
 
 
@@ -392,27 +363,25 @@ def score(docs: DataFrame, model: NeighbourModel) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
         for batch in batches:
-            votes, copied, near, cosines = np.zeros(batch.num_rows), np.zeros(batch.num_rows), [], []
-            for (place, vote, docs_near, cos), (copy, docs_copied, cos_copied) in m.votes_and_copies(batch.column("text")):
-                votes[place], copied[place] = vote, copy
-                if not len(docs_near):  # then near copies are the evidence
-                    top = np.argsort(-cos_copied, kind="stable")[: m.plan.k]
-                    docs_near, cos = docs_copied[top], cos_copied[top]
-                near.append(m.ids[docs_near].tolist() if len(docs_near) else [])
-                cosines.append(cos.tolist())
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(np.maximum(m.probability(votes), copied)), pa.array(near, pa.list_(pa.int64())), pa.array(cosines, pa.list_(pa.float64()))],
-                names=["doc_id", "score", "neighbours", "cosines"],
-            )
+            for a, n, owner, h, count in _terms(batch.column("text")):
+                q, near, cosine = m.neighbours(owner, h, count, n)
+                heads = pa.array(np.searchsorted(q, np.arange(n + 1)), pa.int32())
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        batch.column("doc_id").slice(a, n), pa.array(m.scores(q, near, cosine, n)),
+                        pa.ListArray.from_arrays(heads, pa.array(m.ids[near], pa.int64())), pa.ListArray.from_arrays(heads, pa.array(cosine)),
+                    ],
+                    names=["doc_id", "score", "neighbours", "cosines"],
+                )
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, neighbours array<bigint>, cosines array<double>")
 
 
 def drop_toxic(docs: DataFrame, model: NeighbourModel, threshold: float = 0.5) -> DataFrame:
-    """The documents whose score is below the threshold; all columns stay.  Rows that repeat an id go together."""
-    folder = shared_folder(docs.sparkSession)
-    gone = written(score(docs, model).where(F.col("score") >= threshold).select("doc_id").distinct(), folder, "toxic")
-    return docs.join(bounded(gone), "doc_id", "left_anti").select(*docs.columns)
+    """The documents whose score is below the threshold, each row judged by its own text; all columns stay."""
+    kind = docs.select(F.xxhash64("text").alias("doc_id"), "text")
+    gone = score(kind, model).where(F.col("score") >= threshold).select(F.col("doc_id").alias("gone")).distinct()
+    return without(docs, gone, F.xxhash64("text"))
 
 
 def op4_query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -188,36 +188,66 @@ def test_classifiers_on_held_out_rows(spark, name, label, least):
     assert auc(held.score.to_numpy(), held[label].to_numpy()) >= least
 
 
-def test_nearest_equals_brute_force():
+@pytest.mark.parametrize(("block", "columns"), [(16, 10), (7, 0), (64, 512)])
+def test_nearest_equals_brute_force(block, columns):
     rng = np.random.default_rng(0)
     dense = np.where(rng.random((300, 40)) < 0.2, rng.random((300, 40)), 0)
+    dense[200:] = dense[:100]  # ties
     dense /= np.maximum(np.linalg.norm(dense, axis=1, keepdims=True), 1e-9)
     doc, term = np.nonzero(dense)
-    index = nearest_toxic.BlockMaxIndex(300, doc, term, dense[doc, term], 40, 16)
-    for q in dense[:60]:
-        terms = np.flatnonzero(q)
-        got, cos = index.nearest(terms, q[terms], 10)
-        want = np.lexsort((np.arange(300), -(dense @ q)))[:10]
-        want = want[(dense @ q)[want] > 0]
-        assert np.allclose(cos, (dense @ q)[want])
-        assert len(got) == len(want)
-
-
-def test_copies_over_all_words_equal_brute_force():
-    rng = np.random.default_rng(3)
-    dense = np.where(rng.random((200, 60)) < 0.2, rng.random((200, 60)), 0)
-    dense[100:] = dense[:100] + np.where(rng.random((100, 60)) < 0.05, rng.random((100, 60)), 0)
-    dense /= np.maximum(np.linalg.norm(dense, axis=1, keepdims=True), 1e-9)
-    doc, term = np.nonzero(dense)
-    index = nearest_toxic.CopyIndex(200, doc, term, dense[doc, term], 60, 0.8)
-    several = 0
-    for q in dense * rng.uniform(0.7, 1.0, (200, 1)):
-        terms = np.flatnonzero(q)
-        got, cos = index.near(terms, q[terms])
-        want = np.flatnonzero(dense @ q >= 0.8)
-        assert got.tolist() == want.tolist() and np.allclose(cos, (dense @ q)[want])
-        several += len(want) > 1
-    assert several > 20
+    index = nearest_toxic.BlockMaxIndex(300, doc, term, dense[doc, term], 40, block, columns)
+    asked = dense[:60] * rng.uniform(0.5, 1.0, (60, 1))
+    asked[7] = 0
+    owner, terms = np.nonzero(asked)
+    q, near, cos = index.nearest(owner, terms, asked[owner, terms], 60, 10)
+    every = asked @ dense.T
+    for i in range(60):
+        want = np.sort(every[i][every[i] > 0])[::-1][:10]
+        assert np.allclose(cos[q == i], want) and np.allclose(every[i][near[q == i]], cos[q == i])
+        assert len(set(near[q == i])) == len(want)
+    assert index.scored <= index.pairs
+
+
+@pytest.mark.parametrize("relevance", [True, False])
+def test_neighbours_and_scores_equal_brute_force_on_whole_texts(spark, relevance):
+    folder = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
+    model = nearest_toxic.fit(docs, labels, F.lit(True), nearest_toxic.NeighbourPlan(relevance=relevance))
+    rows = {r["doc_id"]: r for r in nearest_toxic.score(docs, model).collect()}
+    fold = bytes.maketrans(bytes(range(65, 91)), bytes(range(97, 123)))
+    parts = bytes(b for b in range(128) if not chr(b).isalnum() and (b > 32 or b in b" \t\n\x0b\x0c\r") and b != 127)
+    bags = {r["doc_id"]: Counter((r["text"] or "").encode().translate(fold).translate(bytes.maketrans(parts, b" " * len(parts))).split(b" ")) for r in docs.collect()}
+    for bag in bags.values():
+        bag.pop(b"", None)
+    df = Counter(w for bag in bags.values() for w in bag)
+    y = dict(zip(model.ids.tolist(), model.toxic.tolist(), strict=True))
+    held = [Counter(w for i, t in y.items() if t == side for w in bags[i]) for side in (0, 1)]
+    known = set(held[0]) | set(held[1])
+
+    def factor(w):
+        idf = math.log((1 + len(bags)) / (1 + (df[w] if w in known else 1)))
+        return idf * (math.log2(2 + held[1][w] / max(1, held[0][w])) if relevance and w in known else 1)
+
+    def unit(bag):
+        v = {w: (1 + math.log(n)) * factor(w) for w, n in bag.items()}
+        norm = math.sqrt(sum(x * x for x in v.values()))
+        return {w: x / norm for w, x in v.items()} if norm else {}
+
+    vectors = {i: unit(bag) for i, bag in bags.items()}
+    for i, v in vectors.items():
+        cosine = {e: sum(x * vectors[e].get(w, 0) for w, x in v.items()) for e in y}
+        want = sorted((c for c in cosine.values() if c > 0), reverse=True)[: model.plan.k]
+        near = rows[i]["neighbours"]
+        assert np.allclose(rows[i]["cosines"], want, atol=1e-6)
+        assert np.allclose([cosine[e] for e in near], want, atol=1e-6)
+        weight = np.array([1 / (1.05 - min(cosine[e], 1)) for e in near])
+        toxic = np.array([y[e] for e in near])
+        likely = np.interp((weight * toxic).sum() / weight.sum(), *model.steps) if near else model.alone
+        copies = np.array([cosine[e] >= model.plan.copy for e in near], bool)
+        if copies.any():
+            likely = max(likely, ((weight * toxic)[copies].sum() + model.share) / (weight[copies].sum() + 1))
+        assert abs(rows[i]["score"] - likely) < 1e-4
+    assert sum(not r["neighbours"] for r in rows.values()) == sum(not any(w in known for w in bag) for bag in bags.values())
 
 
 def test_copies_of_toxic_examples_score_high_whatever_their_words(spark):
@@ -229,12 +259,14 @@ def test_copies_of_toxic_examples_score_high_whatever_their_words(spark):
     docs = docs_of(spark, texts)
     model = nearest_toxic.fit(docs, labels, F.lit(True))
     toxic = [int(i) for i, y in zip(model.ids, model.toxic, strict=True) if y]
-    assert len(toxic) > 5 and not len(model.vocabulary)
+    assert len(toxic) > 5
     copies = [texts[i].rsplit(" ", 2)[0] + f" new{i} word{i}" for i in toxic] + [text(plain) for _ in range(20)]
     score = {r["doc_id"]: r["score"] for r in nearest_toxic.score(docs_of(spark, copies), model).collect()}
     assert min(score[i] for i in range(len(toxic))) >= 0.5
     assert max(score[i] for i in range(len(toxic), len(copies))) < 0.5
     assert nearest_toxic.drop_toxic(docs_of(spark, copies), model).count() == 20
+    nameless = docs_of(spark, copies).withColumn("doc_id", F.lit(None).cast("bigint"))
+    assert nearest_toxic.drop_toxic(nameless, model).count() == 20
 
 
 def test_classifiers_take_odd_texts(spark, odd):
