@@ -269,6 +269,28 @@ def test_copies_of_toxic_examples_score_high_whatever_their_words(spark):
     assert nearest_toxic.drop_toxic(nameless, model).count() == 20
 
 
+@pytest.mark.parametrize(("name", "label", "least", "right"), [("op4_nearest_toxic", "toxic", 0.93, (0.98, 0.8)), ("op5_subword_quality", "quality", 0.97, (0.85, 0.98))])
+def test_classifiers_on_many_held_out_rows(spark, name, label, least, right):
+    folder = "/root/testdata/sf0.1"
+    joined = registry.QUERIES[name](spark, folder).toPandas().merge(spark.read.parquet(f"{folder}/labels.parquet").toPandas(), on="doc_id")
+    held = joined[joined.held_out]
+    assert len(held) > 800 and auc(held.score.to_numpy(), held[label].to_numpy()) >= least
+    for value, share in enumerate(right):
+        assert (held.predicted[held[label] == value] == value).mean() >= share
+
+
+def test_scores_equal_bags(spark, odd):
+    plan = subword_quality.SubwordPlan(rows=1 << 12)
+    rng = np.random.default_rng(0)
+    model = rng.normal(0, 3, plan.rows).astype(np.float32), 0.2
+    texts = [r["text"] or "" for r in odd.select("text").collect()]
+    want = [1 / (1 + math.exp(-(float(model[0][rows] @ shares) + 0.2))) for rows, shares in subword_quality.bags_of(pa.array(texts), plan)]
+    got = [r["score"] for r in subword_quality.score(odd, model, plan).collect()]
+    assert np.allclose(sorted(got), sorted(want), atol=1e-6)
+    (rows, shares), = subword_quality.bags_of(pa.array(["ab ab"]), plan)
+    assert abs(shares.sum() - 1) < 1e-6 and len(rows) == 2 + len({x for w in (" ab ",) for n in (3, 4, 5) for x in (w[i : i + n] for i in range(len(w) - n + 1))})
+
+
 def test_classifiers_take_odd_texts(spark, odd):
     labels = spark.createDataFrame([(3, 1, 0), (5, 0, 1), (7, None, None), (6, 1, 0), (3, 1, 0)], "doc_id bigint, quality int, toxic int")
     for rows in (subword_quality.score(odd, subword_quality.fit(odd, labels, F.lit(True))), nearest_toxic.score(odd, nearest_toxic.fit(odd, labels, F.lit(True)))):
