@@ -551,6 +551,10 @@ def test_statistics_equal_brute_force(spark, odd):
         assert r["n_dup_lines"] == len(lines) - len(set(lines))
         assert r["n_symbols"] == sum(c in "#*$%&|<>" for c in text)
         assert r["word_chars"] == sum(len(w.decode()) for w in words)
+        assert r["n_lines"] == len(lines)
+        assert r["n_upper"] == sum("A" <= c <= "Z" for c in text) and r["n_digits"] == sum("0" <= c <= "9" for c in text) and r["n_marks"] == sum(c in "!?" for c in text)
+        assert r["n_distinct"] == len(set(words)) and r["n_adjacent"] == sum(a == b for a, b in zip(words, words[1:], strict=False))
+        assert r["n_common"] == sum(w.decode().lower() in quality_rules.FUNCTION_WORDS for w in words)
 
 
 def test_votes_are_weighed_by_what_they_agree_on(spark):
@@ -561,10 +565,68 @@ def test_votes_are_weighed_by_what_they_agree_on(spark):
         votes = tuple(None if rng.random() < 0.2 else int((rng.random() < p) == good) for p in (0.9, 0.85, 0.8, 0.55))
         rows[votes] += 1
     frame = spark.createDataFrame([(*k, n) for k, n in rows.items()], "a int, b int, c int, d int, n bigint")
-    model = quality_rules.fit_votes(frame, ["a", "b", "c", "d"])
-    assert abs(model["prior"] - 0.7) < 0.05
-    for rule, p in zip("abcd", (0.9, 0.85, 0.8, 0.55), strict=True):
-        assert abs(model["rates"][rule][0] - p) < 0.06
+    model = quality_rules.fit_votes(frame, dict.fromkeys("abcd"), quality_rules.VotePrior(good=0.6, on_good=0.7, on_any=0.3, strength=1e-4), rounds=200)
+    assert model["good"] == 0 and abs(model["shares"][0] - 0.7) < 0.05
+    for i, p in enumerate((0.9, 0.85, 0.8, 0.55)):
+        assert abs(model["rates"][0][i] - p) < 0.06
+    # classes that begin the wrong way round end in the right order
+    turned = quality_rules.fit_votes(frame, dict.fromkeys("abcd"), quality_rules.VotePrior(good=0.4, on_good=0.3, on_any=0.7, strength=1e-4), rounds=200)
+    assert turned["good"] == 1 and abs(turned["shares"][1] - 0.7) < 0.05
+
+
+def rule_votes(r):
+    """The default rules once more, on a row of statistics."""
+    n, chars, lines = (max(1, r[c]) for c in ("n_words", "word_chars", "n_lines"))
+    vote = lambda bad, good: 0 if bad else 1 if good else None
+    share = lambda x, of, bad, good: vote(x > bad * of, x <= good * of)
+    return {
+        "symbols": share(r["n_symbols"], n, 0.05, 0.01), "marks": share(r["n_marks"], n, 0.05, 0.01), "capitals": share(r["n_upper"], chars, 0.2, 0.1),
+        "adjacent": share(r["n_adjacent"], n, 0.05, 0.01), "variety": vote(r["n_distinct"] < 0.5 * min(n, 300), r["n_distinct"] >= 0.6 * min(n, 300)),
+        "repetition": share(r["n_repeat_words"], n, 0.1, 0.02), "duplicate_lines": share(r["n_dup_lines"], lines, 0.3, 0.05),
+        "length": vote(r["n_words"] < 20, r["n_words"] >= 50), "function_words": vote(r["n_common"] < 0.08 * n, r["n_common"] >= 0.15 * n),
+        "word_length": vote(chars > 11 * n or chars < 3 * n, 3.5 * n <= chars <= 8 * n), "digits": share(r["n_digits"], chars, 0.1, 0.02),
+    }
+
+
+def test_verdicts_equal_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = [r.asDict() for r in quality_rules.judge(docs).collect()]
+    names = list(quality_rules.default_rules())
+    for r in rows:
+        assert {n: r[f"vote_{n}"] for n in names} == rule_votes(r)
+        assert r["base_failed"] == (r["n_words"] < 20 or 100 * r["n_repeat_words"] > 30 * r["n_words"])
+    votes = np.array([[-1 if r[f"vote_{n}"] is None else r[f"vote_{n}"] for n in names] for r in rows])
+    prior = quality_rules.VotePrior()
+    defects = [r.defect for r in quality_rules.default_rules().values()]
+    kinds = sorted({d for d in defects if d})
+    t0 = np.array([[0.97] * len(names)] + [[0.4 if d == k else 0.9 if d else 0.7 for d in defects] for k in kinds])
+    p0 = np.array([0.85] + [0.15 / len(kinds)] * len(kinds))
+    p, t, held = p0, t0, prior.strength * len(rows)
+    for _ in range(60):
+        likely = np.stack([a * np.where(votes == 1, b, np.where(votes == 0, 1 - b, 1)).prod(1) for a, b in zip(p, t, strict=True)], 1)
+        q = likely / likely.sum(1, keepdims=True)
+        up, cast = q.T @ (votes == 1), q.T @ (votes >= 0)
+        p, before = (q.sum(0) + held * p0) / (len(rows) + held), t
+        t = (up + held * p0[:, None] * t0) / (cast + held * p0[:, None])
+        if np.abs(t - before).max() < 1e-6:
+            break
+    likely = np.stack([a * np.where(votes == 1, b, np.where(votes == 0, 1 - b, 1)).prod(1) for a, b in zip(p, t, strict=True)], 1)
+    want = (likely / likely.sum(1, keepdims=True))[:, 0]
+    assert np.allclose([r["posterior"] for r in rows], want, atol=1e-5)
+    assert [r["kept"] for r in rows] == [not r["base_failed"] and bool(w >= 0.5) for r, w in zip(rows, want, strict=True)]
+
+
+def test_verdicts_agree_with_labels(spark):
+    folder = "/root/testdata/sf0.1"
+    rows = registry.QUERIES["op10_quality_rules"](spark, folder).toPandas().merge(spark.read.parquet(f"{folder}/labels.parquet").toPandas(), on="doc_id")
+    rows = rows[~rows.base_failed]
+    assert auc(rows.posterior.to_numpy(), rows.quality.to_numpy()) > 0.98
+    assert rows.kept[rows.quality == 1].mean() > 0.99 and rows.kept[rows.quality == 0].mean() < 0.05
+
+
+def test_rules_take_odd_texts(spark, odd):
+    rows = quality_rules.judge(odd).toPandas()
+    assert len(rows) == odd.count() and rows.posterior.between(0, 1).all() and not rows.kept[rows.n_words < 20].any()
 
 
 # ---- whole queries -----------------------------------------------------------------------------------------------------------
