@@ -1,15 +1,21 @@
 """Cross-site boilerplate lines found by distinct-site spread, and their removal.
 
-A line is known by a 64-bit hash of its trimmed text.  For every line seen on two sites or more, HyperLogLog sketches of its sites
-and of its surroundings (the lines before and after) are built by aggregation and merged.  Where an estimate lies near its threshold,
-exact distinct counts decide.  A line is boilerplate if it has enough words, spreads over enough sites (shorter lines need more) and
-most of its occurrences stand in different surroundings; the latter tells boilerplate from copies of a whole document.
+A line is known by a 64-bit hash of its trimmed text.  For every line seen on two sites or more, a HyperLogLog sketch of its sites is
+built by aggregation and merged.  Where an estimate lies near its threshold, an exact distinct count decides.  A line is *spread* if it has enough words and is
+on enough sites (shorter lines need more); the number of its sites alone decides that.
 
-SQL expressions only.  Only hashes are shuffled; texts stay where they were read unless the list of touched documents is too
-long to be broadcast.
+Copies.  Lines of a document copied to many sites are spread as well, yet no boilerplate.  What tells them apart is the document: of its judged lines (those with
+words enough), let ``own`` be how often the line a ``share``-th from the rarest on stands in the corpus, 0 for lines that are not spread; where there are fewer
+lines than that, how many documents have the same judged lines.  A spread line goes if it stands ``times`` that often or more.  So where more than a
+share of the lines are the document's own, all spread lines go, and of a copy go those that are much commoner than the copy itself; removing copies is the
+task of another operator.
+
+SQL expressions only.  Only hashes are shuffled, merged by task before; texts stay where they were read unless the lines to remove are too
+many to be broadcast, which is measured.
 
 Defined cases: null text stays null; a null source is a site of its own; rows that repeat are treated alike; lines without a word are
-kept as they are; a document whose lines all go has an empty text; an empty table stays empty; all other columns pass through.
+kept as they are; a document whose lines all go has an empty text; an empty table stays empty; all other columns pass through, but for n_lines and n_removed,
+which replace columns of these names.
 """
 
 from __future__ import annotations
@@ -19,17 +25,22 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from terse.llm.common import BLANK_CHARS, BLANK_CLASS, bounded, shared_folder, written
+from terse.llm.common import BLANK_CHARS, BLANK_CLASS, bounded, shared_folder, small, written
 
 
 @dataclass(frozen=True)
 class SpreadRule:
-    """A line of w words needs greatest(min_sites, ceil(spread / w)) sites and min_words words; more than half of its places must differ."""
+    """A line of w words needs greatest(min_sites, ceil(spread / w)) sites and min_words words; share, times: what tells boilerplate from copies; sketch:
+    logarithm of its registers; salts: parts that the occurrences of a line are dealt into where they are joined by shuffle; entries: of lines to remove that may be broadcast."""
 
     min_words: int = 3
     min_sites: int = 4
     spread: int = 24
+    share: int = 5
+    times: int = 2
     sketch: int = 12
+    salts: int = 16
+    entries: int = 4_000_000
 
 
 def _lines(text: Column) -> Column:
@@ -45,71 +56,74 @@ def row_key(doc_id: Column, text: Column) -> Column:
 
 
 def occurrences(docs: DataFrame, rule: SpreadRule) -> DataFrame:
-    """(key, line, need, site, place): a row for each line with enough words, once per document and surroundings."""
+    """(key, line, need, site, place, lines, body): a row for each line with enough words; how many there are in the document and their hash."""
     hashed = docs.select(
         row_key(F.col("doc_id"), F.col("text")).alias("key"),
         F.xxhash64(F.col("source").isNull(), F.col("source")).alias("site"),
         F.transform(_lines(F.col("text")), lambda x: F.struct(_line_hash(x).alias("h"), F.size(F.filter(F.split(x, BLANK_CLASS), lambda w: w != "")).alias("w"))).alias("l"),
     )
-    filled = hashed.withColumn("l", F.filter("l", lambda x: x["w"] > 0))
-    return (
-        filled.select("key", "site", F.col("l"), F.posexplode(F.col("l")).alias("i", "x"))
-        .where(F.col("x.w") >= rule.min_words)
-        .select(
-            "key",
-            F.col("x.h").alias("line"),
-            F.greatest(F.lit(rule.min_sites), F.ceil(F.lit(rule.spread) / F.col("x.w"))).cast("int").alias("need"),
-            "site",
-            F.xxhash64(F.get(F.col("l"), F.col("i") - 1)["h"], F.get(F.col("l"), F.col("i") + 1)["h"]).alias("place"),
-        )
+    judged = hashed.withColumn("l", F.filter("l", lambda x: x["w"] >= rule.min_words))
+    judged = judged.withColumn("body", F.xxhash64(F.transform("l", lambda x: x["h"])))
+    return judged.select("key", "site", F.size("l").alias("lines"), "body", F.posexplode("l").alias("place", "x")).select(
+        "key", F.col("x.h").alias("line"), F.greatest(F.lit(rule.min_sites), F.ceil(F.lit(rule.spread) / F.col("x.w"))).cast("int").alias("need"), "site", "place", "lines", "body"
     )
 
 
-def boilerplate(occ: DataFrame, rule: SpreadRule) -> DataFrame:
-    """Hashes (line) of the boilerplate lines among written occurrences."""
-    spread = occ.groupBy("line").agg(F.min("site").alias("s0"), F.max("site").alias("s1"), F.count("*").alias("n")).where(f"s0 <> s1 and n >= {rule.min_sites}")
-    wide = occ.join(spread.select("line", "n"), "line")
-    # one row for each place first: what a hot line adds to a sketch is merged before the shuffle
-    sketches = wide.groupBy("line").agg(
-        F.first("n").alias("n"), F.max("need").alias("need"),
-        F.hll_sketch_estimate(F.hll_sketch_agg("site", F.lit(rule.sketch))).alias("sites"),
-        F.hll_sketch_estimate(F.hll_sketch_agg("place", F.lit(rule.sketch))).alias("places"),
-    )
-    near_sites = F.abs(F.col("sites") - F.col("need")) <= F.greatest(F.lit(1.0), F.col("need") * 0.1)
-    near_places = F.abs(2 * F.col("places") - F.col("n")) <= F.greatest(F.lit(2.0), F.col("n") * 0.1)
-    out = (F.col("sites") < F.col("need")) & ~near_sites | (2 * F.col("places") <= F.col("n")) & ~near_places
-    judged = sketches.where(~out).withColumn("near", near_sites | near_places)
-    sure = judged.where("not near").select("line")
-    close = judged.where("near").select("line", "n", "need")
-    pairs = wide.drop("n", "need").join(close, "line")
-    # distinct values are counted in two steps, so that a hot line is counted by many tasks
-    exact = (
-        pairs.groupBy("line", "n", "need", "site").agg(F.lit(1).alias("x")).groupBy("line", "n", "need").agg(F.count("*").alias("sites"))
-        .join(pairs.groupBy("line", "place").agg(F.lit(1).alias("x")).groupBy("line").agg(F.count("*").alias("places")), "line")
-        .where("sites >= need and 2 * places > n")
-    )
-    return sure.unionByName(exact.select("line"))
+def spread_lines(occ: DataFrame, rule: SpreadRule, folder: str) -> DataFrame:
+    """(line, n): the spread lines among written occurrences, and how often each stands there."""
+    seen = occ.groupBy("line").agg(F.min("site").alias("s0"), F.max("site").alias("s1"), F.count("*").alias("n"), F.max("need").alias("need"))
+    seen = written(seen.where("s0 <> s1 and n >= need").select("line", "n", "need"), folder, "seen")
+    if small(seen):
+        wide = occ.select("line", "site").join(F.broadcast(seen), "line")
+    else:  # a hot line has no more rows than sites before it is joined
+        wide = occ.groupBy("line", "site").agg(F.lit(1).alias("x")).drop("x").join(seen, "line")
+    sketches = wide.groupBy("line").agg(F.first("n").alias("n"), F.first("need").alias("need"), F.hll_sketch_estimate(F.hll_sketch_agg("site", F.lit(rule.sketch))).alias("sites"))
+    near = F.abs(F.col("sites") - F.col("need")) <= F.greatest(F.lit(1.0), F.col("need") * 0.1)
+    judged = written(sketches.withColumn("near", near).where(F.col("near") | (F.col("sites") >= F.col("need"))), folder, "judged")
+    sure = judged.where("not near").select("line", "n")
+    close = judged.where("near").select("line")
+    # distinct sites are counted in two steps, so that a hot line is counted by many tasks
+    exact = wide.join(bounded(close), "line", "left_semi").groupBy("line", "n", "need", "site").agg(F.lit(1).alias("x")).groupBy("line", "n", "need").agg(F.count("*").alias("sites"))
+    return sure.unionByName(exact.where("sites >= need").select("line", "n"))
+
+
+def _joined(many: DataFrame, few: DataFrame, on: str, rule: SpreadRule, how: str = "inner") -> DataFrame:
+    """Rows of many (with key) joined with written rows of few; by shuffle, what is equal is dealt into salts."""
+    if small(few):
+        return many.join(F.broadcast(few), on, how)
+    salted = few.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(rule.salts - 1))))
+    return many.withColumn("salt", F.pmod("key", F.lit(rule.salts)).cast("int")).join(salted, [on, "salt"], how).drop("salt")
+
+
+def boilerplate(occ: DataFrame, spread: DataFrame, rule: SpreadRule, folder: str) -> DataFrame:
+    """(key, gone): by document the hashes of the lines to remove."""
+    copies = occ.where((F.col("place") == 0) & (F.col("lines") < rule.share)).groupBy("body").agg(F.count("*").alias("copies")).where("copies > 1")
+    met = _joined(occ.select("key", "line"), spread, "line", rule).groupBy("key").agg(F.sort_array(F.collect_list(F.struct("n", "line"))).alias("met"))
+    total = occ.groupBy("key").agg(F.count("*").alias("judged"), F.first("lines").alias("lines"), F.first("body").alias("body"))
+    both = _joined(written(total.join(met, "key"), folder, "met"), written(copies, folder, "copies"), "body", rule, "left")
+    place = F.floor(F.col("judged") / rule.share).cast("int") - (F.col("judged") - F.size("met")).cast("int")  # among the spread lines
+    own = F.when(F.col("lines") < rule.share, F.coalesce("copies", F.lit(1))).when(place >= 0, F.get("met", place)["n"]).otherwise(0)
+    gone = F.array_distinct(F.transform(F.filter("met", lambda x: x["n"] >= rule.times * F.col("own")), lambda x: x["line"]))
+    return both.withColumn("own", own).select("key", gone.alias("gone")).where(F.size("gone") > 0)
 
 
 def dedup_lines(docs: DataFrame, rule: SpreadRule = SpreadRule()) -> DataFrame:
     """The documents without boilerplate lines, with n_lines (lines with a word) and n_removed added."""
     folder = shared_folder(docs.sparkSession)
     occ = written(occurrences(docs, rule), folder, "occurrences")
-    bad = written(boilerplate(occ, rule).distinct(), folder, "boilerplate")
-    hit = occ.select("key", "line").join(bounded(bad), "line").groupBy("key").agg(F.collect_set("line").alias("_gone"))
-    hit = written(hit.withColumnRenamed("key", "_key"), folder, "touched")
-    joined = docs.join(bounded(hit), row_key(docs["doc_id"], docs["text"]) == F.col("_key"), "left")
-    gone = F.coalesce(F.col("_gone"), F.array().cast("array<bigint>"))
-    lines = _lines(F.col("text"))
-    kept = F.when(F.size(gone) == 0, F.col("text")).otherwise(F.array_join(F.filter(lines, lambda x: ~F.array_contains(gone, _line_hash(x))), "\n"))
-    n_kept = F.size(F.filter(_lines(F.col("_kept")), lambda x: F.trim(x, F.lit(BLANK_CHARS)) != "")).cast("long")
-    n_lines = F.size(F.filter(lines, lambda x: F.trim(x, F.lit(BLANK_CHARS)) != "")).cast("long")
+    spread = written(spread_lines(occ, rule, folder), folder, "spread")
+    hit = written(boilerplate(occ, spread, rule, folder).toDF("__key", "__gone"), folder, "touched")
+    entries = hit.agg(F.coalesce(F.sum(F.size("__gone") + 2), F.lit(0))).first()[0]
+    lines = _lines(F.col("__text"))
+    filled = lambda x: F.size(F.filter(x, lambda y: F.trim(y, F.lit(BLANK_CHARS)) != "")).cast("long")
+    keyed = docs.withColumnsRenamed({"text": "__text"}).withColumn("__row", row_key(F.col("doc_id"), F.col("__text")))
+    joined = keyed.join(F.broadcast(hit) if entries <= rule.entries else hit, F.col("__row") == F.col("__key"), "left")
+    kept = F.when(F.col("__gone").isNull(), F.col("__text")).otherwise(F.array_join(F.filter(lines, lambda x: ~F.array_contains("__gone", _line_hash(x))), "\n"))
     return (
-        joined.withColumn("_kept", kept)
-        .withColumn("n_lines", n_lines)
-        .withColumn("n_removed", F.col("n_lines") - n_kept)
-        .withColumn("text", F.col("_kept"))
-        .select(*[docs[c] if c != "text" else F.col("text") for c in docs.columns if c not in ("n_lines", "n_removed")], "n_lines", "n_removed")
+        joined.withColumn("text", kept)
+        .withColumn("n_lines", filled(lines))
+        .withColumn("n_removed", F.col("n_lines") - filled(_lines(F.col("text"))))
+        .select(*[c for c in docs.columns if c not in ("n_lines", "n_removed")], "n_lines", "n_removed")
     )
 
 
@@ -120,20 +134,28 @@ def op9_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def dedup_sql(table: str = "documents") -> str:
     """DuckDB SQL for the cleaned rows of a table with doc_id, text, lang, source, n_chars: exact counts in place of sketches."""
+    trimmed = "trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13))"
     return rf"""
-  SELECT d.doc_id, CASE WHEN d.text IS NULL THEN NULL ELSE array_to_string(list_filter(string_split(d.text, chr(10)), lambda x: NOT list_contains(b.gone, trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)))), chr(10)) END AS text,
+  SELECT d.doc_id, CASE WHEN g.gone IS NULL THEN d.text ELSE array_to_string(list_filter(string_split(d.text, chr(10)), lambda x: NOT list_contains(g.gone, {trimmed})), chr(10)) END AS text,
     d.lang, d.source, d.n_chars, d.text AS whole
-  FROM {table} d, (
-    WITH lines AS (
-      SELECT doc_id, source, unnest(l) AS line, unnest(range(1, len(l) + 1)) AS i FROM (
-        SELECT doc_id, coalesce('s' || source, 'n') AS source, list_filter(list_transform(string_split(coalesce(text, ''), chr(10)), lambda x: trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13))), lambda x: x <> '') AS l FROM {table})
-    ), places AS (
-      SELECT source, line, lag(line) OVER w AS prior, lead(line) OVER w AS later, len(regexp_split_to_array(line, '[ \t\n\x0B\f\r]+')) AS words FROM lines WINDOW w AS (PARTITION BY doc_id ORDER BY i)
+  FROM {table} d LEFT JOIN (
+    WITH bodies AS (
+      SELECT doc_id, text, coalesce('s' || source, 'n') AS site,
+        list_filter(list_transform(string_split(coalesce(text, ''), chr(10)), lambda x: {trimmed}), lambda x: x <> '' AND len(regexp_split_to_array(x, '[ \t\n\x0B\f\r]+')) >= 3) AS body
+      FROM {table}
+    ), lines AS (
+      SELECT doc_id, text, site, body, unnest(body) AS line FROM bodies
+    ), spread AS (
+      SELECT line, count(*) AS n FROM lines GROUP BY line HAVING count(DISTINCT site) >= greatest(4, ceil(24.0 / len(regexp_split_to_array(line, '[ \t\n\x0B\f\r]+'))))
+    ), copies AS (
+      SELECT body, count(*) AS copies FROM bodies GROUP BY body
+    ), judged AS (
+      SELECT doc_id, text, body, list(coalesce(n, 0) ORDER BY coalesce(n, 0)) AS counts, list(struct_pack(n := n, line := l.line)) FILTER (n IS NOT NULL) AS met
+      FROM lines l LEFT JOIN spread s ON l.line = s.line GROUP BY doc_id, text, body
     )
-    SELECT coalesce(list(line), []) AS gone FROM (
-      SELECT line FROM places WHERE words >= 3 GROUP BY line, words
-      HAVING count(DISTINCT source) >= greatest(4, ceil(24.0 / words)) AND 2 * count(DISTINCT (prior, later)) > count(*))
-  ) b"""
+    SELECT doc_id, text, list_transform(list_filter(met, lambda x: x.n >= 2 * CASE WHEN len(body) < 5 THEN copies ELSE counts[len(counts) // 5 + 1] END), lambda x: x.line) AS gone
+    FROM judged JOIN copies USING (body) WHERE met IS NOT NULL
+  ) g ON g.doc_id IS NOT DISTINCT FROM d.doc_id AND g.text = d.text"""
 
 
 OP9_SQL = f"""

@@ -533,6 +533,59 @@ def test_boilerplate_goes_and_copies_stay(spark):
         assert rows[d]["text"] == want, d
 
 
+def clean_by_hand(rows, rule=line_dedup.SpreadRule()):
+    """rows: (doc_id, text, source); the cleaned texts by exact counts."""
+    judged = [[x.strip(" \t\n\x0b\x0c\r") for x in (t or "").split("\n")] for _, t, _ in rows]
+    judged = [[x for x in lines if len(x.split()) >= rule.min_words] for lines in judged]
+    n, sites = Counter(x for lines in judged for x in lines), defaultdict(set)
+    for lines, (_, _, source) in zip(judged, rows, strict=True):
+        for x in lines:
+            sites[x].add(source)
+    spread = {x for x in n if len(sites[x]) >= max(rule.min_sites, math.ceil(rule.spread / len(x.split())))}
+    out = []
+    for lines, (_, t, _) in zip(judged, rows, strict=True):
+        counts = sorted(n[x] if x in spread else 0 for x in lines)
+        own = judged.count(lines) if len(lines) < rule.share else counts[len(counts) // rule.share]
+        gone = {x for x in lines if x in spread and n[x] >= rule.times * own}
+        out.append(None if t is None else "\n".join(x for x in t.split("\n") if x.strip(" \t\n\x0b\x0c\r") not in gone))
+    return out
+
+
+@pytest.mark.parametrize("rows_broadcast", [1_000_000, 0])
+def test_spread_alone_decides_and_copies_keep_their_lines(spark, monkeypatch, rows_broadcast):
+    rng = random.Random(19)
+    line = lambda n: " ".join(rng.choice("abcdefgh") + str(rng.randrange(10_000)) for _ in range(n))
+    passage, notice = [line(15) for _ in range(5)], line(4)  # inner lines of the passage always have the same neighbours
+    texts, copied = [], [line(9) for _ in range(10)]
+    for d in range(90):
+        body = [line(8) for _ in range(6)]
+        if d % 2:
+            at = rng.randrange(7)
+            body[at:at] = passage
+        texts.append("\n".join(body))
+    for d in range(40):  # near copies on all sites, most with the notice
+        body = list(copied)
+        if d % 4 == 0:
+            body[rng.randrange(10)] = line(9)
+        texts.append("\n".join(body + ([notice] if d % 8 else [])))
+    texts += ["\n".join([line(6), notice, line(7)]) for _ in range(60)] + [notice, None, "", "\n", "x\n" + "\n".join(passage), "long " + line(200_000) + "\n" + passage[0] + "\n" + line(5)]
+    rows = [(None if d in (3, 5) else d, t, None if d % 11 == 0 else f"s{d % 10}") for d, t in enumerate(texts)]
+    rows += rows[:1] * 2 + rows[1:2]  # repeated rows
+    docs = spark.createDataFrame([(i, t, s, "k", "g", 1) for i, t, s in rows], "doc_id bigint, text string, source string, _key string, _gone string, n_lines int")
+    if not rows_broadcast:
+        monkeypatch.setattr(line_dedup, "small", lambda df: False)
+        monkeypatch.setattr(line_dedup, "bounded", lambda df: df)
+    rule = line_dedup.SpreadRule(entries=rows_broadcast)
+    found = line_dedup.dedup_lines(docs, rule)
+    assert found.columns == ["doc_id", "text", "source", "_key", "_gone", "n_lines", "n_removed"]
+    want = clean_by_hand(rows)
+    key = lambda r: (r[0] is None, r[0] or 0, r[1] is None, r[1] or "")
+    assert sorted(((r["doc_id"], r["text"]) for r in found.collect()), key=key) == sorted(((i, w) for (i, _, _), w in zip(rows, want, strict=True)), key=key)
+    assert not any(p in (w or "") for w in want[:90] for p in passage)
+    assert all(w.split("\n")[0] == copied[0] or d % 4 == 0 for d, w in enumerate(want[90:130]))
+    assert not any(notice in w for w in want[90:190])
+
+
 def test_statistics_equal_brute_force(spark, odd):
     rng = random.Random(2)
     texts = [" ".join(rng.choice("ab") for _ in range(rng.randrange(0, 60))) for _ in range(60)] + ["x " * 100, "a b c d e f g h " * 3, "#a $b |\nq\nq\n\nq", None]
