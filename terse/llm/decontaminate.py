@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from terse.llm.common import bounded, shared_folder, written
+from terse.llm.common import without
 from terse.llm.text_kernel import BLANKS, _byte_values, doc_chunks, utf8_buffer, word_hashes, word_spans
 
 _U = np.uint64
@@ -244,8 +244,7 @@ class ItemIndex:
                 continue
             q, s = self.near(key, fingerprints(sums, starts, length))
             for start, k in {(int(starts[i]) - int(offset[j]), int(item[j])) for i, j in zip(q, s, strict=True)}:
-                d = int(owner[min(max(start, 0) + 0, n - 1)]) if start >= 0 else int(owner[0])
-                d = int(owner[min(start + len(self.words[k]) // 2, n - 1)]) if start + len(self.words[k]) // 2 >= 0 else d
+                d = int(owner[min(max(start + len(self.words[k]) // 2, 0), n - 1)])
                 a, b = max(start, int(firsts[d])), min(start + len(self.words[k]), int(firsts[d + 1]))
                 if b <= a or (a, b, k) in seen:
                     continue
@@ -289,10 +288,9 @@ def leaks(docs: DataFrame, benchmark: DataFrame, rule: LeakRule = LeakRule()) ->
 
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, rule: LeakRule = LeakRule()) -> DataFrame:
-    """The documents that hold no benchmark item; all columns stay."""
-    folder = shared_folder(docs.sparkSession)
-    gone = written(leaks(docs, benchmark, rule).select("doc_id").distinct(), folder, "leaks")
-    return docs.join(bounded(gone), "doc_id", "left_anti").select(*docs.columns)
+    """The documents that hold no benchmark item, each row judged by its own text; all columns stay."""
+    gone = leaks(docs.select(F.xxhash64("text").alias("doc_id"), "text"), benchmark, rule).select("doc_id").distinct()
+    return without(docs, gone, F.xxhash64("text"))
 
 
 def op6_query(spark: SparkSession, sf_dir: str) -> DataFrame:

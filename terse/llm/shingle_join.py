@@ -14,8 +14,8 @@ of each key are made, so their number stays in proportion to the index.  Connect
 cluster, and there a breadth-first search with exact overlaps finds the true components.  Clusters too large for one task are cut into blocks and every pair of blocks is searched.
 
 Defined cases: a text without words (or null) has an empty set and links with nothing; a text shorter than a shingle is one shingle of all its
-words; rows that repeat an id are each compared and each returned; rows without an id are left out; an empty table gives no rows; other columns are
-ignored.
+words; rows that repeat an id or have none are each compared and each returned; the class id of a component all of whose rows lack an id is null;
+an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from terse.llm.common import bounded, components, shared_folder, written
+from terse.llm.common import bounded, components, shared_folder, without, written
 from terse.llm.text_kernel import hashed_words, mix64, sets_per_document, shingle_runs
 
 _U = np.uint64
@@ -37,11 +37,13 @@ _U = np.uint64
 @dataclass(frozen=True)
 class JoinRule:
     """width: words in a shingle; percent: linked if 100 * overlap >= percent * union; frequent: documents from which a token is frequent
-    (grows with the corpus so that at most about two million tokens are); divisions: of frequent tokens; block: tokens a task searches at once."""
+    (grows with the corpus so that at most about two million tokens are); hot: sets under one rare token beyond which it becomes a frequent one;
+    divisions: of frequent tokens; block: tokens a task searches at once."""
 
     width: int = 5
     percent: int = 80
     frequent: int = 64
+    hot: int = 2048
     divisions: int = 32
     block: int = 4_000_000
 
@@ -165,11 +167,21 @@ def _index_task(rule: JoinRule, frequent):
     return run
 
 
+def _numbered(parts: Iterator[tuple]) -> Iterator[tuple[int, tuple]]:
+    """Parts of a batch with the place of their first row."""
+    at = 0
+    for part in parts:
+        yield at, part
+        at += len(part[0])
+
+
 def _class_task(rule: JoinRule):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for ids, v, heads in _sets(batch, rule.width):
-                yield pa.RecordBatch.from_arrays([ids, pa.array(np.diff(heads)), _signed(_fingerprint(v, heads))], names=["doc_id", "n_shingles", "class"])
+            for a, (ids, v, heads) in _numbered(_sets(batch, rule.width)):
+                yield pa.RecordBatch.from_arrays(
+                    [ids, batch.column("row").slice(a, len(ids)), pa.array(np.diff(heads)), _signed(_fingerprint(v, heads))], names=["doc_id", "row", "n_shingles", "class"]
+                )
 
     return run
 
@@ -177,11 +189,11 @@ def _class_task(rule: JoinRule):
 def _set_task(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for ids, v, heads in _sets(batch, width):
+            for _, v, heads in _sets(batch, width):
                 cuts = (heads * 8).tolist()
                 raw = v.astype("<u8").tobytes()
                 sets = [raw[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([ids, _signed(_fingerprint(v, heads)), pa.array(sets, pa.binary())], names=["doc_id", "class", "tokens"])
+                yield pa.RecordBatch.from_arrays([_signed(_fingerprint(v, heads)), pa.array(sets, pa.binary())], names=["class", "tokens"])
 
     return run
 
@@ -255,49 +267,77 @@ def candidate_edges(index: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
     return close.unionByName(stars)
 
 
-def near_duplicates(docs: DataFrame, rule: JoinRule = JoinRule()) -> DataFrame:
-    """Per document: doc_id, n_shingles, component_id (the smallest doc_id reachable by links, itself included)."""
+def _index(docs: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
+    """The written index.  Rare tokens with very many sets (seldom met by single tasks, so not found frequent) become frequent ones, and it is built anew: any
+    list of frequent tokens is right, and so no rare token pairs more than ``hot`` sets."""
     spark = docs.sparkSession
-    folder = shared_folder(spark)
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null")
-    table = written(docs.mapInArrow(_class_task(rule), "doc_id bigint, n_shingles bigint, class bigint"), folder, "classes")
-    frequent = spark.sparkContext.broadcast(frequent_tokens(docs, rule))
-    index = docs.mapInArrow(_index_task(rule, frequent), "key bigint, class bigint, size int, place int, rare int, often boolean")
-    index = written(index, folder, "index")
-    representative = table.where("n_shingles > 0").groupBy("class").agg(F.min("doc_id").alias("doc_id"), F.max("n_shingles").alias("n"))
-    representative = written(representative, folder, "representatives")
+    frequent = frequent_tokens(docs, rule)
+    for k in range(8):
+        shared = spark.sparkContext.broadcast(frequent)
+        index = docs.mapInArrow(_index_task(rule, shared), "key bigint, class bigint, size int, place int, rare int, often boolean")
+        index = written(index, folder, f"index-{k}")
+        busy = index.where("not often").select("key", "class").distinct().groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > rule.hot)
+        found = written(busy.select("key"), folder, f"busy-{k}").toArrow().column("key").to_numpy().view(_U)
+        if not len(found):
+            break
+        frequent = np.union1d(frequent, found)
+    return index
+
+
+def _rows(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("row"))
+
+
+def grouped(docs: DataFrame, rule: JoinRule) -> DataFrame:
+    """Per document: doc_id, row (hash of its text), n_shingles, and ``first`` of its component (doc_id, row): the smallest doc_id, null last.  Documents
+    without shingles are their own."""
+    folder = shared_folder(docs.sparkSession)
+    docs = _rows(docs)
+    table = written(docs.mapInArrow(_class_task(rule), "doc_id bigint, row bigint, n_shingles bigint, class bigint"), folder, "classes")
+    index = _index(docs, rule, folder)
+    earliest = F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row")).alias("first")
+    representative = written(table.where("n_shingles > 0").groupBy("class").agg(earliest, F.max("n_shingles").alias("n")), folder, "representatives")
     edges = written(candidate_edges(index, rule, folder), folder, "candidates")
     clusters = components(edges, folder, "clusters")
     clusters = clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct())
-    member = representative.join(clusters.withColumnRenamed("node", "class"), "class").select("doc_id", "class", "root", "n")
+    member = representative.join(clusters.withColumnRenamed("node", "class"), "class").select("first", "class", "root", "n")
     weight = member.groupBy("root").agg(F.sum("n").alias("weight")).withColumn("blocks", F.ceil(F.col("weight") / rule.block).cast("long")).select("root", "blocks")
     member = written(member.join(weight, "root").withColumn("own", F.pmod(F.xxhash64("class"), F.col("blocks"))), folder, "members")
     # a set meets every other block of its cluster: (i, j) with i <= j; one block means one task
     spread = member.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).select(
-        "doc_id", "root", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")
+        "class", "root", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j")
     )
-    ids = written(member.select("doc_id"), folder, "member_docs")
-    sets = docs.join(bounded(ids), "doc_id").mapInArrow(_set_task(rule.width), "doc_id bigint, class bigint, tokens binary")
-    placed = sets.join(bounded(written(spread, folder, "spread")), "doc_id").select("root", "i", "j", "class", "tokens")
+    wanted = written(member.select(F.col("first.doc_id").alias("member_id"), F.col("first.row").alias("member_row")), folder, "member_docs")
+    chosen = docs.join(bounded(wanted), F.col("doc_id").eqNullSafe(F.col("member_id")) & (F.col("row") == F.col("member_row")), "left_semi")
+    sets = chosen.mapInArrow(_set_task(rule.width), "class bigint, tokens binary")
+    placed = sets.join(bounded(written(spread, folder, "spread")), "class").select("root", "i", "j", "class", "tokens")
     links = placed.groupBy("root", "i", "j").applyInArrow(_search_task(rule.percent), "a bigint, b bigint")
     links = written(links, folder, "links")
     joined = components(links, folder, "components")
-    class_root = written(
-        representative.select("class", "doc_id").join(joined.withColumnRenamed("node", "class"), "class", "left").withColumn("root", F.coalesce("root", "class")), folder, "rooted"
-    )
-    lowest = class_root.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    named = written(class_root.join(lowest, "root").select("class", "component_id"), folder, "named")
-    return (
-        table.join(named, "class", "left")
-        .select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id"))
-    )
+    class_root = representative.select("class", "first").join(joined.withColumnRenamed("node", "class"), "class", "left").withColumn("root", F.coalesce("root", "class"))
+    class_root = written(class_root, folder, "rooted")
+    lowest = class_root.groupBy("root").agg(F.min("first").alias("first"))
+    named = written(class_root.drop("first").join(lowest, "root").select("class", "first"), folder, "named")
+    alone = F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row")
+    return table.join(named, "class", "left").select("doc_id", "row", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("first")).otherwise(alone).alias("first"))
+
+
+def near_duplicates(docs: DataFrame, rule: JoinRule = JoinRule()) -> DataFrame:
+    """Per document: doc_id, n_shingles, component_id (the smallest doc_id reachable by links, itself included)."""
+    return grouped(docs, rule).select("doc_id", "n_shingles", F.col("first.doc_id").alias("component_id"))
 
 
 def keep_first(docs: DataFrame, rule: JoinRule = JoinRule()) -> DataFrame:
-    """The documents of which no earlier one (by doc_id) is in the same component; all columns stay.  Rows that repeat an id stay together."""
+    """One document of every component: that with the smallest doc_id (null last), and of rows that repeat id and text one; those without a word all stay; all columns stay."""
     folder = shared_folder(docs.sparkSession)
-    gone = written(near_duplicates(docs, rule).where("component_id < doc_id").select("doc_id").distinct(), folder, "gone")
-    return docs.join(bounded(gone), "doc_id", "left_anti").select(*docs.columns)
+    groups = written(grouped(docs, rule).where("n_shingles > 0"), folder, "groups")
+    first = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("row") == F.col("first.row"))
+    kept = without(docs, groups.where(~first).select("doc_id", "row").distinct(), F.col("doc_id").cast("long"), F.xxhash64("text"))
+    again = written(groups.where(first).groupBy("doc_id", "row").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "row"), folder, "again")
+    if again.isEmpty():
+        return kept
+    repeats = docs.join(bounded(again.toDF("__id", "__row")), F.col("doc_id").cast("long").eqNullSafe(F.col("__id")) & (F.xxhash64("text") == F.col("__row")), "left_semi")
+    return without(kept, again, F.col("doc_id").cast("long"), F.xxhash64("text")).unionByName(repeats.dropDuplicates(["doc_id", "text"]))
 
 
 OP8_RULE = JoinRule(width=3, percent=90)

@@ -509,6 +509,47 @@ def test_groups_equal_brute_force(spark, width, percent, frequent):
         assert shingle_join.keep_first(docs, rule).count() == len(set(roots))
 
 
+def test_groups_of_nameless_and_repeated_rows(spark):
+    rng = random.Random(4)
+    text = lambda n: " ".join(rng.choice("abcdefgh") + str(rng.randrange(400)) for _ in range(n))
+    one, two, three = text(80), text(60), text(300_000)
+    near = one + " end"
+    rows = [(7, one), (None, one), (None, near), (3, near), (None, two), (None, two + " x"), (5, three), (5, three), (6, three + " y"), (8, None), (8, None), (None, ""), (9, text(30)), (9, text(30))]
+    docs = spark.createDataFrame([(i, t, "a", 1, "c") for i, t in rows], "doc_id bigint, text string, row string, first int, class string")
+    found = sorted(((r["doc_id"], r["component_id"]) for r in shingle_join.near_duplicates(docs).collect()), key=str)
+    assert found == sorted([(7, 3), (None, 3), (None, 3), (3, 3), (None, None), (None, None), (5, 5), (5, 5), (6, 5), (8, 8), (8, 8), (None, None), (9, 9), (9, 9)], key=str)
+    kept = shingle_join.keep_first(docs)
+    assert kept.columns == docs.columns
+    left = [(r["doc_id"], r["text"]) for r in kept.collect()]
+    assert sorted(left, key=str) == sorted([(3, near), min((None, two), (None, two + " x"), key=lambda r: (r[1] not in [x[1] for x in left])), (5, three), (8, None), (8, None), (None, ""), *rows[-2:]], key=str)
+
+
+def test_tokens_of_many_sets_become_frequent(spark):
+    rng = random.Random(14)
+    word = lambda: f"w{rng.randrange(10**6)}"
+    shared = " ".join(word() for _ in range(5))
+    texts = [shared + " " + " ".join(word() for _ in range(12)) for _ in range(120)]
+    texts += [texts[5] + " a", texts[7], texts[9] + " b"]
+    docs = docs_of(spark, texts).repartition(12)
+    many = shingle_join.JoinRule(frequent=10**6, hot=10)
+    roots, _ = brute_components(texts, 5, 80)
+    assert {r["doc_id"]: r["component_id"] for r in shingle_join.near_duplicates(docs, many).collect()} == dict(enumerate(roots))
+    index = shingle_join._index(shingle_join._rows(docs), many, "file:///tmp/checkpoints/hot-tokens")
+    assert index.where("not often").groupBy("key").agg(F.countDistinct("class").alias("n")).agg(F.max("n")).first()[0] <= 10
+
+
+def test_leaks_of_odd_rows(spark, odd):
+    rng = random.Random(6)
+    item = " ".join(f"q{rng.randrange(10**6)}" for _ in range(12))
+    long = " ".join(f"w{rng.randrange(10**6)}" for _ in range(200_000))  # beyond a chunk
+    extra = docs_of(spark, [item, item, long + " " + item + " " + long, item.replace("q", "r")], ids=[None, 5, 77, 78]).unionByName(odd)
+    bench = spark.createDataFrame([(1, item, "x"), (1, item, "x"), (2, None, "x"), (3, "  ", "x"), (None, item, "x")], "item_id bigint, text string, doc_id string")
+    found = Counter((r["doc_id"], r["item_id"]) for r in decontaminate.leaks(extra, bench).collect())
+    assert found == Counter({(d, k): 2 if k else 1 for d in (None, 5, 77) for k in (1, None)})
+    kept = decontaminate.drop_leaks(extra, bench)
+    assert kept.columns == extra.columns and kept.count() == odd.count() + 1
+
+
 # ---- 9, 10 lines and rules ------------------------------------------------------------------------------------------------
 
 
