@@ -12,19 +12,27 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from terse.functions.draws import draw, generator
+from terse.functions.draws import draw, draws, generator
 from terse.operators.objectives import Objective, Ridge
 from terse.plans.methods import Method, Schedule, State, iterate
 
 STATE_LIMIT = 64 << 20
 
 
+SUM_BLOCK, SUM_SALTS = 4096, 32
+"""Numbers of a sum that travel together, and parts that tasks' sums of one block are dealt into before they are added up."""
+
+
 @dataclass(frozen=True)
 class Sampler:
-    """batch: rows a worker draws in an iteration (none: all of its rows); scope: of its own rows ('local') or of all rows ('global')."""
+    """batch: rows a worker draws in an iteration (none: all of its rows); scope: of its own rows ('local') or of all rows ('global').
+
+    A batch are the rows with the smallest draws for the iteration, exactly ``batch`` of them or all there are: without replacement, every row as likely, so the mean
+    gradient is unbiased; wherever the rows are held, the same batches are drawn.
+    """
 
     batch: int | None = None
     scope: str = "local"
@@ -41,6 +49,37 @@ def dense(column) -> np.ndarray:
 # ---- sources ----------------------------------------------------------------------------------------------------------
 
 
+def _parts_of(sums: dict[int, np.ndarray]) -> pa.RecordBatch:
+    """A task's sums by worker, cut into blocks."""
+    from pyspark import TaskContext
+
+    task = TaskContext.get().partitionId() if TaskContext.get() else 0
+    rows = [(w, task, b, v[b * SUM_BLOCK : (b + 1) * SUM_BLOCK]) for w, v in sums.items() for b in range(-(-len(v) // SUM_BLOCK))]
+    values = pa.ListArray.from_arrays(np.cumsum([0, *(len(r[3]) for r in rows)]).astype(np.int32), np.concatenate([*(r[3] for r in rows), np.zeros(0)]))
+    return pa.RecordBatch.from_arrays([*(pa.array([r[i] for r in rows], pa.int64()) for i in range(3)), values], names=["worker_id", "task", "block", "s"])
+
+
+PART = "worker_id bigint, task bigint, block bigint, s array<double>"
+
+
+def added(parts: DataFrame) -> tuple[list[int], np.ndarray]:
+    """Workers, and the sum of each over all tasks: by block in two levels, so that no group grows with the number of tasks beyond its share."""
+
+    def merge(t: pa.Table) -> pa.Table:
+        t = t.sort_by("task")  # the same order of adding whichever task comes first
+        whole = dense(t.column("s")).sum(0)
+        first = [t.column(c).slice(0, 1) for c in ("worker_id", "task", "block")]
+        return pa.table([*first, pa.ListArray.from_arrays(np.array([0, len(whole)], np.int32), whole)], names=["worker_id", "task", "block", "s"])
+
+    some = parts.groupBy("worker_id", "block", F.pmod("task", F.lit(SUM_SALTS)).alias("salt")).applyInArrow(merge, PART)
+    found = some.groupBy("worker_id", "block").applyInArrow(merge, PART).toArrow().sort_by([("worker_id", "ascending"), ("block", "ascending")])
+    who, values = found.column("worker_id").to_numpy(), found.column("s").combine_chunks()
+    sizes = values.value_lengths().to_numpy(zero_copy_only=False)
+    flat = values.flatten().to_numpy(zero_copy_only=False)
+    workers = np.unique(who)
+    return workers.tolist(), flat.reshape(len(workers), -1) if len(workers) else np.zeros((0, int(sizes.sum())))
+
+
 class QuadraticSource:
     """Least squares by per-worker sums of x x', x y, y y and counts: exact full gradients at the price of d^2 numbers a worker."""
 
@@ -50,7 +89,7 @@ class QuadraticSource:
 
     @classmethod
     def from_samples(cls, samples: DataFrame, l2: float) -> QuadraticSource:
-        """samples: worker_id, x array, y.  Each task adds up its rows per worker; one row per task and worker is shuffled."""
+        """samples: worker_id, x array, y.  Each task adds up its rows per worker; its sums are shuffled by block."""
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, np.ndarray] = {}
@@ -64,15 +103,10 @@ class QuadraticSource:
                     extra = np.zeros(part.shape[1] ** 2 + 1)
                     extra[:-1], extra[-1] = (part.T @ part).reshape(-1), len(part)
                     sums[int(w)] = sums.get(int(w), 0) + extra
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([s.tolist() for s in sums.values()], pa.list_(pa.float64()))], names=["worker_id", "s"])
+            yield _parts_of(sums)
 
-        def merge(t: pa.Table) -> pa.Table:
-            return pa.table({"worker_id": t.column("worker_id").slice(0, 1), "s": pa.array([dense(t.column("s")).sum(0).tolist()], pa.list_(pa.float64()))})
-
-        ddl = "worker_id bigint, s array<double>"
-        rows = samples.select(F.col("worker_id").cast("long").alias("worker_id"), "x", F.col("y").cast("double").alias("y")).mapInArrow(run, ddl).groupBy("worker_id").applyInArrow(merge, ddl)
-        found = rows.toArrow().sort_by("worker_id")
-        s = dense(found.column("s"))
+        rows = samples.select(F.col("worker_id").cast("long").alias("worker_id"), "x", F.col("y").cast("double").alias("y"))
+        _, s = added(rows.mapInArrow(run, PART))
         d = int(round((s.shape[1] - 1) ** 0.5)) - 1
         if s.nbytes > STATE_LIMIT:
             raise MemoryError("the sums of squares exceed the driver's limit; use SparkSource or the sharded plan")
@@ -109,8 +143,11 @@ def source_of(samples: DataFrame, objective: Objective, limit: int = STATE_LIMIT
 class RowSource:
     """Rows held in memory, by worker: for tables below the driver's limit, and inside tests."""
 
-    def __init__(self, x: list[np.ndarray], y: list[np.ndarray], objective: Objective):
+    def __init__(self, x: list[np.ndarray], y: list[np.ndarray], objective: Objective, ids: list[np.ndarray] | None = None, workers: list[int] | None = None):
         self.x, self.y, self.objective, self.n = x, y, objective, len(x)
+        cuts = np.cumsum([0, *map(len, y)])
+        self.ids = ids or [np.arange(a, b) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+        self.workers = workers or list(range(self.n))
         self.features = x[0].shape[1]
         self.d = objective.size(self.features)
         self.every = None
@@ -121,23 +158,21 @@ class RowSource:
             raise MemoryError("too many rows for the driver; use SparkSource")
         found = samples.select("row_id", "worker_id", "x", "y").toArrow().sort_by([("worker_id", "ascending"), ("row_id", "ascending")])
         x, y, who = dense(found.column("x")), found.column("y").to_numpy(), found.column("worker_id").to_numpy()
-        return cls([x[who == w] for w in np.unique(who)], [y[who == w] for w in np.unique(who)], objective)
+        ids, own = found.column("row_id").to_numpy(), [who == w for w in np.unique(who)]
+        return cls([x[o] for o in own], [y[o] for o in own], objective, [ids[o] for o in own], np.unique(who).tolist())
 
     def rows(self, i: int, sampler: Sampler, seed: int, k: int) -> tuple[np.ndarray, np.ndarray]:
         if sampler.scope == "global":
             if self.every is None:
-                self.every = np.concatenate(self.x), np.concatenate(self.y)
-            x, y = self.every
+                self.every = np.concatenate(self.x), np.concatenate(self.y), np.concatenate(self.ids)
+            x, y, ids = self.every
+            keys = (k, ids, np.full(len(ids), self.workers[i]))
         else:
-            x, y = self.x[i], self.y[i]
+            x, y, ids = self.x[i], self.y[i], self.ids[i]
+            keys = (k, ids)
         if sampler.batch is None or sampler.batch >= len(y):
             return x, y
-        if sampler.scope == "global":
-            take = generator(seed, k, 7, i).integers(0, len(y), sampler.batch)
-        else:  # without replacement within an epoch
-            per = len(y) // sampler.batch
-            order = generator(seed, k // per, 8, i).permutation(len(y))
-            take = order[k % per * sampler.batch : (k % per + 1) * sampler.batch]
+        take = np.lexsort((ids, draws(seed, *keys)))[: sampler.batch]
         return x[take], y[take]
 
     def gradients(self, x, sampler, seed, k):
@@ -147,11 +182,17 @@ class RowSource:
         return float(np.mean([self.objective.value(x, a, b) for a, b in zip(self.x, self.y, strict=True)]))
 
 
+def _enough(batch: int, rows: float) -> float:
+    """Draws below this make a batch from so many rows, but for one case in 10^12 or so."""
+    return 2.0 if rows <= batch else min(2.0, (batch + 8 * batch**0.5 + 32) / rows)
+
+
 class SparkSource:
     """A job per iteration over cached samples (row_id, worker_id, x, y); ``gradients_of`` serves several models in one pass.
 
-    A batch is the rows whose draw for this iteration falls below batch / rows, so a task that runs again takes the same rows: of the worker's own rows, or,
-    with scope 'global', of all rows, where every worker draws for itself.
+    Rows with small draws are candidates, a few more than wanted, and of these the smallest are the batch (``Sampler``); a task that runs again takes the same rows.
+    With scope 'global' every worker draws for itself from all rows.  Should candidates not suffice, which their number makes all but impossible, all rows are.
+    ``close`` frees the samples.
     """
 
     def __init__(self, samples: DataFrame, objective: Objective):
@@ -168,14 +209,30 @@ class SparkSource:
         """Mean gradients (models, workers, d) and losses (models, workers)."""
         if len(models) * self.n * self.d * 8 > STATE_LIMIT:
             raise MemoryError("state beyond the driver's limit; use the sharded plan")
-        rows = self.samples
+        found = self._sums(models, sampler, seed, k, candidates=True)
+        return found if found else self._sums(models, sampler, seed, k, candidates=False)
+
+    def _batch(self, sampler: Sampler, seed: int, k: int, candidates: bool) -> DataFrame:
+        rows, size = self.samples, sampler.batch
         if sampler.scope == "global":
-            share = 1.0 if sampler.batch is None else min(1.0, sampler.batch / self.counts.sum())
-            takers = F.filter(F.array(*[F.lit(w) for w in self.workers]).cast("array<bigint>"), lambda w: draw(seed, F.lit(k), F.col("row_id"), w) < share)
-            rows = rows.select(F.explode(takers).alias("worker_id"), "x", "y")
-        elif sampler.batch is not None:
-            share = F.element_at(F.create_map(*[F.lit(v) for w, c in zip(self.workers, self.counts, strict=True) for v in (w, min(1.0, sampler.batch / c))]), F.col("worker_id"))
-            rows = rows.where(draw(seed, F.lit(k), F.col("row_id")) < share)
+            share = 2.0 if size is None or not candidates else _enough(size, self.counts.sum())
+            takers = F.filter(F.array(*[F.lit(w) for w in self.workers]).cast("array<bigint>"), lambda w: draw(seed, k, F.col("row_id"), w) < share)
+            rows = rows.select(F.explode(takers).alias("worker_id"), "row_id", "x", "y")
+            u = draw(seed, k, F.col("row_id"), F.col("worker_id"))
+        elif size is None:
+            return rows
+        else:
+            u = draw(seed, k, F.col("row_id"))
+            if candidates:
+                share = F.element_at(F.create_map(*[F.lit(v) for w, c in zip(self.workers, self.counts, strict=True) for v in (w, _enough(size, c))]), F.col("worker_id"))
+                rows = rows.where(u < share)
+        if size is None:
+            return rows
+        place = F.row_number().over(Window.partitionBy("worker_id").orderBy("u", "row_id"))
+        return rows.withColumn("u", u).withColumn("place", place).where(F.col("place") <= size)
+
+    def _sums(self, models: list[np.ndarray], sampler: Sampler, seed: int, k: int, candidates: bool) -> tuple[np.ndarray, np.ndarray] | None:
+        rows = self._batch(sampler, seed, k, candidates)
         shared = rows.sparkSession.sparkContext.broadcast(models)
         objective, m = self.objective, len(models)
 
@@ -190,15 +247,17 @@ class SparkSource:
                     found = [objective.value_grad(p, x[own], y[own]) for p in shared.value]
                     row = np.concatenate([np.concatenate((g, [v, 1.0])) for v, g in found]) * own.sum()
                     sums[int(w)] = sums.get(int(w), 0) + row
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int64()), pa.array([s.tolist() for s in sums.values()], pa.list_(pa.float64()))], names=["worker_id", "s"])
-
-        def merge(t: pa.Table) -> pa.Table:
-            return pa.table({"worker_id": t.column("worker_id").slice(0, 1), "s": pa.array([dense(t.column("s")).sum(0).tolist()], pa.list_(pa.float64()))})
+            yield _parts_of(sums)
 
-        ddl = "worker_id bigint, s array<double>"
-        found = rows.select("worker_id", "x", "y").mapInArrow(run, ddl).groupBy("worker_id").applyInArrow(merge, ddl).toArrow().sort_by("worker_id")
-        s = dense(found.column("s")).reshape(len(found), m, -1)
-        at = np.searchsorted(self.workers, found.column("worker_id").to_numpy())
+        who, s = added(rows.select("worker_id", "x", "y").mapInArrow(run, PART))
+        s = s.reshape(len(who), m, -1)
+        if sampler.batch is not None:
+            wanted = np.minimum(sampler.batch, self.counts.sum() if sampler.scope == "global" else self.counts)
+            if len(who) < self.n or (np.rint(s[:, 0, -1]) != wanted).any():
+                if candidates:
+                    return None
+                raise RuntimeError("a batch is not complete")
+        at = np.searchsorted(self.workers, who)
         out, loss = np.zeros((m, self.n, self.d)), np.zeros((m, self.n))
         for j in range(m):
             out[j, at] = s[:, j, :-2] / s[:, j, -1:]
@@ -208,6 +267,9 @@ class SparkSource:
     def gradients(self, x, sampler, seed, k):
         return self.gradients_of([x], sampler, seed, k)[0][0]
 
+    def close(self) -> None:
+        self.samples.unpersist()
+
     def loss(self, x):
         return float(self.gradients_of([x], Sampler(), 0, 0)[1].mean())
 
@@ -245,30 +307,33 @@ def validate(method: Method, d: int, strict: bool = False) -> list[str]:
 
 
 def fit(
-    source, method: Method, schedule: Schedule, iterations: int, *, x0=None, optimum=None, sampler: Sampler | None = None, seed: int = 1, every: int = 1, measure_loss: bool = False, test=None, stop=None, state=None
+    source, method: Method, schedule: Schedule, iterations: int, *, x0=None, optimum=None, sampler: Sampler | None = None, seed: int = 1, every: int = 1, measure_loss: bool = False, test=None, stop=None, state=None, init: str = "seed"
 ) -> Fit:
-    """Runs a method; every ``every`` iterations a row of the trace is kept.  ``stop`` ends the run once the distance to the optimum is below it."""
+    """Runs a method; every ``every`` iterations a row of the trace is kept.  ``stop`` ends the run once the distance to the optimum is below it.
+
+    ``state``, of an earlier run, goes on where that ended: iterations, draws, steps, bits and snapshots are counted from there.  ``init`` says how workers got the
+    first model: all of them from the same seed, or by a broadcast that is paid for once.
+    """
     sampler = sampler or Sampler()
     x0 = np.zeros(source.d) if x0 is None else np.asarray(x0, float)
-    state = state or State.start(x0, source.n)
-    trace, up, down, gap = [], 0.0, 0.0, 0.0
+    state = state or State.start(x0, source.n, 32.0 * source.d if init == "broadcast" else 0.0)
+    trace, gap = [], 0.0
     per_up, per_down = method.bits(source.d, source.n)
-    snapshot, at_snapshot = state.shared.copy(), None
-    for k in range(iterations):
+    last = state.iteration + iterations - 1
+    for k in range(state.iteration, last + 1):
         step = schedule.at(k)
         g = source.gradients(state.shared, sampler, seed, k)
         if method.refresh is not None:
-            if at_snapshot is None or generator(seed, k, 9).random() < method.refresh:
-                snapshot, at_snapshot = state.shared.copy(), source.gradients(state.shared, Sampler(), seed, k)
-                g = source.gradients(state.shared, sampler, seed, k)
-            g = g - source.gradients(snapshot, sampler, seed, k) + at_snapshot
+            if state.at_snapshot is None or generator(seed, k, 9).random() < method.refresh:
+                state.snapshot, state.at_snapshot = state.shared.copy(), source.gradients(state.shared, Sampler(), seed, k)
+            g = g - source.gradients(state.snapshot, sampler, seed, k) + state.at_snapshot
         told = iterate(method, state, g, step, seed, k)
-        up, down = up + per_up, down + per_down
+        state.iteration, state.bits_up, state.bits_down = k + 1, state.bits_up + per_up, state.bits_down + per_down
         if method.anchor_rate is not None:
             gap = max(gap, float(np.abs(state.anchors.mean(0) - state.anchor_mean).max()))
         dist = float(np.linalg.norm(state.shared - optimum)) if optimum is not None else None
-        if k % every == 0 or k == iterations - 1:
-            row = {"method": method.name, "iter": k + 1, "step": step, "dist": dist, "bits_up": up, "bits_down": down} | {c: told[c] for c in ("up_norm", "up_norm_max", "down_norm")}
+        if k % every == 0 or k == last:
+            row = {"method": method.name, "iter": k + 1, "step": step, "dist": dist, "bits_up": state.bits_up, "bits_down": state.bits_down} | {c: told[c] for c in ("up_norm", "up_norm_max", "down_norm")}
             row["loss"] = source.loss(state.shared) + method.prox.penalty(state.shared) if measure_loss else None
             row["test_loss"] = test(state.shared) if test else None
             trace.append(row)
@@ -318,18 +383,23 @@ def optimum_by_products(source, iterations: int | None = None, tolerance: float
     return x
 
 
+STATE_ARRAYS = ("shared", "precise", "anchors", "anchor_mean", "errors", "carry", "snapshot", "at_snapshot")
+
+
 def save(fit_: Fit, spark: SparkSession, path: str) -> None:
-    """A run's state as one row, to go on from later."""
+    """A run's whole state as one row, to go on from later."""
     s = fit_.state
-    columns = {c: np.asarray(getattr(s, c)).reshape(-1).tolist() for c in ("shared", "precise", "anchors", "anchor_mean", "errors", "carry")}
-    ddl = ", ".join(f"{c} array<double>" for c in columns) + ", last_step double, n int"
-    spark.createDataFrame([(*columns.values(), float(s.last_step), len(s.anchors))], ddl).coalesce(1).write.mode("overwrite").parquet(path)
+    columns = {c: None if getattr(s, c) is None else np.asarray(getattr(s, c)).reshape(-1).tolist() for c in STATE_ARRAYS}
+    ddl = ", ".join(f"{c} array<double>" for c in columns) + ", last_step double, bits_up double, bits_down double, iteration bigint, n int"
+    row = (*columns.values(), float(s.last_step), float(s.bits_up), float(s.bits_down), s.iteration, len(s.anchors))
+    spark.createDataFrame([row], ddl).coalesce(1).write.mode("overwrite").parquet(path)
 
 
 def resume(spark: SparkSession, path: str) -> State:
     r = spark.read.parquet(path).first()
-    grid = lambda c: np.array(r[c]).reshape(r["n"], -1)
-    return State(np.array(r["shared"]), np.array(r["precise"]), grid("anchors"), np.array(r["anchor_mean"]), grid("errors"), np.array(r["carry"]), r["last_step"])
+    shape = lambda c: (r["n"], -1) if c in ("anchors", "errors", "at_snapshot") else -1
+    arrays = {c: None if r[c] is None else np.array(r[c]).reshape(shape(c)) for c in STATE_ARRAYS}
+    return State(**arrays, last_step=r["last_step"], bits_up=r["bits_up"], bits_down=r["bits_down"], iteration=r["iteration"])
 
 
 def ridge_problem(rng_seed: int = 3, rows: int = 1200, features: int = 500, workers: int = 20, scale: str = "half", noise: float = 0.1, l2: float = 0.1):

@@ -141,13 +141,20 @@ def plan_method(method: Method) -> Method:
 
 @dataclass(frozen=True)
 class Schedule:
-    """Step of an iteration: constant, times ``factor`` every ``every`` iterations, or divided by 1 + k / slow."""
+    """Step of an iteration: constant, times ``factor`` every ``every`` iterations, or divided by 1 + k / slow; ``horizon`` gives the step for a known number of
+    iterations."""
 
     step: float
     factor: float = 1.0
     every: int = 0
     slow: float = 0.0
 
+    @classmethod
+    def horizon(cls, iterations: int, n: int, smooth: float, extra: float, anchor_rate: float) -> Schedule:
+        from terse.plans.theory import horizon_step
+
+        return cls(horizon_step(iterations, n, smooth, extra, anchor_rate))
+
     def at(self, k: int) -> float:
         s = self.step * self.factor ** (k // self.every) if self.every else self.step
         return s / (1 + k / self.slow) if self.slow else s
@@ -155,7 +162,8 @@ class Schedule:
 
 @dataclass
 class State:
-    """What workers and master hold: shared model, anchors and their mean, worker and master errors."""
+    """What workers and master hold: shared model, anchors and their mean, worker and master errors; how far the run is and what it has sent; the model and gradients of
+    the last snapshot, if the method takes them."""
 
     shared: np.ndarray
     precise: np.ndarray
@@ -164,11 +172,16 @@ class State:
     errors: np.ndarray
     carry: np.ndarray
     last_step: float = 0.0
+    iteration: int = 0
+    bits_up: float = 0.0
+    bits_down: float = 0.0
+    snapshot: np.ndarray | None = None
+    at_snapshot: np.ndarray | None = None
 
     @classmethod
-    def start(cls, x: np.ndarray, n: int) -> State:
+    def start(cls, x: np.ndarray, n: int, bits_down: float = 0.0) -> State:
         d = len(x)
-        return cls(x.copy(), x.copy(), np.zeros((n, d)), np.zeros(d), np.zeros((n, d)), np.zeros(d))
+        return cls(x.copy(), x.copy(), np.zeros((n, d)), np.zeros(d), np.zeros((n, d)), np.zeros(d), bits_down=bits_down)
 
 
 def iterate(method: Method, state: State, gradients: np.ndarray, step: float, seed: int, k: int) -> dict[str, float]:

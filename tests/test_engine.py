@@ -6,10 +6,13 @@ import numpy as np
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from terse.operators import codecs as C
 from terse.operators import objectives as O
 from terse.operators import wire
+from terse.functions.draws import draw, draws
+from terse.plans import engine
 from terse.plans import methods as M
 from terse.plans import theory
 from terse.plans.engine import QuadraticSource, RowSource, Sampler, SparkSource, fit, optimum_by_products, quadratic, regularised_optimum, resume, ridge_problem, save, source_of, validate
@@ -196,13 +199,62 @@ def test_spark_gradients_equal_sums_under_any_partitioning(spark, sf_dir):
         source.samples.unpersist()
 
 
-def test_resume_goes_on_as_if_never_stopped(spark, small, tmp_path):
-    whole = fit(small, M.two_way_residual(8), M.Schedule(0.05), 20)
-    half = fit(small, M.two_way_residual(8), M.Schedule(0.05), 10)
-    save(half, spark, f"file://{tmp_path}/state")
-    state = resume(spark, f"file://{tmp_path}/state")
-    assert np.allclose(state.shared, half.state.shared) and np.allclose(state.anchors, half.state.anchors)
-    assert len(whole.trace) == 20
+SCHEDULES = {"constant": M.Schedule(0.02), "falling": M.Schedule(0.02, 0.5, 7), "slow": M.Schedule(0.02, slow=5), "horizon": M.Schedule.horizon(20, 5, 4.0, 1.0, 0.1)}
+
+
+@pytest.mark.parametrize("name", sorted(M.BASELINES))
+def test_resume_goes_on_as_if_never_stopped(spark, tmp_path, name):
+    source, path = ridge_problem(rows=100, features=16, workers=5), f"file://{tmp_path}/state"
+    for k, schedule in enumerate(SCHEDULES.values()):
+        run = lambda n, **more: fit(source, M.BASELINES[name](), schedule, n, sampler=Sampler(6, ("local", "global")[k % 2]), init="broadcast", **more)  # noqa: B023, E731
+        whole, half = run(20), run(10)
+        state = half.state
+        if k < 2:
+            save(half, spark, path)
+            state = resume(spark, path)
+        rest = run(10, state=state)
+        assert np.array_equal(rest.model, whole.model) and half.trace + rest.trace == whole.trace
+        assert rest.state.iteration == 20 and rest.trace[-1]["bits_down"] == whole.trace[-1]["bits_down"]
+
+
+def test_first_model_by_broadcast_costs_a_vector(small):
+    runs = [fit(small, M.two_way_residual(8), M.Schedule(0.05), 5, init=how) for how in ("seed", "broadcast")]
+    assert np.array_equal(runs[0].model, runs[1].model)
+    assert runs[1].trace[-1]["bits_down"] - runs[0].trace[-1]["bits_down"] == 32 * small.d
+
+
+def test_numpy_draws_equal_those_of_plans(spark):
+    ids = np.array([0, 1, -5, 2**40, 7])
+    rows = spark.createDataFrame([(int(i),) for i in ids], "i bigint").select("i", draw(3, 9, F.col("i")).alias("a"), draw(2**33, F.col("i"), F.col("i") + 1).alias("b")).toPandas()
+    assert np.array_equal(draws(3, 9, ids), rows.a) and np.array_equal(draws(2**33, ids, ids + 1), rows.b)
+
+
+@pytest.mark.parametrize("sampler", [Sampler(2), Sampler(7), Sampler(7, "global"), Sampler(10**6), Sampler(None, "global")], ids=str)
+def test_batches_do_not_depend_on_where_rows_are(spark, sf_dir, sampler):
+    samples = embedding_ridge(spark, sf_dir, workers=4)
+    held, tables = RowSource.from_samples(samples, O.Ridge(0.1)), SparkSource(samples.repartition(5), O.Ridge(0.1))
+    x = np.linspace(-1, 1, held.d)
+    for k in range(3):
+        a, b = held.gradients(x, sampler, 4, k), tables.gradients(x, sampler, 4, k)
+        assert np.allclose(a, b, rtol=1e-12, atol=1e-12) and (np.abs(a).sum(1) > 0).all()
+    tables.close()
+
+
+def test_batch_gradients_are_unbiased():
+    source = ridge_problem(rows=60, features=5, workers=3)
+    x = np.ones(5)
+    mean = np.mean([source.gradients(x, Sampler(2), 1, k) for k in range(4000)], 0)
+    exact = source.gradients(x, Sampler(), 1, 0)
+    each = np.std([source.gradients(x, Sampler(2), 1, k) for k in range(200)], 0)
+    assert (np.abs(mean - exact) < 5 * each / 4000**0.5).all()
+
+
+def test_sums_are_added_in_blocks(spark, sf_dir, monkeypatch):
+    samples = embedding_ridge(spark, sf_dir, workers=3).repartition(9)
+    whole = QuadraticSource.from_samples(samples, 0.1)
+    monkeypatch.setattr(engine, "SUM_BLOCK", 1000)
+    parts = QuadraticSource.from_samples(samples, 0.1)
+    assert np.allclose(whole.gram, parts.gram) and np.allclose(whole.moment, parts.moment) and np.array_equal(whole.counts, parts.counts)
 
 
 # ---- theory ----------------------------------------------------------------------------------------------------------
@@ -216,7 +268,7 @@ def test_theory_values():
     assert theory.anchor_rate_interval(1.5, 10, 1.0) is None
     assert np.allclose(theory.carry_weight_bounds(1.5, 0.2, 0.2, 1.5, 1, 4), (0.187184, 0.969697), atol=1e-6)
     assert np.allclose(theory.step_interval(0.1, 0.2, 1.5, 1, 4), (0.056818, 0.307692), atol=1e-6)
-    assert abs(theory.nonconvex_step_max(0.4, 0.2, 1.5, 1.5, 4) - 0.0320513) < 1e-2
+    assert abs(theory.nonconvex_step_max(0.4, 0.2, 1.5, 1.5, 4) - min((np.sqrt(1 + 48 * 16 / 1.5) - 1) / 48, 1 / (6 * 4 * 0.4 * 1.3 * 2.5))) < 1e-9
     assert validate(M.two_way_residual(256), 500)
     with pytest.raises(ValueError):
         validate(M.two_way_residual(256), 500, strict=True)
