@@ -81,8 +81,9 @@ _add(
 )
 
 
-def _bias(s, d, which="true"):
-    base = RELATIONAL["join_lateral"](s, d).where(which).withColumn("blk", F.expr("coord div 16"))
+def _bias(s, d):
+    """Sums of 16 codes of every element of every vector."""
+    base = RELATIONAL["join_lateral"](s, d).withColumn("blk", F.expr("coord div 16"))
     scale = F.max(F.abs("v")).over(Window.partitionBy("vec_id", "blk"))
     rep = base.withColumn("scale", scale).withColumn("rep", F.explode(F.sequence(F.lit(0), F.lit(15))))
     hit = draw(32, F.col("vec_id"), F.col("coord"), F.col("rep"), mode="portable") * F.col("scale") < F.abs("v")
@@ -90,10 +91,9 @@ def _bias(s, d, which="true"):
 
 
 _add(
-    "codec_bias", f"SELECT vec_id, coord, CAST(sum(CASE WHEN {draw_sql(32, 'vec_id', 'coord', 'rep')} * scale < abs(v) THEN CAST(sign(v) * scale AS BIGINT) ELSE 0 END) AS BIGINT) AS total, min(v) AS v FROM (SELECT *, max(abs(v)) OVER (PARTITION BY vec_id, coord // 16) AS scale FROM ({COORDINATES}) WHERE vec_id < 20), (SELECT unnest(range(0, 16)) AS rep) GROUP BY vec_id, coord",
-    lambda s, d: _bias(s, d, "vec_id < 20"),
+    "codec_bias", f"SELECT vec_id, coord, CAST(sum(CASE WHEN {draw_sql(32, 'vec_id', 'coord', 'rep')} * scale < abs(v) THEN CAST(sign(v) * scale AS BIGINT) ELSE 0 END) AS BIGINT) AS total, min(v) AS v FROM (SELECT *, max(abs(v)) OVER (PARTITION BY vec_id, coord // 16) AS scale FROM ({COORDINATES})), (SELECT unnest(range(0, 16)) AS rep) GROUP BY vec_id, coord",
+    _bias,
 )
-_add("codec_bias_all", None, _bias)  # codec_bias keeps to the vectors of its SQL
 
 
 def _wire(s, d):
@@ -208,65 +208,10 @@ _add(
 _rates = ", ".join(f"('{m}', '{c}', '{a}', {str(li).lower()}, '{n}')" for m, c, a, li, n in theory.RATES)
 _add("rates_table", f"SELECT * FROM (VALUES {_rates}) v(method, compresses, codec_assumption, linear, nonconvex)", lambda s, d: theory.rate_table(s))
 
-# ---- measures --------------------------------------------------------------------------------------------------------
-
-TRACE_SQL = "SELECT method, iter, CASE method WHEN 'linear' THEN 1000000 // (iter * iter) ELSE 300000 + 700000 // iter END AS dist, CASE method WHEN 'linear' THEN 224 ELSE 2048 END AS bits FROM (VALUES ('linear'), ('floor')) m(method), (SELECT unnest(range(1, 101)) AS iter)"
-
-
-def _trace(s):
-    """A trace with known shapes: one distance that goes to 0 and one that stays above 0.3, in millionths."""
-    it = s.range(1, 101).select(F.col("id").alias("iter")).crossJoin(F.broadcast(s.createDataFrame([("linear",), ("floor",)], "method string")))
-    return it.select("method", "iter", F.expr("case method when 'linear' then 1000000 div (iter * iter) else 300000 + 700000 div iter end").alias("dist"), F.expr("case method when 'linear' then 224L else 2048L end").alias("bits"))
-
-
-_add("measure_linear_rate", f"SELECT method, floor(regr_slope(ln(dist), iter) * 1e6 + 0.5) AS slope FROM ({TRACE_SQL}) GROUP BY method", lambda s, d: _trace(s).groupBy("method").agg(F.floor(F.regr_slope(F.log("dist"), F.col("iter").cast("double")) * 1e6 + 0.5).cast("double").alias("slope")))
-_add("measure_floor", f"SELECT method, median(dist) AS floor FROM ({TRACE_SQL}) WHERE iter > 80 GROUP BY method", lambda s, d: _trace(s).where("iter > 80").groupBy("method").agg(F.median("dist").alias("floor")))
-_w = lambda: Window.partitionBy("method").orderBy("iter").rowsBetween(Window.unboundedPreceding, 0)
-_add("measure_cumulative_bits", f"SELECT method, iter, CAST(sum(bits) OVER (PARTITION BY method ORDER BY iter) AS BIGINT) AS so_far FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.sum("bits").over(_w()).alias("so_far")))
-_add("measure_to_target", f"SELECT method, min(iter) AS iter, CAST(min(iter * bits) AS BIGINT) AS bits FROM ({TRACE_SQL}) WHERE dist < 400000 GROUP BY method", lambda s, d: _trace(s).withColumn("so_far", F.sum("bits").over(_w())).where("dist < 400000").groupBy("method").agg(F.min("iter").alias("iter"), F.min("so_far").alias("bits")))
-_add("measure_grad_norm_avg", f"SELECT method, iter, avg(dist) OVER (PARTITION BY method ORDER BY iter) AS mean FROM ({TRACE_SQL})", lambda s, d: _trace(s).select("method", "iter", F.avg("dist").over(_w()).alias("mean")))
-
-# predictions of a fixed model (weights -2..2) on the embeddings, in grid units: exact sums
-PREDICTED = f"SELECT vec_id, label, CAST(sum(v * (coord % 5 - 2)) AS BIGINT) AS p FROM ({COORDINATES.replace('SELECT vec_id', 'SELECT vec_id, label')}) GROUP BY vec_id, label"
-
-
-def _predicted(s, d):
-    p = RELATIONAL["join_lateral"](s, d).groupBy("vec_id").agg(F.sum(F.col("v") * (F.col("coord") % 5 - 2)).alias("p"))
-    return p.join(read(s, d, "embeddings", "vec_id", "label"), "vec_id")
-
-
-_e = lambda: F.col("p").cast("double") / 1048576 * 10 - F.col("label")
-_loss = lambda s, d: _predicted(s, d).withColumn("e2", F.floor(_e() * _e() * 1e6 + 0.5).cast("long"))
-_LOSS = f"SELECT *, CAST(floor((CAST(p AS DOUBLE) / 1048576 * 10 - label) * (CAST(p AS DOUBLE) / 1048576 * 10 - label) * 1e6 + 0.5) AS BIGINT) AS e2 FROM ({PREDICTED})"
-_test = f"{draw_sql(21, 'vec_id')} >= 0.8"
-_is_test = lambda: draw(21, F.col("vec_id"), mode="portable") >= 0.8
-_add("measure_loss", f"SELECT vec_id % 10 AS worker, CAST(sum(e2) AS DOUBLE) / count(*) AS loss FROM ({_LOSS}) GROUP BY 1", lambda s, d: _loss(s, d).groupBy((F.col("vec_id") % 10).alias("worker")).agg((F.sum("e2").cast("double") / F.count("*")).alias("loss")))
-_add("measure_test_loss", f"SELECT CAST(sum(e2) AS DOUBLE) / count(*) AS loss FROM ({_LOSS}) WHERE {_test}", lambda s, d: _loss(s, d).where(_is_test()).agg((F.sum("e2").cast("double") / F.count("*")).alias("loss")))
-_add("measure_accuracy", f"SELECT count(*) FILTER (abs(p) % 10 = label) AS hits, count(*) AS n FROM ({PREDICTED})", lambda s, d: _predicted(s, d).agg(F.count_if(F.abs("p") % 10 == F.col("label")).alias("hits"), F.count("*").alias("n")))
-_add("measure_distance", f"SELECT vec_id, CAST(sum((v - m) * (v - m)) AS BIGINT) AS d2 FROM (SELECT *, first_value(v) OVER (PARTITION BY coord ORDER BY vec_id) AS m FROM ({COORDINATES})) GROUP BY vec_id", lambda s, d: RELATIONAL["join_lateral"](s, d).withColumn("m", F.first("v").over(Window.partitionBy("coord").orderBy("vec_id"))).groupBy("vec_id").agg(F.sum((F.col("v") - F.col("m")) * (F.col("v") - F.col("m"))).alias("d2")))
-_G = f"SELECT label AS worker, coord, CAST(floor(CAST(sum(v * (p // 1048576)) AS DOUBLE) / count(*) + 0.5) AS BIGINT) AS g FROM ({COORDINATES}) c JOIN ({PREDICTED}) USING (vec_id) GROUP BY label, coord"
-
-
-def _worker_gradients(s, d):
-    p = _predicted(s, d).select("vec_id", "label", F.floor(F.col("p").cast("double") / 1048576).cast("long").alias("e"))
-    return RELATIONAL["join_lateral"](s, d).join(p, "vec_id").groupBy(F.col("label").alias("worker"), "coord").agg(F.floor(F.sum(F.col("v") * F.col("e")).cast("double") / F.count("*") + 0.5).cast("long").alias("g"))
-
-
-_G = _G.replace("(p // 1048576)", "CAST(floor(CAST(p AS DOUBLE) / 1048576) AS BIGINT)")
-_add("measure_heterogeneity", f"SELECT worker, CAST(sum(g * g) AS BIGINT) AS norm2 FROM ({_G}) GROUP BY worker", lambda s, d: _worker_gradients(s, d).groupBy("worker").agg(F.sum(F.col("g") * F.col("g")).alias("norm2")))
-_add("measure_gradient_noise", f"SELECT coord, max(g) - min(g) AS spread FROM ({_G}) GROUP BY coord", lambda s, d: _worker_gradients(s, d).groupBy("coord").agg((F.max("g") - F.min("g")).alias("spread")))
+# ---- Gram matrix ------------------------------------------------------------------------------------------------------
 
 
 def _gram(s, d):
-    c = RELATIONAL["join_lateral"](s, d)
-    a, b = c.where("coord < 8").alias("a"), c.where("coord < 8").alias("b")
-    return a.join(b, F.expr("a.vec_id = b.vec_id and a.coord <= b.coord")).groupBy(F.col("a.coord").alias("i"), F.col("b.coord").alias("j")).agg(F.sum(F.col("a.v") * F.col("b.v")).alias("g"))
-
-
-_add("measure_gram", f"WITH c AS ({COORDINATES}) SELECT a.coord AS i, b.coord AS j, CAST(sum(a.v * b.v) AS BIGINT) AS g FROM c a JOIN c b ON a.vec_id = b.vec_id AND a.coord <= b.coord WHERE a.coord < 8 AND b.coord < 8 GROUP BY a.coord, b.coord", _gram)
-
-
-def _gram_all(s, d):
     """All pairs i <= j of coordinates, those that a vector holds: exact sums of its outer product by batch, then over batches."""
     import numpy as np
     import pandas as pd
@@ -283,4 +228,4 @@ def _gram_all(s, d):
     return filled.mapInPandas(run, "i bigint, j bigint, g bigint").groupBy("i", "j").agg(F.sum("g").alias("g"))
 
 
-_add("measure_gram_all", None, _gram_all)  # measure_gram keeps to the coordinates of its SQL
+_add("measure_gram", f"WITH c AS ({COORDINATES}) SELECT a.coord AS i, b.coord AS j, CAST(sum(a.v * b.v) AS BIGINT) AS g FROM c a JOIN c b ON a.vec_id = b.vec_id AND a.coord <= b.coord GROUP BY a.coord, b.coord", _gram)
