@@ -47,6 +47,19 @@ def from_coordinates(df: DataFrame, keys: list[str], value: str = "v", vector: s
     return df.groupBy(*keys).agg(F.transform(ordered, lambda e: e[value]).alias(vector))
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is worked out once, where a lambda would work it out for every element."""
+    return F.transform(F.array(value), body)[0]
+
+
+def by_blocks(vals: Column, block: int | None, body) -> Column:
+    """``body`` of every block of an array and the place of its first element, put together again; without blocks, of the array."""
+    if block is None:
+        return body(vals, F.lit(0))
+    starts = F.sequence(F.lit(0), F.greatest(F.size(vals) - 1, F.lit(0)), F.lit(block))
+    return F.flatten(F.transform(starts, lambda s: body(F.slice(vals, s + 1, F.lit(block)), s)))
+
+
 def total(vals: Column, of=lambda v: v) -> Column:
     return F.aggregate(vals, F.lit(0.0), lambda acc, v: acc + of(v))
 

@@ -139,9 +139,11 @@ class NormTernary(Codec):
         return FLOAT_BITS * -(-length // min(self.block or length, length)) + TRIT_BITS * length
 
     def as_column(self, vals, draw):
-        """For one block."""
-        scale = vectors.norm(vals, self.p)
-        return F.transform(vals, lambda v, i: F.when(draw(i) * scale < F.abs(v), F.signum(v) * scale).otherwise(F.lit(0.0)))
+        def one(part, first):
+            coded = lambda scale: F.transform(part, lambda v, i: F.when(draw(i + first) * scale < F.abs(v), F.signum(v) * scale).otherwise(F.lit(0.0)))
+            return vectors.let(vectors.norm(part, self.p), coded)
+
+        return vectors.by_blocks(vals, self.block, one)
 
 
 def norm_constant(p: float, length: int) -> float:
@@ -180,6 +182,10 @@ class Blocked(Codec):
     def bits(self, length, n_nonzero=None):
         return sum(self.codec.bits(n) for n in self.sizes)
 
+    def as_column(self, vals, draw):
+        starts = [sum(self.sizes[:k]) for k in range(len(self.sizes))]
+        return F.concat(*[self.codec.as_column(F.slice(vals, a + 1, n), lambda i, a=a: draw(i + a)) for a, n in zip(starts, self.sizes, strict=True)])
+
 
 @dataclass(frozen=True)
 class MultiLevel(Codec):
@@ -204,14 +210,13 @@ class MultiLevel(Codec):
         return FLOAT_BITS + length * ceil(log2(2 * self.levels + 1))
 
     def as_column(self, vals, draw):
-        scale = vectors.norm(vals, self.p)
         s = float(self.levels)
 
-        def one(v, i):
-            place = F.abs(v) / scale * s
-            return F.when(scale > 0, F.signum(v) * scale * (F.floor(place) + (draw(i) < place - F.floor(place)).cast("double")) / s).otherwise(F.lit(0.0))
+        def one(scale):
+            up = lambda v, i: (F.floor(F.abs(v) / scale * s) + (draw(i) < F.abs(v) / scale * s - F.floor(F.abs(v) / scale * s)).cast("double")) / s
+            return F.transform(vals, lambda v, i: F.when(scale > 0, F.signum(v) * scale * up(v, i)).otherwise(F.lit(0.0)))
 
-        return F.transform(vals, one)
+        return vectors.let(vectors.norm(vals, self.p), one)
 
 
 @dataclass(frozen=True)
@@ -230,8 +235,8 @@ class SignScale(Codec):
         return length + FLOAT_BITS * -(-length // (self.block or length))
 
     def as_column(self, vals, draw):
-        scale = vectors.total(vals, F.abs) / F.size(vals)
-        return F.transform(vals, lambda v: F.signum(v) * scale)
+        one = lambda part, _: vectors.let(vectors.total(part, F.abs) / F.size(part), lambda scale: F.transform(part, lambda v: F.signum(v) * scale))
+        return vectors.by_blocks(vals, self.block, one)
 
 
 @dataclass(frozen=True)
@@ -255,6 +260,12 @@ class LargestK(Codec):
     def bits(self, length, n_nonzero=None):
         return self.count(length) * (FLOAT_BITS + ceil(log2(max(2, length))))
 
+    def as_column(self, vals, draw):
+        size = F.size(vals)
+        k = F.lit(self.k) if self.k is not None else F.greatest(F.ceil(F.lit(self.fraction) * size), F.lit(1)).cast("int")
+        first = F.slice(F.array_sort(F.transform(vals, lambda v, i: F.struct((-F.abs(v)).alias("m"), i.alias("i")))), 1, F.least(k, size))
+        return vectors.let(F.transform(first, lambda e: e["i"]), lambda kept: F.transform(vals, lambda v, i: F.when(F.array_contains(kept, i), v).otherwise(F.lit(0.0))))
+
 
 @dataclass(frozen=True)
 class BudgetSparsify(Codec):

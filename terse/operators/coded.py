@@ -5,10 +5,13 @@ Vectors are in whole grid units and draws are portable, so DuckDB gives the same
 
 from __future__ import annotations
 
+from math import inf
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from terse.functions.draws import draw, draw_sql
+from terse.operators.codecs import Blocked, Codec, Identity, LargestK, LevelRounding, MultiLevel, NormTernary, RandomSparsify, SignScale
 from terse.operators.relational import QUERIES as RELATIONAL
 from terse.plans import costs, theory
 from terse.sources.tables import read
@@ -16,56 +19,78 @@ from terse.sources.tables import read
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
-W = "(PARTITION BY vec_id, blk)"
-TOP = f"max(abs(v)) OVER {W}"
-NORM2 = f"CAST(floor(sqrt(CAST(sum(v * v) OVER {W} AS DOUBLE)) + 0.5) AS BIGINT)"
-NORM1 = f"CAST(sum(abs(v)) OVER {W} AS BIGINT)"
-PLACE = f"(CAST(abs(v) AS DOUBLE) * 4 / ({NORM2}))"
-TERNARY = "CASE WHEN u * ({s}) < abs(v) THEN CAST(sign(v) * ({s}) AS BIGINT) ELSE 0 END"
-
-#: the coded value of v (u: a draw; blk: its block), in SQL that both engines read alike
+#: the codecs of the queries, and for each the coded value of v as SQL (u: a draw; blk: the block of 16, or of unequal length; sums are of whole numbers, so exact)
+UNEVEN = (10, 7, 47)
+CODECS: dict[str, Codec] = {
+    "codec_identity": Identity(),
+    "codec_levels": LevelRounding((-1048576.0, 1048576.0)),
+    "codec_level_grid": LevelRounding(tuple(float(x) for x in range(-1048576, 1048577, 131072))),
+    "codec_random_sparsify": RandomSparsify(0.25),
+    "codec_ternary_inf": NormTernary(inf, 16),
+    "codec_ternary_2": NormTernary(2, 16),
+    "codec_ternary_1": NormTernary(1, 16),
+    "codec_ternary_whole": NormTernary(inf, None),
+    "codec_blocked_uneven": Blocked(NormTernary(inf, None), UNEVEN),
+    "codec_multilevel": MultiLevel(4),
+    "codec_sign": SignScale(16),
+    "codec_largest_k": LargestK(7),
+}
+W, WHOLE = "(PARTITION BY vec_id, rep, blk)", "(PARTITION BY vec_id, rep)"
+TERNARY = "CASE WHEN u * ({s}) < abs(v) THEN sign(v) * ({s}) ELSE 0 END"
+PLACE = f"(abs(v) / sqrt(sum(v * v) OVER {WHOLE}) * 4)"
 EXPRESSIONS = {
     "codec_identity": "v",
     "codec_levels": "CASE WHEN u * 2097152 < v + 1048576 THEN 1048576 ELSE -1048576 END",
-    "codec_level_grid": "CAST(floor(CAST(v AS DOUBLE) / 131072) * 131072 AS BIGINT) + CASE WHEN u * 131072 < v - floor(CAST(v AS DOUBLE) / 131072) * 131072 THEN 131072 ELSE 0 END",
-    "codec_random_sparsify": "CASE WHEN u < 0.25 THEN v * 4 ELSE 0 END",
-    "codec_ternary_inf": TERNARY.format(s=TOP),
-    "codec_ternary_2": TERNARY.format(s=NORM2),
-    "codec_ternary_1": TERNARY.format(s=NORM1),
-    "codec_blocked_uneven": TERNARY.format(s=TOP),
-    "codec_multilevel": f"CAST(sign(v) * floor(({NORM2}) * (floor({PLACE}) + CASE WHEN u < {PLACE} - floor({PLACE}) THEN 1 ELSE 0 END) / 4 + 0.5) AS BIGINT)",
-    "codec_sign": f"CAST(sign(v) * floor(CAST(sum(abs(v)) OVER {W} AS DOUBLE) / count(*) OVER {W} + 0.5) AS BIGINT)",
-    "codec_largest_k": "CASE WHEN row_number() OVER (PARTITION BY vec_id ORDER BY abs(v) DESC, coord) <= 7 THEN v ELSE 0 END",
+    "codec_level_grid": "floor(v / 131072) * 131072 + CASE WHEN u * 131072 < v - floor(v / 131072) * 131072 THEN 131072 ELSE 0 END",
+    "codec_random_sparsify": "CASE WHEN u < 0.25 THEN v / 0.25 ELSE 0 END",
+    "codec_ternary_inf": TERNARY.format(s=f"max(abs(v)) OVER {W}"),
+    "codec_ternary_2": TERNARY.format(s=f"sqrt(sum(v * v) OVER {W})"),
+    "codec_ternary_1": TERNARY.format(s=f"sum(abs(v)) OVER {W}"),
+    "codec_ternary_whole": TERNARY.format(s=f"max(abs(v)) OVER {WHOLE}"),
+    "codec_blocked_uneven": TERNARY.format(s=f"max(abs(v)) OVER {W}"),
+    "codec_multilevel": f"sign(v) * sqrt(sum(v * v) OVER {WHOLE}) * ((floor({PLACE}) + CASE WHEN u < {PLACE} - floor({PLACE}) THEN 1 ELSE 0 END) / 4)",
+    "codec_sign": f"sign(v) * (sum(abs(v)) OVER {W} / count(*) OVER {W})",
+    "codec_largest_k": "CASE WHEN row_number() OVER (PARTITION BY vec_id, rep ORDER BY abs(v) DESC, coord) <= 7 THEN v ELSE 0 END",
 }
 
 COORDINATES = "SELECT vec_id, CAST(floor(CAST(unnest(embedding) AS DOUBLE) * 1048576 + 0.5) AS BIGINT) AS v, unnest(range(0, len(embedding))) AS coord FROM embeddings"
+REPEATS = 4
 
 
 def _block(name: str) -> str:
-    return "CASE WHEN coord < 10 THEN 0 WHEN coord < 17 THEN 1 ELSE 2 END" if name == "codec_blocked_uneven" else "CAST(floor(coord / 16) AS INT)"
+    return f"CASE WHEN coord < {UNEVEN[0]} THEN 0 WHEN coord < {UNEVEN[0] + UNEVEN[1]} THEN 1 ELSE 2 END" if name == "codec_blocked_uneven" else "CAST(floor(coord / 16) AS INT)"
+
 
+def _coded(s, d, name, repeats=1):
+    """(vec_id, rep, coord, blk, v, q): every element in grid units and its code, by the codec's array expression."""
+    vals = F.transform("embedding", lambda e: F.floor(e.cast("double") * 1048576.0 + 0.5).cast("double"))
+    base = read(s, d, "embeddings", "vec_id", "embedding").select("vec_id", vals.alias("vals"), F.explode(F.sequence(F.lit(0), F.lit(repeats - 1))).alias("rep"))
+    q = CODECS[name].as_column(F.col("vals"), lambda i: draw(31, F.col("vec_id"), F.col("rep"), i, mode="portable"))
+    long = base.withColumn("q", q).select("vec_id", "rep", F.posexplode(F.arrays_zip("vals", "q")).alias("coord", "x"))
+    return long.select("vec_id", "rep", F.col("coord").cast("long").alias("coord"), F.expr(_block(name)).alias("blk"), F.col("x.vals").cast("long").alias("v"), F.col("x.q").cast("double").alias("q"))
 
-def _coded(s, d, name):
-    base = RELATIONAL["join_lateral"](s, d).withColumn("u", draw(31, F.col("vec_id"), F.col("coord"), mode="portable")).withColumn("blk", F.expr(_block(name)))
-    return base.withColumn("q", F.expr(EXPRESSIONS[name]).cast("long"))
 
+def _coded_sql(name, repeats=1):
+    reps = f"(SELECT unnest(range(0, {repeats})) AS rep)"
+    drawn = f"SELECT vec_id, rep, coord, CAST(v AS DOUBLE) AS v, {draw_sql(31, 'vec_id', 'rep', 'coord')} AS u, {_block(name)} AS blk FROM ({COORDINATES}), {reps}"
+    return f"SELECT vec_id, rep, coord, blk, v, CAST({EXPRESSIONS[name]} AS DOUBLE) AS q FROM ({drawn})"
 
-def _coded_sql(name):
-    return f"SELECT *, CAST({EXPRESSIONS[name]} AS BIGINT) AS q FROM (SELECT *, {draw_sql(31, 'vec_id', 'coord')} AS u, {_block(name)} AS blk FROM ({COORDINATES}))"
+
+_err = lambda: F.floor((F.col("q") - F.col("v")) * (F.col("q") - F.col("v")) + 0.5).cast("long")
+ERR = "CAST(floor((q - v) * (q - v) + 0.5) AS BIGINT)"
 
 
 def _codec(name):
     def build(s, d):
-        err = (F.col("q") - F.col("v")) * (F.col("q") - F.col("v"))
         return _coded(s, d, name).groupBy("vec_id", F.col("blk").cast("long").alias("block_id")).agg(
-            F.max(F.abs("q")).alias("scale_grid"), F.count_if(F.col("q") != 0).alias("n_nonzero"), F.sum(err).alias("err2_grid")
+            F.floor(F.max(F.abs("q")) + 0.5).cast("long").alias("scale_grid"), F.count_if(F.col("q") != 0).alias("n_nonzero"), F.sum(_err()).alias("err2_grid")
         )
 
     QUERIES[name] = build
-    SQL[name] = f"SELECT vec_id, CAST(blk AS BIGINT) AS block_id, max(abs(q)) AS scale_grid, count(*) FILTER (q <> 0) AS n_nonzero, CAST(sum((q - v) * (q - v)) AS BIGINT) AS err2_grid FROM ({_coded_sql(name)}) GROUP BY vec_id, blk"
+    SQL[name] = f"SELECT vec_id, CAST(blk AS BIGINT) AS block_id, CAST(floor(max(abs(q)) + 0.5) AS BIGINT) AS scale_grid, count(*) FILTER (q <> 0) AS n_nonzero, CAST(sum({ERR}) AS BIGINT) AS err2_grid FROM ({_coded_sql(name)}) GROUP BY vec_id, blk"
 
 
-for _name in EXPRESSIONS:
+for _name in CODECS:
     _codec(_name)
 
 
@@ -75,9 +100,26 @@ def _add(name, sql, build):
         SQL[name] = sql
 
 
+def _statistics(s, d):
+    """By codec and vector: mean squared error over squared norm, and squared distance of the mean code from the vector, over repeats; sums of rounded codes are exact."""
+    out = None
+    for name in CODECS:
+        rows = _coded(s, d, name, REPEATS).withColumn("n", F.floor(F.col("q") + 0.5).cast("long"))
+        by = rows.groupBy("vec_id", "coord").agg(F.sum(_err()).alias("err2"), F.sum("n").alias("n"), F.first("v").alias("v"))
+        off = F.col("n") - F.col("v") * REPEATS
+        part = by.groupBy("vec_id").agg((F.sum("err2").cast("double") / (F.sum(F.col("v") * F.col("v")) * REPEATS)).alias("ratio"), F.sum(off * off).alias("bias2")).select(F.lit(name).alias("codec"), "vec_id", "ratio", "bias2")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 _add(
-    "codec_variance_ratio", f"SELECT vec_id, CAST(sum((q - v) * (q - v)) AS DOUBLE) / CAST(sum(v * v) AS DOUBLE) AS ratio FROM ({_coded_sql('codec_ternary_inf')}) GROUP BY vec_id",
-    lambda s, d: _coded(s, d, "codec_ternary_inf").groupBy("vec_id").agg((F.sum((F.col("q") - F.col("v")) * (F.col("q") - F.col("v"))).cast("double") / F.sum(F.col("v") * F.col("v")).cast("double")).alias("ratio")),
+    "codec_variance_ratio",
+    " UNION ALL ".join(
+        f"SELECT '{n}' AS codec, vec_id, CAST(sum(err2) AS DOUBLE) / CAST(sum(v * v) * {REPEATS} AS DOUBLE) AS ratio, CAST(sum((n - v * {REPEATS}) * (n - v * {REPEATS})) AS BIGINT) AS bias2 FROM "
+        f"(SELECT vec_id, coord, sum({ERR}) AS err2, CAST(sum(CAST(floor(q + 0.5) AS BIGINT)) AS BIGINT) AS n, CAST(any_value(v) AS BIGINT) AS v FROM ({_coded_sql(n, REPEATS)}) GROUP BY vec_id, coord) GROUP BY vec_id"
+        for n in CODECS
+    ),
+    _statistics,
 )
 
 

@@ -35,6 +35,51 @@ def test_unbiased_with_bounded_variance(codec):
         assert ratio <= bound * 1.03 + 1e-12
 
 
+class Given:
+    """Draws that are given."""
+
+    def __init__(self, u):
+        self.u, self.at = u, 0
+
+    def random(self, shape):
+        n = int(np.prod(shape))
+        part = np.resize(self.u[self.at : self.at + n], n)
+        self.at += n
+        return part.reshape(shape)
+
+
+FORMS = [
+    C.Identity(), C.LevelRounding((-4.0, -1.0, 0.0, 2.0, 5.0)), C.RandomSparsify(0.3), C.NormTernary(inf, 4), C.NormTernary(2, 5), C.NormTernary(1, None), C.NormTernary(3.0, 4),
+    C.Blocked(C.NormTernary(2, None), (3, 9, 1)), C.MultiLevel(4), C.SignScale(5), C.SignScale(), C.LargestK(4), C.LargestK(None, 0.3),
+]
+
+
+@pytest.mark.parametrize("codec", FORMS, ids=str)
+def test_array_expressions_equal_kernels(spark, codec):
+    rng = np.random.default_rng(5)
+    v, u = np.round(rng.normal(0, 1.5, (20, 13)).clip(-4, 5), 3), rng.random((20, 13))
+    v[0], v[1] = 0.0, 1.0
+    rows = spark.createDataFrame([(i, a.tolist(), b.tolist()) for i, (a, b) in enumerate(zip(v, u, strict=True))], "i int, v array<double>, u array<double>")
+    found = rows.select("i", codec.as_column(F.col("v"), lambda i: F.get("u", i)).alias("q")).orderBy("i").collect()
+    for r in found:
+        assert np.allclose(r["q"], codec.apply(v[r["i"]], Given(u[r["i"]])), rtol=1e-12, atol=1e-12)
+
+
+def test_users_codecs_are_known_by_name():
+    class Halves(C.Codec):
+        def apply(self, v, rng):
+            return np.round(np.asarray(v) * 2) / 2
+
+    class Short(C.Codec):
+        def apply(self, v, rng):
+            return np.asarray(v)[:-1]
+
+    C.register_codec("halves", Halves)
+    assert C.CODECS.pop("halves") is Halves
+    with pytest.raises(ValueError):
+        C.register_codec("short", Short)
+
+
 def test_known_example():
     v = np.array([3.0, -1.0, 0.0, 4.0])
     ratio, _ = C.measured_constant(C.NormTernary(inf, None), v, 40_000)
