@@ -7,6 +7,8 @@ from __future__ import annotations
 
 from math import inf
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
@@ -17,6 +19,7 @@ from terse.plans import costs, theory
 from terse.sources.tables import read
 
 QUERIES: dict = {}
+WIRE = pa.schema([("vec_id", pa.int64()), ("coder", pa.string()), ("n_bytes", pa.int64()), ("same", pa.bool_())])
 SQL: dict[str, str] = {}
 
 #: the codecs of the queries, and for each the coded value of v as SQL (u: a draw; blk: the block of 16, or of unequal length; sums are of whole numbers, so exact)
@@ -138,49 +141,65 @@ _add(
 )
 
 
-def _wire(s, d):
-    """Packed bytes of every vector by three coders, and whether unpacking gives the vector back."""
-    import numpy as np
-    import pandas as pd
+CODERS = ("PrefixTernary", "Base3", "GapCode", "SparsePairs")
 
-    def run(frames):
-        from terse.functions.draws import generator
-        from terse.operators import wire
-        from terse.operators.codecs import NormTernary
 
-        for f in frames:
-            out = []
-            for i, e in zip(f.vec_id, f.embedding, strict=True):
-                q = NormTernary(np.inf, 16).apply(np.asarray(e, float), generator(3, int(i))).astype(np.float32).astype(float)
-                for coder in (wire.PrefixTernary, wire.Base3, wire.GapCode):
-                    data = wire.pack_ternary(q, 16, coder)
-                    out.append((i, coder.__name__, len(data), bool(np.allclose(wire.unpack_ternary(data, len(q), 16, coder), q))))
-                data = wire.SparsePairs.pack(q)
-                out.append((i, "SparsePairs", len(data), bool(np.allclose(wire.SparsePairs.unpack(data, len(q)), q))))
-            yield pd.DataFrame(out, columns=["vec_id", "coder", "n_bytes", "same"])
+def _vectors(s, d, name):
+    """(vec_id, q): whole coded vectors."""
+    rows = _coded(s, d, name).groupBy("vec_id").agg(F.sort_array(F.collect_list(F.struct("coord", "q"))).alias("c"))
+    return rows.select("vec_id", F.transform("c", lambda e: e["q"]).alias("q"))
+
 
-    return read(s, d, "embeddings", "vec_id", "embedding").mapInPandas(run, "vec_id bigint, coder string, n_bytes bigint, same boolean")
+def _wire(s, d):
+    """Packed bytes of every coded vector by four coders, and whether unpacking gives the vector back."""
 
+    def run(batches):
+        from terse.operators import wire
 
-_add("codec_wire_roundtrip", None, _wire)
-_add("bits_measured", None, lambda s, d: _wire(s, d).groupBy("coder").agg(F.sum("n_bytes").alias("n_bytes"), (F.sum("n_bytes") * 8 / (F.count("*") * 64)).alias("bits_per_element")))
+        for batch in batches:
+            out = []
+            for i, e in zip(batch.column("vec_id").to_pylist(), batch.column("q"), strict=True):
+                q = e.values.to_numpy()
+                for name in CODERS:
+                    coder = getattr(wire, name)
+                    pairs = coder is wire.SparsePairs
+                    data = coder.pack(q) if pairs else wire.pack_ternary(q, 16, coder)
+                    back = coder.unpack(data, len(q)) if pairs else wire.unpack_ternary(data, len(q), 16, coder)
+                    out.append((i, name, len(data), bool(np.array_equal(back, q))))
+            yield pa.RecordBatch.from_pylist([dict(zip(("vec_id", "coder", "n_bytes", "same"), r, strict=True)) for r in out], WIRE)
+
+    return _vectors(s, d, "codec_ternary_inf").mapInArrow(run, "vec_id bigint, coder string, n_bytes bigint, same boolean")
+
+
+_NZ = f"SELECT vec_id, coord, coord - coalesce(lag(coord) OVER (PARTITION BY vec_id ORDER BY coord), -1) AS gap FROM ({_coded_sql('codec_ternary_inf')}) WHERE q <> 0"
+_SIZES = f"""SELECT vec_id, unnest(['PrefixTernary', 'Base3', 'GapCode', 'SparsePairs']) AS coder,
+  unnest([16 + ceil((64 + n) / 8.0), 16 + 13, 16 + ceil((2 * floor(log2(n + 1)) + 1 + gap_bits) / 8.0), 4 + 4 * n + ceil(n * 6 / 8.0)]) AS n_bytes
+FROM (SELECT e.vec_id, count(z.coord) AS n, coalesce(sum(2 * floor(log2(gap)) + 2), 0) AS gap_bits FROM embeddings e LEFT JOIN ({_NZ}) z ON e.vec_id = z.vec_id GROUP BY e.vec_id)"""
+_add("codec_wire_roundtrip", f"SELECT vec_id, coder, CAST(n_bytes AS BIGINT) AS n_bytes, true AS same FROM ({_SIZES})", _wire)
+_add(
+    "bits_measured", f"SELECT coder, CAST(sum(n_bytes) AS BIGINT) AS n_bytes, CAST(sum(n_bytes) * 8 AS DOUBLE) / (count(*) * 64) AS bits_per_element FROM ({_SIZES}) GROUP BY coder",
+    lambda s, d: _wire(s, d).groupBy("coder").agg(F.sum("n_bytes").alias("n_bytes"), ((F.sum("n_bytes") * 8).cast("double") / (F.count("*") * 64)).alias("bits_per_element")),
+)
 
 
 def _budget(s, d):
-    import numpy as np
-    import pandas as pd
+    """Expected elements kept of every vector (in millionths), and those kept for certain."""
 
-    def run(frames):
+    def run(batches):
         from terse.operators.codecs import BudgetSparsify
 
-        for f in frames:
-            p = [BudgetSparsify(8).probabilities(np.asarray(e, float)) for e in f.embedding]
-            yield pd.DataFrame({"vec_id": f.vec_id, "expected": [float(x.sum()) for x in p], "certain": [int((x >= 1).sum()) for x in p]})
+        for batch in batches:
+            p = [BudgetSparsify(8).probabilities(e.values.to_numpy()) for e in batch.column("q")]
+            sure = pa.array([int((x >= 1).sum()) for x in p], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), pa.array([int(x.sum() * 1e6 + 0.5) for x in p], pa.int64()), sure], names=["vec_id", "expected", "certain"])
 
-    return read(s, d, "embeddings", "vec_id", "embedding").mapInPandas(run, "vec_id bigint, expected double, certain bigint")
+    return _vectors(s, d, "codec_identity").mapInArrow(run, "vec_id bigint, expected bigint, certain bigint")
 
 
-_add("codec_budget", None, _budget)
+_RANKED = f"SELECT vec_id, abs(v) AS m, row_number() OVER (PARTITION BY vec_id ORDER BY abs(v) DESC, coord) AS r, sum(abs(v)) OVER (PARTITION BY vec_id ORDER BY abs(v), coord DESC ROWS UNBOUNDED PRECEDING) AS rest FROM ({COORDINATES})"
+_add(
+    "codec_budget", f"SELECT vec_id, CAST(least(8, count(*) FILTER (m > 0)) * 1000000 AS BIGINT) AS expected, CAST(coalesce(min(r) FILTER (m * (9 - r) < rest OR r > 8), 9) - 1 AS BIGINT) AS certain FROM ({_RANKED}) GROUP BY vec_id", _budget,
+)
 
 # ---- costs ----------------------------------------------------------------------------------------------------------
 
@@ -202,9 +221,9 @@ _add(
 )
 _add("bits_prefix_code", f"SELECT vec_id, CAST(sum(CASE WHEN q = 0 THEN 1 ELSE 2 END) AS BIGINT) AS bits FROM ({_coded_sql('codec_ternary_inf')}) GROUP BY vec_id", lambda s, d: _coded(s, d, "codec_ternary_inf").groupBy("vec_id").agg(F.sum(F.when(F.col("q") == 0, 1).otherwise(2)).alias("bits")))
 _add("bits_sparse_pairs", f"SELECT vec_id, CAST(count(*) FILTER (q <> 0) * 38 AS BIGINT) AS bits FROM ({_coded_sql('codec_largest_k')}) GROUP BY vec_id", lambda s, d: _coded(s, d, "codec_largest_k").groupBy("vec_id").agg((F.count_if(F.col("q") != 0) * 38).alias("bits")))
-_add(
+_add(  # a given computing time, and coding at a given number of elements a second
     "time_vs_bandwidth",
-    f"SELECT method, CAST(bw AS DOUBLE) AS bandwidth_mbps, 0.0::DOUBLE + 10 * (u + (bits - u)) / (bw * 1e6::DOUBLE) AS seconds FROM (SELECT method, bits, CASE WHEN method = 'plain' THEN {RAW} ELSE {CODED} END AS u FROM ({_per}) WHERE d = 11000000 AND block = 256), (VALUES (1000), (500), (200), (100), (50), (10)) l(bw)",
+    f"SELECT method, CAST(bw AS DOUBLE) AS bandwidth_mbps, {costs.COMPUTE_S!r}::DOUBLE + coded * d / {costs.CODING_RATE!r}::DOUBLE + 10 * (u + (bits - u)) / (bw * 1e6::DOUBLE) AS seconds FROM (SELECT method, d, bits, CASE method WHEN 'plain' THEN 0 WHEN 'two_sided_compensated' THEN 2 WHEN 'two_way_residual' THEN 2 ELSE 1 END AS coded, CASE WHEN method = 'plain' THEN {RAW} ELSE {CODED} END AS u FROM ({_per}) WHERE d = 11000000 AND block = 256), (VALUES (1000), (500), (200), (100), (50), (10)) l(bw)",
     lambda s, p: costs.time_vs_bandwidth(s),
 )
 
@@ -255,7 +274,6 @@ _add("rates_table", f"SELECT * FROM (VALUES {_rates}) v(method, compresses, code
 
 def _gram(s, d):
     """All pairs i <= j of coordinates, those that a vector holds: exact sums of its outer product by batch, then over batches."""
-    import numpy as np
     import pandas as pd
 
     def run(frames):

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from terse.functions.draws import draw, draw_sql
-from terse.sources.tables import read
+from terse.sources.tables import append, bucketed, read, shared_folder, write_samples
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -310,6 +310,46 @@ def _(s, d):
     return read(s, d, "part", "p_partkey", "p_brand", "p_size").select("p_partkey", n(F.row_number(), w).alias("place"), n(F.rank(), v).alias("r"), n(F.dense_rank(), v).alias("dr"))
 
 
+@query(
+    "window_distribution",
+    "SELECT p_partkey, CAST(floor(percent_rank() OVER w * 1e6 + 0.5) AS BIGINT) AS pr, CAST(floor(cume_dist() OVER w * 1e6 + 0.5) AS BIGINT) AS cd, ntile(4) OVER u AS quarter, nth_value(p_partkey, 2) OVER (PARTITION BY p_brand ORDER BY p_size, p_partkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second, first_value(p_partkey) OVER u AS first FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_size), u AS (PARTITION BY p_brand ORDER BY p_size, p_partkey)",
+)
+def _(s, d):
+    w, u = Window.partitionBy("p_brand").orderBy("p_size"), Window.partitionBy("p_brand").orderBy("p_size", "p_partkey")
+    micro = lambda c: F.floor(c * 1e6 + 0.5).cast("long")
+    return read(s, d, "part", "p_partkey", "p_brand", "p_size").select(
+        "p_partkey", micro(F.percent_rank().over(w)).alias("pr"), micro(F.cume_dist().over(w)).alias("cd"), F.ntile(4).over(u).cast("long").alias("quarter"),
+        F.nth_value("p_partkey", 2).over(u.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second"), F.first("p_partkey").over(u).alias("first"),
+    )
+
+
+@query("sink_samples", "SELECT event_id AS row_id, user_id % 4 AS worker_id, value AS y FROM events WHERE user_id % 4 = 1")
+def _(s, d):
+    """Samples written by worker and read back with the other workers' folders pruned."""
+    path = f"{shared_folder(s)}/samples"
+    write_samples(read(s, d, "events").select(F.col("event_id").alias("row_id"), F.pmod("user_id", F.lit(4)).alias("worker_id"), F.col("value").alias("y")), path, 4)
+    return s.read.parquet(path).where("worker_id = 1").select("row_id", F.col("worker_id").cast("long").alias("worker_id"), "y")
+
+
+@query("sink_bucketed", "SELECT user_id % 4 AS worker_id, count(*) AS n FROM events GROUP BY 1")
+def _(s, d):
+    """A table bucketed by worker: the count needs no exchange."""
+    folder = shared_folder(s)
+    name = f"terse_{folder.rsplit('-', 1)[1]}"
+    bucketed(read(s, d, "events").select("event_id", F.pmod("user_id", F.lit(4)).alias("worker_id")), name, 4, f"{folder}/bucketed")
+    return s.table(name).groupBy("worker_id").agg(F.count("*").alias("n"))
+
+
+@query("sink_appended", "SELECT event_type AS run_id, count(*) AS n FROM events GROUP BY 1")
+def _(s, d):
+    """Two halves appended by run."""
+    path = f"{shared_folder(s)}/appended"
+    rows = read(s, d, "events", "event_id", "event_type").withColumnRenamed("event_type", "run_id")
+    append(rows.where("event_id % 2 = 0"), path)
+    append(rows.where("event_id % 2 = 1"), path)
+    return s.read.parquet(path).groupBy(F.col("run_id").cast("string").alias("run_id")).agg(F.count("*").alias("n"))
+
+
 @query("window_lag_lead", "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id, 2) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 def _(s, d):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")

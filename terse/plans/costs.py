@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 FLOAT_BITS, TRIT_BITS = 32.0, 1.5
+COMPUTE_S, CODING_RATE = 0.2, 5e7
+"""Stand-ins where nothing is measured: seconds of a gradient, and elements coded (or decoded) in a second."""
 
 
 def bits_raw(d: Column) -> Column:
@@ -55,14 +57,17 @@ def iteration_time(compute_s: Column, bits_up: Column, bits_down: Column, n: int
     return compute_s + F.when(topology == "star", star).otherwise(peers) / (link * 1e6)
 
 
-def time_vs_bandwidth(spark: SparkSession, d: int = 11_000_000, block: int = 256, n: int = 10, compute_s: float = 0.0) -> DataFrame:
+def time_vs_bandwidth(spark: SparkSession, d: int = 11_000_000, block: int = 256, n: int = 10, compute_s: float = COMPUTE_S, coding_rate: float = CODING_RATE) -> DataFrame:
+    """Seconds of an iteration by method and bandwidth: gradient, coding of each coded leg, and what passes the server's link."""
     per = bits_per_iteration(spark).where((F.col("d") == d) & (F.col("block") == block))
     raw = bits_raw(F.col("d"))
     coded = bits_ternary(F.col("d"), F.col("block"))
     up = F.when(F.col("method") == "plain", raw).otherwise(coded)
     down = F.col("bits") - up
     star = links(spark).where("topology = 'star'")
-    return star.crossJoin(F.broadcast(per)).select("method", "bandwidth_mbps", iteration_time(F.lit(compute_s), up, down, n, F.col("bandwidth_mbps"), F.col("topology")).alias("seconds"))
+    legs = F.element_at(F.create_map(*[F.lit(v) for m, (u, w) in LEGS.items() for v in (m, int(u) + int(w))]), F.col("method"))
+    busy = F.lit(compute_s) + legs * F.col("d") / F.lit(coding_rate)
+    return star.crossJoin(F.broadcast(per)).select("method", "bandwidth_mbps", iteration_time(busy, up, down, n, F.col("bandwidth_mbps"), F.col("topology")).alias("seconds"))
 
 
 def message_edges(spark: SparkSession, workers: tuple[int, ...] = (2, 5, 10, 20)) -> DataFrame:

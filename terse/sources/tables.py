@@ -68,9 +68,10 @@ def write_samples(samples: DataFrame, path: str, parts: int = 8) -> None:
     salted.repartition(parts, "worker_id", "part").sortWithinPartitions("worker_id", "part", "row_id").write.mode("overwrite").partitionBy("worker_id", "part").parquet(path)
 
 
-def bucketed(samples: DataFrame, table: str, n: int = 8) -> None:
-    """Samples in a table bucketed and sorted by worker: joins by worker need no exchange."""
-    samples.write.mode("overwrite").bucketBy(n, "worker_id").sortBy("worker_id").saveAsTable(table)
+def bucketed(samples: DataFrame, table: str, n: int = 8, path: str | None = None) -> None:
+    """Samples in a table bucketed and sorted by worker: joins by worker need no exchange.  With a path its files are there."""
+    writer = samples.write.mode("overwrite").bucketBy(n, "worker_id").sortBy("worker_id")
+    (writer.option("path", path) if path else writer).saveAsTable(table)
 
 
 def append(df: DataFrame, path: str, by: str = "run_id") -> None:
@@ -90,6 +91,16 @@ def round_trip(df: DataFrame, folder: str, kind: str) -> DataFrame:
     return reader.format(kind).load(f"{folder}/{kind}")
 
 
+def text_lines(spark: SparkSession, path: str) -> DataFrame:
+    """Lines of text files, with the file of each."""
+    return spark.read.text(path).select(F.col("_metadata.file_path").alias("path"), "value")
+
+
+def whole_files(spark: SparkSession, path: str, pattern: str = "*") -> DataFrame:
+    """Files as bytes: path, length, content."""
+    return spark.read.format("binaryFile").option("pathGlobFilter", pattern).load(path).select("path", "length", "content")
+
+
 class MessageSource(DataSource):
     """Coded vectors of simulated workers: options workers, dim, block, seed; a partition for each worker."""
 

@@ -6,6 +6,7 @@ import uuid
 
 import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQueryListener
@@ -112,24 +113,42 @@ def _(s, d):
 
 
 def _staged(s, d, files: int = 4) -> str:
-    """Events in several files by time, so that micro-batches have something to follow."""
+    """Events in several files, one after the other by event_id modulo their number, so that micro-batches have something to follow."""
     path = f"{shared_folder(s)}/events"
-    read(s, d, "events").repartitionByRange(files, "ts").write.parquet(path)
+    for k in range(files):
+        read(s, d, "events").where(F.col("event_id") % files == k).coalesce(1).write.mode("append").parquet(path)
     return path
 
 
+def _trickled(s, d, files: int = 4) -> DataFrame:
+    return s.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(_staged(s, d, files))
+
+
 @query("stream_train", None)
 def _(s, d):
-    """One step of the two-way method per micro-batch: value by kind of event; batches are told apart by id, so a repeated one changes nothing."""
+    """One step of the two-way method per micro-batch: value by kind of event; the model's table of a batch is written by id, so a repeated one changes nothing, and a
+    run that starts again goes on from the last table."""
+    kinds = sorted(r[0] for r in read(s, d, "events", "event_type").distinct().collect())
+    rows = train(s, _trickled(s, d), kinds, shared_folder(s))
+    return s.createDataFrame(rows, "batch long, events double, model array<double>")
+
+
+def train(s: SparkSession, stream: DataFrame, kinds: list[str], folder: str) -> list[tuple]:
+    """Trains over what the stream holds; state and model are in the folder, by batch."""
     from terse.plans import methods as M
+    from terse.plans.engine import Fit, resume, save
 
-    kinds = sorted(r[0] for r in read(s, d, "events", "event_type").distinct().collect())
-    method, state, done, rows = M.two_way_residual(4), M.State.start(np.zeros(len(kinds)), 4), set(), []
+    method, rows = M.two_way_residual(4), []
+    store = f"{folder}/states"
+
+    def known(k: int):
+        try:
+            return resume(s, f"{store}/{k}")
+        except AnalysisException:
+            return None
 
     def step(batch: DataFrame, k: int) -> None:
-        if k in done:
-            return
-        done.add(k)
+        state = known(k - 1) if k else M.State.start(np.zeros(len(kinds)), 4)
         sums = batch.groupBy(F.pmod("user_id", F.lit(4)).alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum("value").alias("v")).collect()
         g, n = np.zeros((4, len(kinds))), np.ones(4)
         for r in sums:
@@ -137,31 +156,65 @@ def _(s, d):
             g[r["w"], i] += r["n"] * state.shared[i] - r["v"] / 50
             n[r["w"]] += r["n"]
         M.iterate(method, state, g / n[:, None], 0.5, 1, k)
+        state.iteration = k + 1
+        save(Fit(state.shared, [], state), s, f"{store}/{k}")
         rows.append((k, float(sum(r["n"] for r in sums)), [float(x) for x in state.shared]))
 
-    q = s.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(_staged(s, d)).writeStream.foreachBatch(step).trigger(availableNow=True).option("checkpointLocation", f"{shared_folder(s)}/train").start()
-    q.awaitTermination()
-    return s.createDataFrame(rows, "batch long, events double, model array<double>")
+    stream.writeStream.foreachBatch(step).trigger(availableNow=True).option("checkpointLocation", f"{folder}/train").start().awaitTermination()
+    return rows
 
 
-@query("stream_stateful_anchor", None)
+_CENTS = "CAST(floor(value * 100 + 0.5) AS BIGINT)"
+_PER = f"SELECT user_id % 4 AS worker, event_id % 4 AS k, CAST(floor(CAST(sum({_CENTS}) AS DOUBLE) / count(*) + 0.5) AS BIGINT) AS mean FROM events GROUP BY ALL"
+
+
+def _anchor_sql() -> str:
+    a = "0"
+    for k in range(4):
+        m = f"coalesce(m{k}, {a})"
+        a = f"({a} + CAST(floor(({m} - {a}) / 10.0::DOUBLE + 0.5) AS BIGINT))"
+    means = ", ".join(f"max(mean) FILTER (k = {k}) AS m{k}" for k in range(4))
+    return f"SELECT worker, CAST({a} AS BIGINT) AS anchor FROM (SELECT worker, {means} FROM ({_PER}) GROUP BY worker)"
+
+
+@query("stream_stateful_anchor", _anchor_sql())
 def _(s, d):
-    """Per worker an anchor that follows the mean value of its events, kept in the state store."""
+    """Per worker an anchor, in cents, that moves by a tenth towards the mean value of each micro-batch; it is kept in the state store."""
 
     def follow(key, frames, state):
-        anchor = state.get[0] if state.exists else 0.0
-        for f in frames:
-            anchor += 0.1 * (float(f.value.mean()) - anchor)
-        state.update((anchor,))
-        yield pd.DataFrame({"worker": [key[0]], "anchor": [anchor]})
+        anchor, k = state.get if state.exists else (0, 0)
+        cents = np.concatenate([np.floor(f.value.to_numpy() * 100 + 0.5) for f in frames])
+        mean = int(np.floor(cents.sum() / len(cents) + 0.5))
+        anchor += int(np.floor((mean - anchor) / 10.0 + 0.5))
+        state.update((anchor, k + 1))
+        yield pd.DataFrame({"worker": [key[0]], "anchor": [anchor], "batch": [k + 1]})
+
+    stream = _trickled(s, d).select(F.pmod("user_id", F.lit(4)).alias("worker"), "value")
+    out = stream.groupBy("worker").applyInPandasWithState(follow, "worker long, anchor long, batch long", "anchor long, batches long", "update", "NoTimeout")
+    return drained(out, "update").groupBy("worker").agg(F.max_by("anchor", "batch").alias("anchor"))
+
+
+_LATE = "SELECT count(*) FILTER (late) AS late, count(*) FILTER (NOT late) AS kept FROM (SELECT event_id % 3 = 2 AND date_trunc('hour', ts) + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events WHERE event_id % 3 = 0) - INTERVAL 1 HOUR AS late FROM events)"
+
+
+@query("stream_late_count", _LATE)
+def _(s, d):
+    """Rows that come after the watermark has passed their window are dropped; what the windows hold in the end says how many.
 
-    stream = s.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(_staged(s, d)).select(F.pmod("user_id", F.lit(4)).alias("worker"), "value")
-    out = stream.groupBy("worker").applyInPandasWithState(follow, "worker long, anchor double", "anchor double", "update", "NoTimeout")
-    return drained(out, "update")
+    A micro-batch drops by the watermark that its predecessor began with, so of three the last drops by what the first has seen.
+    """
+    path = _staged(s, d, 3)
+    out = s.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(path).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
+    told = drained(out.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), "n"), "update")
+    kept = told.groupBy("start").agg(F.max("n").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("kept"))
+    return kept.crossJoin(s.read.parquet(path).agg(F.count("*").alias("all"))).select((F.col("all") - F.col("kept")).alias("late"), "kept")
 
 
-@query("stream_late_count", None)
+@query("stream_to_table", "SELECT user_id, count(*) AS n, CAST(sum(CAST(floor(value * 100 + 0.5) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY user_id")
 def _(s, d):
-    """Rows that come after the watermark has passed their window are dropped; the count of windowed rows says how many."""
-    out = s.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(_staged(s, d)).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", "1 hour")
-    return drained(out.groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("n")).select(_stamp("w.start").alias("start"), "n"), "append")
+    """Into files of the shared folder, batch by batch: nothing gathers on the driver."""
+    folder = shared_folder(s)
+    keep = lambda batch, k: batch.withColumn("batch", F.lit(k)).write.mode("overwrite").parquet(f"{folder}/out/batch={k}")
+    part = _trickled(s, d).select("user_id", F.floor(F.col("value") * 100 + 0.5).cast("long").alias("cents"))
+    part.writeStream.foreachBatch(lambda b, k: keep(b.groupBy("user_id").agg(F.count("*").alias("n"), F.sum("cents").alias("cents")), k)).trigger(availableNow=True).option("checkpointLocation", f"{folder}/stream").start().awaitTermination()
+    return s.read.parquet(f"{folder}/out").groupBy("user_id").agg(F.sum("n").alias("n"), F.sum("cents").alias("cents"))
