@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
+import timeit
 from math import inf
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from terse.functions.draws import draw
 from terse.functions.vectors import dot
 from terse.operators.allocate import assign
 from terse.operators.codecs import NormTernary
 from terse.operators.objectives import L1, ConvNet, Logistic, Perceptron, ResidualNet, Ridge, Softmax
 from terse.plans import methods as M
-from terse.plans.engine import QuadraticSource, Sampler, SparkSource, fit, quadratic, regularised_optimum, ridge_problem, source_of, trace_frame
+from terse.plans.costs import time_vs_bandwidth
+from terse.plans.engine import Fit, QuadraticSource, Sampler, SparkSource, fit, quadratic, regularised_optimum, ridge_problem, source_of, trace_frame
 from terse.sources.tables import read
 
 M_RIDGE = Ridge(0.1)
@@ -92,8 +95,21 @@ def proximal(spark, sf_dir) -> DataFrame:
     return trace_frame(spark, [fit(source, m, M.Schedule(0.05), 800, optimum=best, every=25) for m in (M.plain(prox), M.gradient_difference(16, prox=prox), M.two_way_residual(16, prox=prox))])
 
 
+def scales(spark, sf_dir) -> DataFrame:
+    """The synthetic regression at its three matrix scales and two seeds, step 0.05: distance after 300 iterations over that at the start."""
+    rows = []
+    for scale in ("half", "one", "uniform"):
+        for seed in (3, 4):
+            source = quadratic(ridge_problem(seed, scale=scale))
+            best = source.optimum()
+            for m in M.seven_curves(256):
+                f = fit(source, m, M.Schedule(0.05), 300, optimum=best, every=300)
+                rows.append(("scales", f"{scale},seed={seed}", m.name, float(min(f.trace[-1]["dist"] / np.linalg.norm(best), 1e12))))
+    return spark.createDataFrame(rows, OUTCOME)
+
+
 def sensitivity(spark, sf_dir) -> DataFrame:
-    """Distance after 300 iterations over block size, anchor rate, apply rate and carry weight."""
+    """Distance after 300 iterations over block size, anchor rate, apply rate and carry weight; blocks of 64 to 512, one setting at a time, on the synthetic matrix of 500 columns."""
     source = QuadraticSource.from_samples(embedding_ridge(spark, sf_dir), 0.1)
     best, rows = source.optimum(), []
     for block in (8, 16, 32, 64):
@@ -102,6 +118,12 @@ def sensitivity(spark, sf_dir) -> DataFrame:
                 for e in (0.0, 0.5, 1.0):
                     f = fit(source, M.two_way_residual(block, a, b, e), M.Schedule(0.05), 300, optimum=best, every=300)
                     rows.append(("sensitivity", f"block={block},anchor={a},apply={b},carry={e}", "two_way_residual", float(min(f.trace[-1]["dist"], 1e12))))
+    wide = quadratic(ridge_problem())
+    best = wide.optimum()
+    for block in (64, 128, 256, 512):
+        for a, b, e in ((0.1, 1.0, 1.0), (0.05, 1.0, 1.0), (0.2, 1.0, 1.0), (0.1, 0.5, 1.0), (0.1, 1.0, 0.0), (0.1, 1.0, 0.5)):
+            f = fit(wide, M.two_way_residual(block, a, b, e), M.Schedule(0.05), 200, optimum=best, every=200)
+            rows.append(("sensitivity", f"wide,block={block},anchor={a},apply={b},carry={e}", "two_way_residual", float(min(f.trace[-1]["dist"], 1e12))))
     return spark.createDataFrame(rows, OUTCOME)
 
 
@@ -138,53 +160,93 @@ def noise(spark, sf_dir) -> DataFrame:
     return spark.createDataFrame(rows, OUTCOME)
 
 
-def _nets(spark, sf_dir, objective, schedule, iterations, every) -> DataFrame:
-    """Six methods on embeddings, a fifth of them held out, dealt in even runs to ten workers."""
-    rows = read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("row_id"), F.transform("embedding", lambda e: e.cast("double") * 8).alias("x"), F.col("label").cast("long").alias("y"))
-    train = source_of(assign(rows.where("row_id % 5 <> 0"), 10, "even", name="worker_id"), objective)
-    test = source_of(rows.where("row_id % 5 = 0").withColumn("worker_id", F.lit(0)), objective)
-    start = objective.start(64, 1)
+def pictures(spark: SparkSession, rows: int, seed: int = 5, spread: float = 1.6) -> DataFrame:
+    """(row_id, x, y): vectors of 64 around one of ten fixed patterns, with noise that depends on the row alone: labels that can be learnt."""
+    patterns = np.random.default_rng(13).normal(0, 1, (10, 64))
+    y = F.floor(draw(seed, F.lit("label"), F.col("id")) * 10).cast("int")
+    noise = F.transform(F.sequence(F.lit(0), F.lit(63)), lambda j: (draw(seed, F.col("id"), j) + draw(seed + 1, F.col("id"), j) + draw(seed + 2, F.col("id"), j) - 1.5) * (2 * spread))
+    every = F.array(*[F.array(*[F.lit(float(v)) for v in p]) for p in patterns])
+    return spark.range(rows).withColumn("y", y).select(F.col("id").alias("row_id"), F.zip_with(F.get(every, F.col("y")), noise, lambda a, b: a + b).alias("x"), F.col("y").cast("long").alias("y"))
+
+
+NET_ROWS, NET_BATCH = 320, 64
+"""Rows of a worker and of its batches: five iterations are an epoch."""
+
+
+def _nets(spark, objective, schedule, epochs) -> DataFrame:
+    """Seven methods on planted pictures, ten workers, a fifth of the rows held out; a row of the trace for every epoch (five iterations)."""
+    rows = pictures(spark, NET_ROWS * 10 * 5 // 4).withColumn("held", F.col("row_id") % 5 == 0)
+    train = source_of(assign(rows.where("not held").drop("held"), 10, "even", name="worker_id"), objective)
+    test = source_of(rows.where("held").drop("held").withColumn("worker_id", F.lit(0)), objective)
+    start, per = objective.start(64, 1), NET_ROWS // NET_BATCH
+    methods = [M.plain(), M.quantized_gradient(codec=NormTernary(inf, 256)), M.compensated_gradient(256), M.gradient_difference(256), M.two_sided_compensated(256), M.two_sided_largest_k(), M.two_way_residual(256)]
     fits = []
-    for m in (M.plain(), M.quantized_gradient(codec=NormTernary(inf, 256)), M.gradient_difference(256), M.two_sided_compensated(256), M.two_sided_largest_k(), M.two_way_residual(256)):
-        fits.append(fit(train, m, schedule, iterations, x0=start, sampler=Sampler(256), every=every, measure_loss=True, test=test.loss))
+    for m in methods:
+        parts, state = [], None
+        for _ in range(epochs):  # one epoch at a time, so that its last iteration is what the trace tells
+            f = fit(train, m, schedule, per, x0=start, sampler=Sampler(NET_BATCH), every=10**9, measure_loss=True, test=test.loss, state=state)
+            parts.append(f.trace[-1])
+            state = f.state
+        fits.append(Fit(f.model, parts, f.state))
     return trace_frame(spark, fits)
 
 
 def softmax(spark, sf_dir) -> DataFrame:
-    return _nets(spark, sf_dir, Softmax(), M.Schedule(0.1), 150, 25)
+    return _nets(spark, Softmax(), M.Schedule(0.1), 12)
 
 
 def conv_net(spark, sf_dir) -> DataFrame:
-    """Convolutional net on embeddings as 8 by 8 images, ten workers."""
-    return _nets(spark, sf_dir, ConvNet(), M.Schedule(0.1, 0.1, 125), 150, 25)
+    """Convolutional net on 8 by 8 pictures, ten workers; the step falls to a tenth after 25 epochs."""
+    return _nets(spark, ConvNet(), M.Schedule(0.1, 0.1, 25 * NET_ROWS // NET_BATCH), 28)
 
 
 def residual_net(spark, sf_dir) -> DataFrame:
-    return _nets(spark, sf_dir, ResidualNet(), M.Schedule(0.01, 0.1, 100), 120, 20)
+    """The step falls to a tenth after 100 epochs, beyond the run."""
+    return _nets(spark, ResidualNet(), M.Schedule(0.01, 0.1, 100 * NET_ROWS // NET_BATCH), 16)
 
 
 def perceptron(spark, sf_dir) -> DataFrame:
-    return _nets(spark, sf_dir, Perceptron(), M.Schedule(0.1, 0.1, 125), 150, 25)
+    return _nets(spark, Perceptron(), M.Schedule(0.1, 0.1, 25 * NET_ROWS // NET_BATCH), 28)
+
+
+def bandwidth(spark, sf_dir) -> DataFrame:
+    """Seconds of an iteration by method and bandwidth with measured gradient and coding times: a convolutional net's gradient on a batch of 256, coding of 11 million elements."""
+    net, rng = ConvNet(), np.random.default_rng(1)
+    x, y, w = rng.normal(size=(256, 64)), rng.integers(0, 10, 256).astype(float), net.start(64, 1)
+    least = lambda f: min(timeit.repeat(f, number=1, repeat=3))
+    compute, v = least(lambda: net.value_grad(w, x, y)), rng.normal(size=1_100_000)
+    coding = 1_100_000 / least(lambda: NormTernary(inf, 256).apply(v, rng))
+    out = time_vs_bandwidth(spark, compute_s=compute, coding_rate=coding)
+    return out.select(F.lit("bandwidth").alias("workload"), F.concat(F.lit("mbps="), F.col("bandwidth_mbps").cast("int").cast("string")).alias("setting"), "method", F.col("seconds").alias("value"))
 
 
-def text(spark, sf_dir, buckets: int = 256) -> DataFrame:
-    """Logistic regression of the quality label on hashed words, workers by language: a Spark job per iteration, all methods in each pass."""
-    docs = read(spark, sf_dir, "documents", "doc_id", "text", "lang").join(read(spark, sf_dir, "labels", "doc_id", "quality"), "doc_id")
+def text(spark, sf_dir, buckets: int = 4096, iterations: int = 12) -> DataFrame:
+    """Logistic regression of the quality and toxic labels on hashed words, positives and negatives weighing alike, workers by language or by source: a Spark job per
+    iteration, all methods in each pass."""
+    docs = read(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").join(read(spark, sf_dir, "labels"), "doc_id")
     words = F.split(F.lower("text"), " ")
-    counts = docs.select("doc_id", "lang", "quality", F.explode(F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(buckets)).cast("int"))).alias("b")).groupBy("doc_id", "lang", "quality", "b").agg(F.count("*").alias("c"))
-    norm = counts.groupBy("doc_id", "lang", "quality").agg(F.map_from_entries(F.collect_list(F.struct("b", F.col("c").cast("double")))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("z"))
+    keys = ["doc_id", "lang", "source", "quality", "toxic"]
+    counts = docs.select(*keys, F.explode(F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(buckets)).cast("int"))).alias("b")).groupBy(*keys, "b").agg(F.count("*").alias("c"))
+    norm = counts.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("b", F.col("c").cast("double")))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("z"))
     x = F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0)) / F.col("z") * 4)
-    samples = norm.select(F.col("doc_id").alias("row_id"), F.pmod(F.xxhash64("lang"), F.lit(4)).alias("worker_id"), x.alias("x"), F.col("quality").cast("double").alias("y"))
-    source = SparkSource(samples, Logistic())
-    chosen = [M.plain(), M.quantized_gradient(64), M.gradient_difference(64), M.two_way_residual(64)]
-    states = [M.State.start(np.zeros(source.d), source.n) for _ in chosen]
+    held = norm.select(*keys, x.alias("x"))
     rows = []
-    for k in range(8):
-        g, loss = source.gradients_of([s.shared for s in states], Sampler(), 1, k)
-        for m, s, gm, lm in zip(chosen, states, g, loss, strict=True):
-            M.iterate(m, s, gm, 0.5, 1, k)
-            rows.append(("text", f"iter={k}", m.name, float(lm.mean())))
-    source.samples.unpersist()
+    for label, by in (("quality", "lang"), ("quality", "source"), ("toxic", "lang")):
+        known = held.where(F.col(label).isNotNull())
+        rare = known.agg(F.count_if(F.col(label) == 1).alias("ones"), F.count("*").alias("all")).first()
+        few = 1 if rare["ones"] * 2 < rare["all"] else 0
+        times = max(1, round(max(rare["ones"], rare["all"] - rare["ones"]) / max(1, min(rare["ones"], rare["all"] - rare["ones"]))))
+        copies = F.explode(F.sequence(F.lit(1), F.when(F.col(label) == few, times).otherwise(1)))
+        samples = known.withColumn("copy", copies).select((F.col("doc_id") * 64 + F.col("copy")).alias("row_id"), F.pmod(F.xxhash64(by), F.lit(4)).alias("worker_id"), "x", F.col(label).cast("double").alias("y"))
+        source = SparkSource(samples, Logistic())
+        chosen = [M.plain(), M.quantized_gradient(64), M.gradient_difference(64), M.two_way_residual(64)]
+        states = [M.State.start(np.zeros(source.d), source.n) for _ in chosen]
+        for k in range(iterations):
+            g, loss = source.gradients_of([s.shared for s in states], Sampler(), 1, k)
+            for m, s, gm, lm in zip(chosen, states, g, loss, strict=True):
+                M.iterate(m, s, gm, 0.5, 1, k)
+                rows.append((f"text {label} by {by}", f"iter={k}", m.name, float(lm.mean())))
+        source.close()
     return spark.createDataFrame(rows, OUTCOME)
 
 
@@ -196,5 +258,5 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "run_w1_all": regression, "run_w2_lineitem": lineitem_regression, "run_w3_softmax": softmax, "run_w4_text": text, "run_w5_conv": conv_net, "run_w5_perceptron": perceptron, "run_w6_residual": residual_net, "run_w9_lasso": proximal,
-    "run_w10_grid": sensitivity, "run_w12_diminishing": diminishing, "run_w13_speedup": speedup, "run_w14_label_skew": heterogeneous, "run_w15_noise": noise, "run_flagship": flagship,
+    "run_w1_scales": scales, "run_w7_bandwidth": bandwidth, "run_w10_grid": sensitivity, "run_w12_diminishing": diminishing, "run_w13_speedup": speedup, "run_w14_label_skew": heterogeneous, "run_w15_noise": noise, "run_flagship": flagship,
 }

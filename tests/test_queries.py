@@ -43,6 +43,34 @@ def test_formats_round_trip(spark, sf_dir, tmp_path):
         require(nation, "n_name int")
 
 
+def test_text_and_whole_files(spark, tmp_path):
+    from terse.sources.tables import text_lines, whole_files
+
+    (tmp_path / "a.txt").write_text("one\ntwo\n")
+    (tmp_path / "b.bin").write_bytes(b"\x00\xff")
+    assert sorted(r["value"] for r in text_lines(spark, f"file://{tmp_path}/a.txt").collect()) == ["one", "two"]
+    (found,) = whole_files(spark, f"file://{tmp_path}", "*.bin").collect()
+    assert found["length"] == 2 and bytes(found["content"]) == b"\x00\xff"
+
+
+def test_training_on_a_stream_goes_on_after_a_stop(spark, sf_dir, tmp_path):
+    from terse.sources.tables import SCHEMAS, read
+    from terse.streaming.online import train
+
+    rows, kinds = read(spark, sf_dir, "events"), sorted(r[0] for r in read(spark, sf_dir, "events", "event_type").distinct().collect())
+    stream = lambda path: spark.readStream.schema(SCHEMAS["events"]).option("maxFilesPerTrigger", 1).parquet(path)
+    part = lambda k, path: rows.where(rows.event_id % 3 == k).coalesce(1).write.mode("append").parquet(path)
+    whole, halves = f"file://{tmp_path}/whole", f"file://{tmp_path}/halves"
+    for k in range(3):
+        part(k, whole)
+    part(0, halves)
+    once = train(spark, stream(whole), kinds, f"file://{tmp_path}/w1")
+    first = train(spark, stream(halves), kinds, f"file://{tmp_path}/w2")
+    for k in (1, 2):
+        part(k, halves)
+    assert first + train(spark, stream(halves), kinds, f"file://{tmp_path}/w2") == once and len(once) == 3
+
+
 def test_pruning_and_broadcast_show_in_plans(spark, sf_dir):
     plan = catalogue.QUERIES["scan_pruned"](spark, sf_dir)._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull" in plan and "l_extendedprice" not in plan.split("== Physical Plan ==")[1]
