@@ -45,7 +45,7 @@ class JoinRule:
     frequent: int = 64
     hot: int = 2048
     divisions: int = 32
-    block: int = 4_000_000
+    block: int = 2_000_000
 
 
 def _sets(batch: pa.RecordBatch, width: int) -> Iterator[tuple[pa.Array, np.ndarray, np.ndarray]]:
@@ -198,14 +198,22 @@ def _set_task(width: int):
     return run
 
 
+AT_ONCE = 1 << 19
+"""Tokens that a search looks at in one step."""
+
+
 def spanning_links(classes: np.ndarray, sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
     """Edges that connect what is connected by links, found by breadth-first search with exact overlaps."""
     n = len(sets)
     sizes = np.array([len(s) for s in sets], np.int64)
-    tokens, ids = np.unique(np.concatenate(sets), return_inverse=True) if n else (np.zeros(0), np.zeros(0, int))
     heads = np.concatenate(([0], np.cumsum(sizes)))
-    left = np.argsort(sizes, kind="stable")
+    ids = np.zeros(heads[-1], np.int32)
+    tokens = np.unique(np.concatenate(sets)) if n else np.zeros(0)
+    for k, s in enumerate(sets):
+        ids[heads[k] : heads[k + 1]] = np.searchsorted(tokens, s)
     flag = np.zeros(len(tokens), np.uint8)
+    del tokens
+    left = np.argsort(sizes, kind="stable")
     edges, queue = [], []
     while len(left) or queue:
         if not queue:
@@ -220,12 +228,17 @@ def spanning_links(classes: np.ndarray, sets: list[np.ndarray], percent: int) ->
             continue
         own = ids[heads[x] : heads[x + 1]]
         flag[own] = 1
-        spans = sizes[among]
-        starts = np.concatenate(([0], np.cumsum(spans)[:-1]))
-        take = np.arange(spans.sum()) + np.repeat(heads[among] - starts, spans)
-        shared = np.add.reduceat(flag[ids[take]].astype(np.int64), starts)
+        linked = np.zeros(len(among), bool)
+        ends, at = np.cumsum(sizes[among]), 0
+        while at < len(among):
+            end = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + AT_ONCE, side="right")))
+            spans = sizes[among[at:end]]
+            starts = np.concatenate(([0], np.cumsum(spans)[:-1]))
+            take = np.arange(spans.sum()) + np.repeat(heads[among[at:end]] - starts, spans)
+            shared = np.add.reduceat(flag[ids[take]], starts, dtype=np.int64)
+            linked[at:end] = 100 * shared >= percent * (sizes[x] + spans - shared)
+            at = end
         flag[own] = 0
-        linked = 100 * shared >= percent * (sizes[x] + spans - shared)
         hit = among[linked]
         edges += [(int(classes[x]), int(classes[y])) for y in hit]
         queue += hit.tolist()
@@ -237,20 +250,24 @@ def _search_task(percent: int):
     def run(table: pa.Table) -> pa.Table:
         classes, at = np.unique(table.column("class").to_numpy(), return_index=True)
         column = table.column("tokens")
-        sets = [np.frombuffer(column[int(i)].as_py(), "<u8") for i in at]
+        sets = [np.frombuffer(column[int(i)].as_buffer(), "<u8") for i in at]
         edges = spanning_links(classes, sets, percent)
         return pa.table({"a": pa.array([e[0] for e in edges], pa.int64()), "b": pa.array([e[1] for e in edges], pa.int64())})
 
     return run
 
 
-def candidate_edges(index: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
-    """Edges (a, b) between classes such that linked classes are connected by them."""
-    p, q = rule.percent, 100 + rule.percent
+def shared_keys(index: DataFrame, folder: str, name: str) -> DataFrame:
+    """Rows under rare keys that two classes or more have, each class once."""
     rare = index.where("not often").select("key", "class", "size", "place", "rare")
     met = Window.partitionBy("key")
     some = rare.withColumns({"c0": F.min("class").over(met), "c1": F.max("class").over(met)}).where("c0 <> c1").drop("c0", "c1")
-    some = written(some.dropDuplicates(["key", "class"]), folder, "rare")
+    return written(some.dropDuplicates(["key", "class"]), folder, name)
+
+
+def candidate_edges(index: DataFrame, some: DataFrame, rule: JoinRule) -> DataFrame:
+    """Edges (a, b) between classes such that linked classes are connected by them."""
+    p, q = rule.percent, 100 + rule.percent
     x, y = some.alias("x"), some.alias("y")
     alike = 100 * F.least("x.size", "y.size") >= p * F.greatest("x.size", "y.size")
     met = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.class") < F.col("y.class")) & alike)
@@ -267,8 +284,8 @@ def candidate_edges(index: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
     return close.unionByName(stars)
 
 
-def _index(docs: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
-    """The written index.  Rare tokens with very many sets (seldom met by single tasks, so not found frequent) become frequent ones, and it is built anew: any
+def _index(docs: DataFrame, rule: JoinRule, folder: str) -> tuple[DataFrame, DataFrame]:
+    """The written index, and its rows under shared rare keys.  Rare tokens with very many sets (seldom met by single tasks, so not found frequent) become frequent ones, and it is built anew: any
     list of frequent tokens is right, and so no rare token pairs more than ``hot`` sets."""
     spark = docs.sparkSession
     frequent = frequent_tokens(docs, rule)
@@ -276,12 +293,13 @@ def _index(docs: DataFrame, rule: JoinRule, folder: str) -> DataFrame:
         shared = spark.sparkContext.broadcast(frequent)
         index = docs.mapInArrow(_index_task(rule, shared), "key bigint, class bigint, size int, place int, rare int, often boolean")
         index = written(index, folder, f"index-{k}")
-        busy = index.where("not often").select("key", "class").distinct().groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > rule.hot)
+        some = shared_keys(index, folder, f"rare-{k}")
+        busy = some.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > rule.hot)
         found = written(busy.select("key"), folder, f"busy-{k}").toArrow().column("key").to_numpy().view(_U)
         if not len(found):
             break
         frequent = np.union1d(frequent, found)
-    return index
+    return index, some
 
 
 def _rows(docs: DataFrame) -> DataFrame:
@@ -294,10 +312,10 @@ def grouped(docs: DataFrame, rule: JoinRule) -> DataFrame:
     folder = shared_folder(docs.sparkSession)
     docs = _rows(docs)
     table = written(docs.mapInArrow(_class_task(rule), "doc_id bigint, row bigint, n_shingles bigint, class bigint"), folder, "classes")
-    index = _index(docs, rule, folder)
+    index, some = _index(docs, rule, folder)
     earliest = F.min(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "row")).alias("first")
     representative = written(table.where("n_shingles > 0").groupBy("class").agg(earliest, F.max("n_shingles").alias("n")), folder, "representatives")
-    edges = written(candidate_edges(index, rule, folder), folder, "candidates")
+    edges = written(candidate_edges(index, some, rule), folder, "candidates")
     clusters = components(edges, folder, "clusters")
     clusters = clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct())
     member = representative.join(clusters.withColumnRenamed("node", "class"), "class").select("first", "class", "root", "n")

@@ -534,7 +534,7 @@ def test_tokens_of_many_sets_become_frequent(spark):
     many = shingle_join.JoinRule(frequent=10**6, hot=10)
     roots, _ = brute_components(texts, 5, 80)
     assert {r["doc_id"]: r["component_id"] for r in shingle_join.near_duplicates(docs, many).collect()} == dict(enumerate(roots))
-    index = shingle_join._index(shingle_join._rows(docs), many, "file:///tmp/checkpoints/hot-tokens")
+    index, _ = shingle_join._index(shingle_join._rows(docs), many, "file:///tmp/checkpoints/hot-tokens")
     assert index.where("not often").groupBy("key").agg(F.countDistinct("class").alias("n")).agg(F.max("n")).first()[0] <= 10
 
 
