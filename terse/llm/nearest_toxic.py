@@ -22,11 +22,14 @@ columns are ignored; rows that repeat are scored alike.
 from __future__ import annotations
 
 import pickle
+import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -107,18 +110,18 @@ class BlockMaxIndex:
         self.column = np.full(n_terms, -1, np.int32)
         self.column[often] = np.arange(len(often))
         self.width = self.n_blocks * block
-        dense = np.zeros((self.width, len(often)))
+        dense = np.zeros((self.width, len(often)), np.float64)
         c = self.column[term]
         dense[doc[c >= 0], c[c >= 0]] = weight[c >= 0]
-        self.order = like_ones_together(dense[:n], block)
+        self.order = like_ones_together(dense[:n].astype(np.float32), block)
         place = np.empty(n, np.int64)
         place[self.order] = np.arange(n)
-        dense[:n] = dense[:n][self.order]
+        dense = np.take(dense, np.append(self.order, np.arange(n, self.width)), axis=0)
         self.dense = dense.reshape(self.n_blocks, block, len(often))
         self.most = self.dense.max(1)
         rare = c < 0
         by = np.lexsort((place[doc[rare]], term[rare]))
-        self.doc, self.weight = place[doc[rare]][by], weight[rare][by]
+        self.doc, self.weight = place[doc[rare]][by].astype(np.int32), weight[rare][by]
         self.first = np.searchsorted(term[rare][by], np.arange(n_terms + 1))
         self.pairs = self.scored = 0
 
@@ -128,8 +131,8 @@ class BlockMaxIndex:
             return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
         work = np.cumsum(np.bincount(owner, self.first[term + 1] - self.first[term], n))
         found, at = [], 0
-        while at < n:  # so many vectors at a time that their postings and cosines take some tens of megabytes
-            end = max(at + 1, min(int(np.searchsorted(work, (work[at - 1] if at else 0) + 2_000_000, side="right")), at + max(1, 500_000 // self.width)))
+        while at < n:  # so many vectors at a time that their postings and cosines take a few megabytes each
+            end = max(at + 1, min(int(np.searchsorted(work, (work[at - 1] if at else 0) + 250_000, side="right")), at + max(1, 250_000 // self.width)))
             part = slice(*np.searchsorted(owner, (at, end)))
             q, d, c = self._nearest(owner[part] - at, term[part], weight[part], end - at, k)
             found.append((q + at, d, c))
@@ -193,30 +196,40 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 @dataclass
 class NeighbourModel:
-    """words: sorted hashes of the examples' words; factor: what each weighs besides its count; steps: calibration; alone: score without neighbours."""
+    """ids, toxic: the examples; steps: calibration; alone: score without neighbours; share: of toxic labels.  What grows with the examples' words travels packed and is
+    unpacked where it is used, so the driver holds little of it: words (sorted hashes), factor (what each weighs besides its count), unseen, postings."""
 
     plan: NeighbourPlan
-    words: np.ndarray
-    factor: np.ndarray
-    unseen: float = 0.0
+    packed: bytes = b""
     ids: np.ndarray = field(default_factory=lambda: np.zeros(0, int))
     toxic: np.ndarray = field(default_factory=lambda: np.zeros(0))
-    postings: tuple = ()
     steps: tuple[np.ndarray, np.ndarray] = (np.array([0.0, 1.0]), np.array([0.05, 0.95]))
     alone: float = 0.0
     share: float = 0.0
-    _index: BlockMaxIndex | None = None
 
-    @property
+    @cached_property
+    def _open(self) -> tuple:
+        return pickle.loads(zlib.decompress(self.packed)) if self.packed else (np.zeros(0, _U), np.zeros(0), 0.0, None)
+
+    words = property(lambda self: self._open[0])
+    factor = property(lambda self: self._open[1])
+    unseen = property(lambda self: self._open[2])
+
+    def keep(self, words: np.ndarray, factor: np.ndarray, unseen: float, postings: tuple | None) -> None:
+        self.packed = zlib.compress(pickle.dumps((words, factor, unseen, postings)), 1)
+        self.__dict__.pop("_open", None)
+
+    @cached_property
     def index(self) -> BlockMaxIndex | None:
-        if self._index is None and len(self.ids):
-            sizes, term, weight = self.postings
-            doc = np.repeat(np.arange(len(sizes)), sizes)
-            self._index = BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
-        return self._index
+        postings = self._open[3]
+        if postings is None:
+            return None
+        sizes, term, weight = postings
+        doc = np.repeat(np.arange(len(sizes)), sizes)
+        return BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
 
     def __getstate__(self) -> dict:
-        return self.__dict__ | {"_index": None}
+        return {k: v for k, v in self.__dict__.items() if k not in ("_open", "index")}
 
     def vectors(self, owner: np.ndarray, h: np.ndarray, count: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Unit vectors of documents, over all their words: what remains over the words of the examples."""
@@ -297,7 +310,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
     total, n_docs = _document_frequencies(docs, words)
     idf = np.log((1 + n_docs) / (1 + total)) if len(total) else np.zeros(0)
     found = _one(rows.groupBy("all").applyInArrow(lambda t: _boxed(pickle.dumps(_built(t, plan, words, idf, float(np.log((1 + n_docs) / 2))))), "m binary"))
-    return pickle.loads(found) if found else NeighbourModel(plan, words, idf)
+    return pickle.loads(found) if found else NeighbourModel(plan)
 
 
 def _boxed(data: bytes) -> pa.Table:
@@ -311,14 +324,14 @@ def _one(frame: DataFrame) -> bytes | None:
 
 def _parts(table: pa.Table) -> tuple[pa.Table, pa.Table]:
     """(examples, calibration rows), examples with toxic ones first."""
-    table = table.sort_by([("y", "descending"), ("doc_id", "ascending"), ("words", "ascending"), ("counts", "ascending")])
-    calibrates = np.array([r == "calibration" for r in table.column("role").to_pylist()], bool)
-    return table.filter(pa.array(~calibrates)), table.filter(pa.array(calibrates))
+    order = pc.sort_indices(table, [("y", "descending"), ("doc_id", "ascending"), ("words", "ascending"), ("counts", "ascending")]).to_numpy()
+    calibrates = np.array([r == "calibration" for r in table.column("role").to_pylist()], bool)[order]
+    return table.take(order[~calibrates]), table.take(order[calibrates])
 
 
 def _unpacked(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Document, word and count of bags."""
-    words, counts = ([np.frombuffer(x.as_py(), kind) for x in table.column(name)] for name, kind in (("words", _U), ("counts", "<u4")))
+    words, counts = ([np.frombuffer(x.as_buffer(), kind) for x in table.column(name)] for name, kind in (("words", _U), ("counts", "<u4")))
     owner = np.repeat(np.arange(len(words)), [len(w) for w in words])
     return owner, np.concatenate([*words, np.zeros(0, _U)]), np.concatenate([*counts, np.zeros(0, "<u4")])
 
@@ -337,16 +350,16 @@ def relevance(y: np.ndarray, doc: np.ndarray, term: np.ndarray, n_terms: int) ->
 def _built(table: pa.Table, plan: NeighbourPlan, words: np.ndarray, idf: np.ndarray, unseen: float) -> NeighbourModel:
     """Index of the examples, and the calibration of votes."""
     examples, checks = _parts(table)
-    model = NeighbourModel(plan, words, idf, unseen, share=float(table.column("y").to_numpy().mean()))
+    model = NeighbourModel(plan, share=float(table.column("y").to_numpy().mean()))
     if not len(examples):
         return model
-    toxic, n = examples.column("y").to_numpy().astype(np.float64), len(examples)
+    model.toxic, model.ids, n = examples.column("y").to_numpy().astype(np.float64), examples.column("doc_id").to_numpy().copy(), len(examples)
     owner, h, count = _unpacked(examples)
-    if plan.relevance:
-        model.factor = idf * relevance(toxic, owner, np.searchsorted(words, h), len(words))
+    factor = idf * relevance(model.toxic, owner, np.searchsorted(words, h), len(words)) if plan.relevance else idf
+    model.keep(words, factor, unseen, None)
     doc, term, weight = model.vectors(owner, h, count, n)
-    model.ids, model.toxic = examples.column("doc_id").to_numpy(), toxic
-    model.postings = np.bincount(doc, minlength=n), term.astype(np.int32), weight.astype(np.float32)
+    model.keep(words, factor, unseen, (np.bincount(doc, minlength=n), term.astype(np.int32), weight.astype(np.float32)))
+    del examples, table, owner, h, count, doc, term, weight
     truth = checks.column("y").to_numpy().astype(np.float64)
     votes = model.votes(*model.neighbours(*_unpacked(checks), len(truth)), len(truth)) if len(truth) else np.zeros(0)
     heard = ~np.isnan(votes)
