@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -61,6 +63,15 @@ def without(docs: DataFrame, gone: DataFrame, *keys: Column) -> DataFrame:
     return keyed.join(bounded(gone), same, "left_anti").select(*docs.columns)
 
 
+def give_back() -> None:
+    """Returns memory that a worker has freed to the system, so that workers that wait do not hold what a task needed for a while."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def words(text: Column) -> Column:
     """Words of a text as an array; null has none."""
     return F.filter(F.split(F.coalesce(text, F.lit("")), BLANK_CLASS), lambda w: w != "")

@@ -33,7 +33,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from terse.llm.common import held_out, shared_folder, without, written
+from terse.llm.common import give_back, held_out, shared_folder, without, written
 from terse.llm.decontaminate import plain_words
 
 _U = np.uint64
@@ -226,7 +226,11 @@ class NeighbourModel:
             return None
         sizes, term, weight = postings
         doc = np.repeat(np.arange(len(sizes)), sizes)
-        return BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
+        index = BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
+        del doc, sizes, term, weight, postings
+        self._open = (*self._open[:3], True)
+        give_back()
+        return index
 
     def __getstate__(self) -> dict:
         return {k: v for k, v in self.__dict__.items() if k not in ("_open", "index")}
@@ -275,6 +279,7 @@ def _document_frequencies(docs: DataFrame, words: np.ndarray) -> tuple[np.ndarra
                 total[:-1] += np.bincount(at[hit], minlength=len(known))
                 total[-1] += n
         some = np.flatnonzero(total)
+        give_back()
         yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["term", "n"])
 
     rows = docs.select("text").mapInArrow(run, "term bigint, n bigint").groupBy("term").agg(F.sum("n").alias("n")).toArrow()
@@ -291,6 +296,7 @@ def _bags(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             words = [h[i:j].tobytes() for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
             counts = [count[i:j].astype("<u4").tobytes() for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([*(batch.column(c).slice(a, n) for c in ("doc_id", "y", "role")), pa.array(words, pa.binary()), pa.array(counts, pa.binary())], names=["doc_id", "y", "role", "words", "counts"])
+    give_back()
 
 
 def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan = NeighbourPlan()) -> NeighbourModel:
@@ -314,6 +320,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
 
 
 def _boxed(data: bytes) -> pa.Table:
+    give_back()
     return pa.table({"m": pa.array([data], pa.binary())})
 
 
@@ -386,6 +393,9 @@ def score(docs: DataFrame, model: NeighbourModel) -> DataFrame:
                     ],
                     names=["doc_id", "score", "neighbours", "cosines"],
                 )
+        m.__dict__.pop("index", None)  # a worker that waits keeps no index
+        m.__dict__.pop("_open", None)
+        give_back()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id bigint, score double, neighbours array<bigint>, cosines array<double>")
 

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from terse.llm.common import bounded, components, shared_folder, without, written
+from terse.llm.common import bounded, components, give_back, shared_folder, without, written
 from terse.llm.text_kernel import hashed_words, mix64, sets_per_document, shingle_runs
 
 _U = np.uint64
@@ -88,11 +88,12 @@ def _common_tokens(width: int):
             for _, v, _ in _sets(batch, width):
                 held.append(v)
                 size += len(v)
-            if size >= 8_000_000:
+            if size >= 4_000_000:
                 yield out()
                 size = 0
         if held:
             yield out()
+        give_back()
 
     return run
 
@@ -252,6 +253,9 @@ def _search_task(percent: int):
         column = table.column("tokens")
         sets = [np.frombuffer(column[int(i)].as_buffer(), "<u8") for i in at]
         edges = spanning_links(classes, sets, percent)
+        del sets
+        if table.nbytes > 1 << 24:
+            give_back()
         return pa.table({"a": pa.array([e[0] for e in edges], pa.int64()), "b": pa.array([e[1] for e in edges], pa.int64())})
 
     return run
