@@ -63,6 +63,17 @@ def without(docs: DataFrame, gone: DataFrame, *keys: Column) -> DataFrame:
     return keyed.join(bounded(gone), same, "left_anti").select(*docs.columns)
 
 
+def small_batches(spark: SparkSession, size: int = 4 << 20) -> None:
+    """Bounds the bytes of a batch that travels to Python; 10,000 long texts would take many times that in the JVM, and again in the worker.
+
+    A setting of the session that may change while it runs; results do not depend on it, and a smaller bound stays.
+    """
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(name, None)
+    if not (now and now.isdigit() and int(now) <= size):
+        spark.conf.set(name, str(size))
+
+
 def give_back() -> None:
     """Returns memory that a worker has freed to the system, so that workers that wait do not hold what a task needed for a while."""
     pa.default_memory_pool().release_unused()

@@ -33,7 +33,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from terse.llm.common import give_back, held_out, shared_folder, without, written
+from terse.llm.common import give_back, held_out, shared_folder, small_batches, without, written
 from terse.llm.decontaminate import plain_words
 
 _U = np.uint64
@@ -110,19 +110,24 @@ class BlockMaxIndex:
         self.column = np.full(n_terms, -1, np.int32)
         self.column[often] = np.arange(len(often))
         self.width = self.n_blocks * block
-        dense = np.zeros((self.width, len(often)), np.float64)
         c = self.column[term]
-        dense[doc[c >= 0], c[c >= 0]] = weight[c >= 0]
-        self.order = like_ones_together(dense[:n].astype(np.float32), block)
+        held = np.flatnonzero(c >= 0)
+        dense = np.zeros((n, len(often)), np.float32)
+        dense[doc[held], c[held]] = weight[held]
+        self.order = like_ones_together(dense, block)
+        del dense
         place = np.empty(n, np.int64)
         place[self.order] = np.arange(n)
-        dense = np.take(dense, np.append(self.order, np.arange(n, self.width)), axis=0)
+        dense = np.zeros((self.width, len(often)), np.float64)
+        dense[place[doc[held]], c[held]] = weight[held]
         self.dense = dense.reshape(self.n_blocks, block, len(often))
         self.most = self.dense.max(1)
-        rare = c < 0
-        by = np.lexsort((place[doc[rare]], term[rare]))
-        self.doc, self.weight = place[doc[rare]][by].astype(np.int32), weight[rare][by]
-        self.first = np.searchsorted(term[rare][by], np.arange(n_terms + 1))
+        rare = np.flatnonzero(c < 0)
+        self.doc, term, self.weight = place.astype(np.int32)[doc[rare]], term[rare], weight[rare]
+        del c, rare, place
+        by = np.lexsort((self.doc, term))
+        self.doc, self.weight = self.doc[by], self.weight[by]
+        self.first = np.searchsorted(term[by], np.arange(n_terms + 1))
         self.pairs = self.scored = 0
 
     def nearest(self, owner: np.ndarray, term: np.ndarray, weight: np.ndarray, n: int, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -225,9 +230,8 @@ class NeighbourModel:
         if postings is None:
             return None
         sizes, term, weight = postings
-        doc = np.repeat(np.arange(len(sizes)), sizes)
-        index = BlockMaxIndex(len(sizes), doc, term.astype(np.int64), weight.astype(np.float64), len(self.words), self.plan.block, self.plan.columns)
-        del doc, sizes, term, weight, postings
+        index = BlockMaxIndex(len(sizes), np.repeat(np.arange(len(sizes), dtype=np.int32), sizes), term, weight, len(self.words), self.plan.block, self.plan.columns)
+        del sizes, term, weight, postings
         self._open = (*self._open[:3], True)
         give_back()
         return index
@@ -268,6 +272,7 @@ class NeighbourModel:
 
 def _document_frequencies(docs: DataFrame, words: np.ndarray) -> tuple[np.ndarray, int]:
     """Over all documents: how many hold each of the words, and how many documents there are."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(words)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -306,6 +311,7 @@ def fit(docs: DataFrame, labels: DataFrame, usable: Column, plan: NeighbourPlan
     role = F.when(F.pmod(F.col("h"), F.lit(3)) == 0, "calibration").when(F.col("y") == 1, "toxic").otherwise("clean")
     known = known.withColumn("role", role)
     parts = [known.where(F.col("role") == r).orderBy("h", "doc_id").limit(n) for r, n in (("calibration", plan.calibration), ("toxic", plan.toxic), ("clean", plan.clean))]
+    small_batches(docs.sparkSession)
     folder = shared_folder(docs.sparkSession)
     chosen = written(parts[0].unionByName(parts[1]).unionByName(parts[2]).select("doc_id", "y", "role"), folder, "labelled")
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "y", "role", "text")
@@ -378,6 +384,7 @@ def _built(table: pa.Table, plan: NeighbourPlan, words: np.ndarray, idf: np.ndar
 
 def score(docs: DataFrame, model: NeighbourModel) -> DataFrame:
     """doc_id, score, and the evidence: ids and cosines of the nearest examples."""
+    small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
