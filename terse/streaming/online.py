@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
-
 import numpy as np
 import pandas as pd
 from pyspark.errors import AnalysisException
@@ -24,11 +22,19 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def drained(stream: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over what is there and returns its table."""
-    name = f"terse_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_folder(stream.sparkSession)}/stream").start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+    """Runs a stream over what is there and returns its table, from files of the shared folder: batch by batch, one that runs again overwrites its own, and nothing
+    gathers on the driver.  In complete mode the last batch is the table."""
+    spark, folder, done = stream.sparkSession, shared_folder(stream.sparkSession), set()
+
+    def keep(batch: DataFrame, k: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/drained/{k}")
+        done.add(k)
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{folder}/stream").start().awaitTermination()
+    batches = sorted(done)[-1:] if mode == "complete" else sorted(done)
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*[f"{folder}/drained/{k}" for k in batches])
 
 
 class Progress(StreamingQueryListener):

@@ -101,6 +101,24 @@ def test_progress_is_told(spark, sf_dir):
     assert sum(b[2] for b in heard.batches) == spark.read.parquet(f"{sf_dir}/events.parquet").count()
 
 
+@pytest.mark.parametrize("name", ["stream_dedupe_watermark"])
+def test_streams_end_in_files(spark, sf_dir, name):
+    assert catalogue.QUERIES[name](spark, sf_dir).inputFiles()  # nothing is held by the driver
+
+
+def test_drained_tables_of_several_batches(spark, sf_dir):
+    from terse.streaming.online import _trickled, drained, events
+
+    want = {r["event_type"]: r["count"] for r in spark.read.parquet(f"{sf_dir}/events.parquet").groupBy("event_type").count().collect()}
+    by_type = lambda rows: {r["event_type"]: r["count"] for r in rows}
+    whole = drained(_trickled(spark, sf_dir).groupBy("event_type").count(), "complete").collect()
+    assert len(whole) == len(want) and by_type(whole) == want
+    rows = drained(_trickled(spark, sf_dir), "append")
+    assert rows.count() == sum(want.values()) and by_type(rows.groupBy("event_type").count().collect()) == want
+    nothing = drained(events(spark, sf_dir).where("false"), "append")
+    assert nothing.count() == 0 and "event_id" in nothing.columns
+
+
 def test_bias_covers_all_vectors(spark, sf_dir):
     from terse.functions.draws import draw
 
