@@ -101,7 +101,7 @@ def test_progress_is_told(spark, sf_dir):
     assert sum(b[2] for b in heard.batches) == spark.read.parquet(f"{sf_dir}/events.parquet").count()
 
 
-@pytest.mark.parametrize("name", ["stream_dedupe_watermark"])
+@pytest.mark.parametrize("name", ["stream_dedupe_watermark", "stream_session"])
 def test_streams_end_in_files(spark, sf_dir, name):
     assert catalogue.QUERIES[name](spark, sf_dir).inputFiles()  # nothing is held by the driver
 
