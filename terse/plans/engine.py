@@ -46,6 +46,35 @@ def dense(column) -> np.ndarray:
     return flat.reshape(n, -1).astype(float) if n else np.zeros((0, 0))
 
 
+class SparseRows:
+    """A matrix by the filled places of its rows: what objectives that are linear in it need (x @ w, x.T @ r), rows by a mask."""
+
+    def __init__(self, row: np.ndarray, at: np.ndarray, v: np.ndarray, shape: tuple[int, int]):
+        self.row, self.at, self.v, self.shape = row, at, v, shape
+
+    @classmethod
+    def of(cls, column, width: int) -> SparseRows:
+        """From an Arrow column of structs: places (at) and numbers (v) of each row."""
+        column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+        places, numbers = column.field("at"), column.field("v")
+        row = np.repeat(np.arange(len(column)), places.value_lengths().to_numpy(zero_copy_only=False))
+        return cls(row, places.flatten().to_numpy(zero_copy_only=False), numbers.flatten().to_numpy(zero_copy_only=False), (len(column), width))
+
+    @property
+    def T(self) -> SparseRows:
+        return SparseRows(self.at, self.row, self.v, self.shape[::-1])
+
+    def __len__(self) -> int:
+        return self.shape[0]
+
+    def __getitem__(self, mask: np.ndarray) -> SparseRows:
+        kept = mask[self.row]
+        return SparseRows((np.cumsum(mask) - 1)[self.row[kept]], self.at[kept], self.v[kept], (int(mask.sum()), self.shape[1]))
+
+    def __matmul__(self, w: np.ndarray) -> np.ndarray:
+        return np.bincount(self.row, self.v * w[self.at], self.shape[0])
+
+
 # ---- sources ----------------------------------------------------------------------------------------------------------
 
 
@@ -193,16 +222,19 @@ class SparkSource:
     Rows with small draws are candidates, a few more than wanted, and of these the smallest are the batch (``Sampler``); a task that runs again takes the same rows.
     With scope 'global' every worker draws for itself from all rows.  Should candidates not suffice, which their number makes all but impossible, all rows are.
     ``close`` frees the samples.
+
+    With a ``width``, x is a struct of places (at) and numbers (v) of so wide a row, for objectives that are linear in it.
     """
 
-    def __init__(self, samples: DataFrame, objective: Objective):
+    def __init__(self, samples: DataFrame, objective: Objective, width: int | None = None):
         self.samples = samples.select("row_id", F.col("worker_id").cast("long").alias("worker_id"), "x", F.col("y").cast("double").alias("y")).persist()
         self.objective = objective
         counts = self.samples.groupBy("worker_id").count().orderBy("worker_id").collect()
         self.workers = [r["worker_id"] for r in counts]
         self.counts = np.array([r["count"] for r in counts], float)
         self.n = len(self.workers)
-        self.features = len(self.samples.select("x").first()["x"])
+        self.width = width
+        self.features = width or len(self.samples.select("x").first()["x"])
         self.d = objective.size(self.features)
 
     def gradients_of(self, models: list[np.ndarray], sampler: Sampler, seed: int, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -234,14 +266,14 @@ class SparkSource:
     def _sums(self, models: list[np.ndarray], sampler: Sampler, seed: int, k: int, candidates: bool) -> tuple[np.ndarray, np.ndarray] | None:
         rows = self._batch(sampler, seed, k, candidates)
         shared = rows.sparkSession.sparkContext.broadcast(models)
-        objective, m = self.objective, len(models)
+        objective, m, width = self.objective, len(models), self.width
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, np.ndarray] = {}
             for b in batches:
                 if not b.num_rows:
                     continue
-                x, y, who = dense(b.column("x")), b.column("y").to_numpy(), b.column("worker_id").to_numpy()
+                x, y, who = SparseRows.of(b.column("x"), width) if width else dense(b.column("x")), b.column("y").to_numpy(), b.column("worker_id").to_numpy()
                 for w in np.unique(who):
                     own = who == w
                     found = [objective.value_grad(p, x[own], y[own]) for p in shared.value]

@@ -6,6 +6,7 @@ import timeit
 from math import inf
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ from terse.operators.objectives import L1, ConvNet, Logistic, Perceptron, Residu
 from terse.plans import methods as M
 from terse.plans.costs import time_vs_bandwidth
 from terse.plans.engine import Fit, QuadraticSource, Sampler, SparkSource, fit, quadratic, regularised_optimum, ridge_problem, source_of, trace_frame
-from terse.sources.tables import read
+from terse.sources.tables import read, shared_folder, written
 
 M_RIDGE = Ridge(0.1)
 OUTCOME = "workload string, setting string, method string, value double"
@@ -220,16 +221,33 @@ def bandwidth(spark, sf_dir) -> DataFrame:
     return out.select(F.lit("bandwidth").alias("workload"), F.concat(F.lit("mbps="), F.col("bandwidth_mbps").cast("int").cast("string")).alias("setting"), "method", F.col("seconds").alias("value"))
 
 
+def hashed_words(spark: SparkSession, sf_dir: str, buckets: int) -> DataFrame:
+    """Labelled documents (doc_id, lang, source, quality, toxic) with their words' counts by hash, of norm 4, as places and numbers."""
+    docs = read(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").where(F.col("text").isNotNull()).join(read(spark, sf_dir, "labels"), "doc_id")
+    words = F.transform(F.split(F.lower("text"), " "), lambda w: F.pmod(F.xxhash64(w), F.lit(buckets)).cast("int"))
+    keys = ["doc_id", "lang", "source", "quality", "toxic"]
+
+    def counted(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            found = b.column("b")
+            row = np.repeat(np.arange(b.num_rows), found.value_lengths().to_numpy(zero_copy_only=False))
+            each, c = np.unique(row * buckets + found.flatten().to_numpy(zero_copy_only=False), return_counts=True)
+            row, c = each // buckets, c.astype(float)
+            v = c / np.sqrt(np.bincount(row, c * c, b.num_rows))[row] * 4
+            ends = np.cumsum([0, *np.bincount(row, minlength=b.num_rows)]).astype(np.int32)
+            x = pa.StructArray.from_arrays([pa.ListArray.from_arrays(ends, (each % buckets).astype(np.int32)), pa.ListArray.from_arrays(ends, v)], names=["at", "v"])
+            yield pa.RecordBatch.from_arrays([*(b.column(k) for k in keys), x], names=[*keys, "x"])
+
+    bags = docs.select(*keys, words.alias("b")).groupBy(*keys).agg(F.flatten(F.collect_list("b")).alias("b"))
+    return bags.mapInArrow(counted, "doc_id bigint, lang string, source string, quality int, toxic int, x struct<at: array<int>, v: array<double>>")
+
+
 def text(spark, sf_dir, buckets: int = 4096, iterations: int = 12) -> DataFrame:
     """Logistic regression of the quality and toxic labels on hashed words, positives and negatives weighing alike, workers by language or by source: a Spark job per
-    iteration, all methods in each pass."""
-    docs = read(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").join(read(spark, sf_dir, "labels"), "doc_id")
-    words = F.split(F.lower("text"), " ")
-    keys = ["doc_id", "lang", "source", "quality", "toxic"]
-    counts = docs.select(*keys, F.explode(F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(buckets)).cast("int"))).alias("b")).groupBy(*keys, "b").agg(F.count("*").alias("c"))
-    norm = counts.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("b", F.col("c").cast("double")))).alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("z"))
-    x = F.transform(F.sequence(F.lit(0), F.lit(buckets - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0)) / F.col("z") * 4)
-    held = norm.select(*keys, x.alias("x"))
+    iteration, all methods in each pass.  Rows stay sparse, as counted once for all labels."""
+    held = written(hashed_words(spark, sf_dir, buckets), shared_folder(spark), "words")
     rows = []
     for label, by in (("quality", "lang"), ("quality", "source"), ("toxic", "lang")):
         known = held.where(F.col(label).isNotNull())
@@ -238,7 +256,7 @@ def text(spark, sf_dir, buckets: int = 4096, iterations: int = 12) -> DataFrame:
         times = max(1, round(max(rare["ones"], rare["all"] - rare["ones"]) / max(1, min(rare["ones"], rare["all"] - rare["ones"]))))
         copies = F.explode(F.sequence(F.lit(1), F.when(F.col(label) == few, times).otherwise(1)))
         samples = known.withColumn("copy", copies).select((F.col("doc_id") * 64 + F.col("copy")).alias("row_id"), F.pmod(F.xxhash64(by), F.lit(4)).alias("worker_id"), "x", F.col(label).cast("double").alias("y"))
-        source = SparkSource(samples, Logistic())
+        source = SparkSource(samples, Logistic(), buckets)
         chosen = [M.plain(), M.quantized_gradient(64), M.gradient_difference(64), M.two_way_residual(64)]
         states = [M.State.start(np.zeros(source.d), source.n) for _ in chosen]
         for k in range(iterations):

@@ -495,3 +495,35 @@ def test_traced_methods_near_the_planted_model(spark, sf_dir):
     d = traced.QUERIES["measure_distance"](spark, sf_dir).toPandas().pivot(index="iter", columns="method", values="d2")
     assert (d.iloc[-1] < d.iloc[0]).all() and d["plain"].is_monotonic_decreasing
     assert (traced.QUERIES["measure_heterogeneity"](spark, sf_dir).toPandas().norm2 > 0).all()
+
+
+def test_sparse_rows_give_the_dense_gradients(spark):
+    rng = np.random.default_rng(2)
+    x, y = rng.normal(size=(40, 9)) * (rng.random((40, 9)) < 0.3), (rng.random(40) < 0.5).astype(float)
+    x[3] = 0
+    whole = [(i, i % 3, row.tolist(), float(t)) for i, (row, t) in enumerate(zip(x, y, strict=True))]
+    sparse = [(i, w, (np.flatnonzero(row).tolist(), [v for v in row if v]), t) for i, w, row, t in whole]
+    ddl = "row_id long, worker_id long, x {}, y double"
+    a = SparkSource(spark.createDataFrame(whole, ddl.format("array<double>")), O.Logistic())
+    b = SparkSource(spark.createDataFrame(sparse, ddl.format("struct<at: array<int>, v: array<double>>")), O.Logistic(), 9)
+    models = [rng.normal(size=9), np.zeros(9)]
+    for ours, theirs in zip(b.gradients_of(models, Sampler(), 1, 0), a.gradients_of(models, Sampler(), 1, 0), strict=True):
+        assert np.allclose(ours, theirs, rtol=1e-12, atol=1e-12)
+    a.close()
+    b.close()
+
+
+def test_hashed_words_are_counted_whole(spark, sf_dir):
+    from terse.workloads import hashed_words
+
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").join(spark.read.parquet(f"{sf_dir}/labels.parquet"), "doc_id").where("text is not null")
+    words = docs.select("doc_id", F.explode(F.split(F.lower("text"), " ")).alias("w")).select("doc_id", F.expr("pmod(xxhash64(w), 64)").alias("b"))
+    want: dict = {}
+    for r in words.groupBy("doc_id", "b").count().collect():
+        want.setdefault(r["doc_id"], {})[r["b"]] = r["count"]
+    rows = hashed_words(spark, sf_dir, 64).collect()
+    assert len(rows) == len(want)
+    for r in rows:
+        counts = want[r["doc_id"]]
+        norm = sum(c * c for c in counts.values()) ** 0.5
+        assert dict(zip(r["x"]["at"], r["x"]["v"], strict=True)) == pytest.approx({b: c / norm * 4 for b, c in counts.items()})
