@@ -20,6 +20,8 @@ from terse.operators.objectives import Objective, Ridge
 from terse.plans.methods import Method, Schedule, State, iterate
 
 STATE_LIMIT = 64 << 20
+AHEAD = 512
+"""Iterations at most whose batches one pass draws."""
 
 
 SUM_BLOCK, SUM_SALTS = 4096, 32
@@ -201,7 +203,11 @@ class RowSource:
             keys = (k, ids)
         if sampler.batch is None or sampler.batch >= len(y):
             return x, y
-        take = np.lexsort((ids, draws(seed, *keys)))[: sampler.batch]
+        u = draws(seed, *keys)
+        near = np.flatnonzero(u < _enough(sampler.batch, len(y)))
+        if len(near) < sampler.batch:
+            near = np.arange(len(y))
+        take = near[np.lexsort((ids[near], u[near]))[: sampler.batch]]
         return x[take], y[take]
 
     def gradients(self, x, sampler, seed, k):
@@ -223,6 +229,9 @@ class SparkSource:
     With scope 'global' every worker draws for itself from all rows.  Should candidates not suffice, which their number makes all but impossible, all rows are.
     ``close`` frees the samples.
 
+    A run (``fit``) says in ``until`` which iteration is its last: batches do not depend on the model, so those of many iterations are drawn in one pass and held, as
+    many as fit half of ``STATE_LIMIT``.
+
     With a ``width``, x is a struct of places (at) and numbers (v) of so wide a row, for objectives that are linear in it.
     """
 
@@ -236,6 +245,8 @@ class SparkSource:
         self.width = width
         self.features = width or len(self.samples.select("x").first()["x"])
         self.d = objective.size(self.features)
+        self.until: int | None = None
+        self.drawn_as, self.drawn = None, {}
 
     def gradients_of(self, models: list[np.ndarray], sampler: Sampler, seed: int, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Mean gradients (models, workers, d) and losses (models, workers)."""
@@ -297,10 +308,49 @@ class SparkSource:
         return out, loss
 
     def gradients(self, x, sampler, seed, k):
+        if sampler.batch is not None and self.until is not None and k <= self.until:
+            if (sampler, seed) != self.drawn_as or k not in self.drawn:
+                self.drawn_as, self.drawn = (sampler, seed), self._ahead(sampler, seed, k)
+            if k in self.drawn:
+                return np.array([self.objective.value_grad(x, *rows)[1] for rows in self.drawn[k]])
         return self.gradients_of([x], sampler, seed, k)[0][0]
 
+    def _ahead(self, sampler: Sampler, seed: int, first: int) -> dict[int, list[tuple[np.ndarray, np.ndarray]]]:
+        """Batches (x, y) of all workers for iterations from ``first`` on; an iteration whose candidates do not suffice is left out."""
+        size, by_all = sampler.batch, sampler.scope == "global"
+        counts = np.full(self.n, self.counts.sum()) if by_all else self.counts
+        wanted = np.minimum(size, counts).astype(int)
+        last = min(self.until, first + AHEAD - 1, first - 1 + STATE_LIMIT // 2 // int(wanted.sum() * (self.features + 4) * 8))
+        if last <= first or self.width:
+            return {}
+        workers, share = np.array(self.workers), np.array([_enough(size, c) for c in counts])
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                ids, own = b.column("row_id").to_numpy(), np.searchsorted(workers, b.column("worker_id").to_numpy())
+                for k in range(first, last + 1):
+                    for i in range(len(workers)) if by_all else (None,):
+                        u = draws(seed, k, ids, np.full(len(ids), workers[i])) if by_all else draws(seed, k, ids)
+                        near = np.flatnonzero(u < (share[i] if by_all else share[own]))
+                        if len(near):
+                            who = np.full(len(near), workers[i]) if by_all else workers[own[near]]
+                            rows = b.take(pa.array(near))
+                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(near), k)), pa.array(who), pa.array(u[near]), *(rows.column(c) for c in ("row_id", "x", "y"))], names=["k", "worker_id", "u", "row_id", "x", "y"])
+
+        place = F.row_number().over(Window.partitionBy("k", "worker_id").orderBy("u", "row_id"))
+        kind = {f.name: f.dataType.simpleString() for f in self.samples.schema}
+        near = self.samples.mapInArrow(run, f"k bigint, worker_id bigint, u double, row_id {kind['row_id']}, x {kind['x']}, y double").withColumn("place", place)
+        found = near.where(F.col("place") <= size).toArrow().sort_by([(c, "ascending") for c in ("k", "worker_id", "place")])
+        x, y = dense(found.column("x")), found.column("y").to_numpy()
+        at = (found.column("k").to_numpy() - first) * self.n + np.searchsorted(workers, found.column("worker_id").to_numpy())
+        has = np.bincount(at, minlength=(last - first + 1) * self.n).reshape(-1, self.n)
+        ends = np.cumsum([0, *has.reshape(-1)])
+        parts = [(x[a:z], y[a:z]) for a, z in zip(ends[:-1], ends[1:], strict=True)]
+        return {first + j: parts[j * self.n : (j + 1) * self.n] for j in range(len(has)) if (has[j] == wanted).all()}
+
     def close(self) -> None:
         self.samples.unpersist()
+        self.drawn_as, self.drawn = None, {}
 
     def loss(self, x):
         return float(self.gradients_of([x], Sampler(), 0, 0)[1].mean())
@@ -352,6 +402,8 @@ def fit(
     trace, gap = [], 0.0
     per_up, per_down = method.bits(source.d, source.n)
     last = state.iteration + iterations - 1
+    if isinstance(source, SparkSource):
+        source.until = last
     for k in range(state.iteration, last + 1):
         step = schedule.at(k)
         g = source.gradients(state.shared, sampler, seed, k)
@@ -371,6 +423,8 @@ def fit(
             trace.append(row)
         if not np.isfinite(state.shared).all() or float(np.abs(state.shared).max()) > 1e12 or (stop is not None and dist is not None and dist < stop):
             break
+    if isinstance(source, SparkSource):
+        source.until = None
     return Fit(state.shared, trace, state, gap)
 
 

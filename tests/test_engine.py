@@ -527,3 +527,16 @@ def test_hashed_words_are_counted_whole(spark, sf_dir):
         counts = want[r["doc_id"]]
         norm = sum(c * c for c in counts.values()) ** 0.5
         assert dict(zip(r["x"]["at"], r["x"]["v"], strict=True)) == pytest.approx({b: c / norm * 4 for b, c in counts.items()})
+
+
+@pytest.mark.parametrize("sampler", [Sampler(3), Sampler(3, "global"), Sampler(10**6)], ids=str)
+def test_batches_are_drawn_ahead(spark, sf_dir, monkeypatch, sampler):
+    samples = embedding_ridge(spark, sf_dir, workers=4)
+    held, tables = RowSource.from_samples(samples, O.Ridge(0.1)), SparkSource(samples.repartition(3), O.Ridge(0.1))
+    jobs, drawn = [], SparkSource._ahead
+    monkeypatch.setattr(SparkSource, "_sums", lambda *a, **b: pytest.fail("a job for an iteration"))
+    monkeypatch.setattr(SparkSource, "_ahead", lambda *a: jobs.append(a[-1]) or drawn(*a))
+    monkeypatch.setattr(engine, "AHEAD", 7)
+    runs = [fit(s, M.two_way_residual(16), M.Schedule(0.05), 17, sampler=sampler) for s in (held, tables)]
+    assert np.allclose(runs[0].model, runs[1].model, rtol=1e-9, atol=1e-12) and jobs == [0, 7, 14]
+    tables.close()
