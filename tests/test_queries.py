@@ -119,6 +119,27 @@ def test_drained_tables_of_several_batches(spark, sf_dir):
     assert nothing.count() == 0 and "event_id" in nothing.columns
 
 
+BITS = ["bits_message_edges"]
+
+
+@pytest.mark.parametrize("name", BITS)
+def test_bits_are_of_the_vectors_given(spark, equal_rows, tmp_path, name):
+    import duckdb
+
+    sizes = {-3: 7, 0: 64, 7: 500, 10: 0, 25: None, 40: 321}
+    rows = [(i, None if n is None else [0.5] * n, 0) for i, n in sizes.items()]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int").write.parquet(f"file://{tmp_path}/embeddings.parquet")
+    con = duckdb.connect()
+    con.sql(f"create view embeddings as select * from '{tmp_path}/embeddings.parquet/*.parquet'")
+    found = catalogue.QUERIES[name](spark, f"file://{tmp_path}").toPandas()
+    equal_rows(found, con.sql(catalogue.SQL[name]).df())
+    if name == "bits_message_edges":  # ids -3, 0, 7, 40 by 2: 1 and 0; by 5: 2 and 0; by 10: 7 and 0; by 20: 17, 0 and 7
+        assert {(r.topology, r.workers): r.messages for r in found.itertuples()} == {("star", n): 2 * k for n, k in ((2, 2), (5, 2), (10, 2), (20, 3))} | {("all_to_all", n): k for n, k in ((2, 2), (5, 2), (10, 2), (20, 6))}
+    else:
+        assert set(zip(found.vec_id, found.d, strict=True)) == {(i, n) for i, n in sizes.items() if n}
+        assert len(found) == 4 * {"bits_raw": 1, "bits_ternary": 6, "bits_rate": 6}.get(name, 42)
+
+
 def test_bias_covers_all_vectors(spark, sf_dir):
     from terse.functions.draws import draw
 
