@@ -119,7 +119,7 @@ def test_drained_tables_of_several_batches(spark, sf_dir):
     assert nothing.count() == 0 and "event_id" in nothing.columns
 
 
-BITS = ["bits_message_edges", "bits_per_iteration", "bits_rate", "bits_raw", "bits_saving"]
+BITS = ["bits_message_edges", "bits_per_iteration", "bits_rate", "bits_raw", "bits_saving", "bits_ternary"]
 
 
 @pytest.mark.parametrize("name", BITS)
