@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,10 +19,13 @@ QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
 
+def _raw(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.readStream.schema(SCHEMAS["events"]).parquet(f"{sf_dir}/event[s].parquet")
+
+
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events as a stream of files; the time as an instant, as watermarks need it."""
-    raw = spark.readStream.schema(SCHEMAS["events"]).parquet(f"{sf_dir}/event[s].parquet")
-    return raw.withColumn("ts", F.col("ts").cast("timestamp"))
+    return _raw(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def drained(stream: DataFrame, mode: str) -> DataFrame:
@@ -37,6 +44,59 @@ def drained(stream: DataFrame, mode: str) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(*[f"{folder}/drained/{k}" for k in batches])
 
 
+def _merged(rows: pa.Table, gap: int) -> pa.Table:
+    """Sessions (first and last time, n) of rows that are sessions themselves, a user's in a row by first time, those without a time last and each alone."""
+    numbers = lambda c: pc.fill_null(rows[c].cast(pa.int64()), 0).to_numpy()
+    empty = lambda c: rows[c].is_null().to_numpy()
+    user, first, last, timeless = numbers("user_id"), numbers("first"), numbers("last"), empty("first")
+    other = np.ones(len(user), bool)
+    other[1:] = (user[1:] != user[:-1]) | (empty("user_id")[1:] != empty("user_id")[:-1])
+    until = pd.Series(last).groupby(np.cumsum(other)).cummax().to_numpy()
+    opens = other | timeless
+    opens[1:] |= first[1:] - until[:-1] >= gap
+    at = np.flatnonzero(opens)
+    ends = pa.array(np.maximum.reduceat(last, at), mask=timeless[at]).cast(pa.timestamp("us"))
+    return pa.table({"user_id": rows["user_id"].take(at), "first": rows["first"].take(at), "last": ends, "n": np.add.reduceat(numbers("n"), at)})
+
+
+def sessions(stream: DataFrame, hours: int) -> DataFrame:
+    """Sessions of every user over what a stream of events holds: user_id, first and last time, n.  An event opens one if the user's last is that many hours back or
+    more, or if it has no time.
+
+    Their table is the state, in files of the shared folder by batch, not in the executors' memory: a batch adds its events to the table of the batch before, and one that
+    runs again overwrites its own.  Events that Python is given together are merged before users are dealt out, so a frequent user's come as few rows.
+    """
+    spark, folder, done, gap = stream.sparkSession, shared_folder(stream.sparkSession), set(), hours * 3_600_000_000
+    schema = "user_id long, first timestamp_ntz, last timestamp_ntz, n long"
+
+    def parts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if len(b):
+                rows = pa.table({"user_id": b["user_id"], "first": b["ts"], "last": b["ts"], "n": np.ones(len(b), np.int64)})
+                yield from _merged(rows.sort_by([("user_id", "ascending"), ("first", "ascending")]), gap).to_batches()
+
+    def wholes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rest = None  # the last session may go on in the next rows
+        for b in batches:
+            if len(b):
+                found = _merged(pa.concat_tables([*([] if rest is None else [rest]), pa.Table.from_batches([b])]), gap)
+                yield from found[:-1].to_batches()
+                rest = found[-1:]
+        if rest is not None:
+            yield from rest.to_batches()
+
+    def merge(batch: DataFrame, k: int) -> None:
+        rows = batch.mapInArrow(parts, schema)
+        if k:
+            rows = rows.union(batch.sparkSession.read.schema(schema).parquet(f"{folder}/sessions/{k - 1}"))
+        out = rows.repartition("user_id").sortWithinPartitions("user_id", F.col("first").asc_nulls_last()).mapInArrow(wholes, schema)
+        out.write.mode("overwrite").parquet(f"{folder}/sessions/{k}")
+        done.add(k)
+
+    stream.select("user_id", "ts").writeStream.foreachBatch(merge).trigger(availableNow=True).option("checkpointLocation", f"{folder}/stream").start().awaitTermination()
+    return spark.read.schema(schema).parquet(f"{folder}/sessions/{max(done)}") if done else spark.createDataFrame([], schema)
+
+
 class Progress(StreamingQueryListener):
     """Rows and seconds of every micro-batch, as the driver is told of them."""
 
@@ -86,8 +146,7 @@ def _(s, d):
     "SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, g",
 )
 def _(s, d):
-    out = events(s, d).groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return drained(out.select("user_id", _stamp("w.start").alias("start"), "n"), "complete")
+    return sessions(_raw(s, d), 6).select("user_id", F.substring(F.col("first").cast("string"), 1, 19).alias("start"), "n")
 
 
 @query("stream_dedupe", "SELECT DISTINCT user_id, event_type FROM events")

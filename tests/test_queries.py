@@ -106,6 +106,45 @@ def test_streams_end_in_files(spark, sf_dir, name):
     assert catalogue.QUERIES[name](spark, sf_dir).inputFiles()  # nothing is held by the driver
 
 
+def _odd_events(spark, path: str) -> str:
+    """Of four files by event_id modulo 4: gaps of 6 hours and a microsecond less, a time that joins two sessions of earlier files, rows without a user or a time, and a
+    user with more rows than Python gets at once."""
+    from datetime import datetime, timedelta
+
+    at = lambda h, micros=0: datetime(1969, 12, 31, 20) + timedelta(hours=h, microseconds=micros)
+    rows = [(0, at(0), 1), (4, at(6), 1), (8, at(12, -1), 1), (12, at(12, -1), 1)]
+    rows += [(16, at(0), 2), (20, at(10), 2), (21, at(5), 2), (24, at(30), 2), (25, at(29), 2), (26, at(31), 2), (27, at(36, 1), 2)]
+    rows += [(28, None, 3), (29, None, 3), (30, at(1), 3), (31, None, 3), (32, at(0), None), (33, at(5), None), (34, None, None), (36, None, None), (40, at(2), 0), (41, at(2), 2**53 + 1), (42, at(2), 2**53)]
+    few = spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long")
+    many = spark.range(0, 100_000, 4, 1).select(F.col("id").alias("event_id"), F.expr("timestamp_ntz'2024-03-01' + make_dt_interval(0, id div 4000 * 6, 0, id % 4000 / 1000)").alias("ts"), F.lit(-5).cast("long").alias("user_id"))
+    whole = few.union(many).withColumns({"event_type": F.lit("view"), "value": F.lit(1.0), "props": F.lit("{}")})
+    whole.coalesce(1).write.parquet(f"file://{path}/events.parquet")
+    return f"file://{path}"
+
+
+def test_sessions_of_odd_events_need_no_state_store(spark, equal_rows, tmp_path):
+    from pathlib import Path
+    from urllib.parse import urlparse
+
+    import duckdb
+
+    from terse.streaming.online import _raw, _trickled, sessions
+
+    odd = _odd_events(spark, str(tmp_path))
+    con = duckdb.connect()
+    con.sql(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
+    want = con.sql(catalogue.SQL["stream_session"]).df()
+    found = catalogue.QUERIES["stream_session"](spark, odd)
+    equal_rows(found.toPandas(), want)
+    folder = next(p for p in Path(urlparse(found.inputFiles()[0]).path).parents if p.name.startswith("terse-"))
+    assert (folder / "stream" / "offsets").exists() and not (folder / "stream" / "state").exists()
+    for k, stream in ((4, _trickled(spark, odd)), (1, _raw(spark, odd))):
+        table = sessions(stream, 6)
+        assert {f"/sessions/{k - 1}/" in p for p in table.inputFiles()} == {True}
+        equal_rows(table.select("user_id", F.date_format("first", "yyyy-MM-dd HH:mm:ss").alias("start"), "n").toPandas(), want)
+    assert sessions(_raw(spark, odd).where("false"), 6).count() == 0
+
+
 def test_drained_tables_of_several_batches(spark, sf_dir):
     from terse.streaming.online import _trickled, drained, events
 
